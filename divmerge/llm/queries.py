@@ -5,9 +5,10 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from ..session import table
-from . import quality
+from . import langid, quality, toxicity
 from .media import read_media, write_media
 from .minhash import near_duplicates
 from .mixing import mix
@@ -39,6 +40,17 @@ def op4_quality_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(docs, quality.train(docs, table(spark, sf_dir, "labels")))
 
 
+def _remainder(by: int):
+    return F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(by))
+
+
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    held = F.coalesce(_remainder(5) == 0, F.lit(False))
+    model = langid.train(docs.where(_remainder(5) != 0))
+    return langid.predict(docs, model).select("doc_id", held.alias("held_out"), "lang_pred", "score", "cross_entropy", "rejected")
+
+
 #: Target weights of the mixture; a node that is not named weighs 1.
 WEIGHTS = {"domain": {"web": 5, "books": 3, "code": 2}, "lang": {"en": 4, "de": 2, "fr": 2, "es": 2}, "source": {"src0": 2}}
 
@@ -48,6 +60,13 @@ def op6_hierarchical_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(docs, WEIGHTS, share=0.6, max_epochs=2)
 
 
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    held = F.coalesce(_remainder(4) == 2, F.lit(False))
+    model = toxicity.train(docs, table(spark, sf_dir, "labels"), keep=_remainder(4) != 2)
+    return toxicity.score(docs, model).select("doc_id", held.alias("held_out"), "score", "predicted")
+
+
 URL_RULES = [("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow")]
 
 
@@ -67,7 +86,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_minhash_near_dedup": op2_minhash_near_dedup,
     "op3_png_media": op3_png_media,
     "op4_quality_trees": op4_quality_trees,
+    "op5_language_id": op5_language_id,
     "op6_hierarchical_mixing": op6_hierarchical_mixing,
+    "op7_toxicity": op7_toxicity,
     "op8_url_filter": op8_url_filter,
     "op9_token_files": op9_token_files,
     "op10_substring_dedup": op10_substring_dedup,
@@ -92,7 +113,8 @@ def _case(level: str) -> str:
 
 MIX_SQL = rf"""
 WITH rows_ AS (SELECT doc_id, coalesce(CASE CAST(nullif(regexp_extract(source, '([0-9]+)', 1), '') AS INT) % 3 WHEN 0 THEN 'web' WHEN 1 THEN 'books' WHEN 2 THEN 'code' END, 'other') AS domain,
-  coalesce(lang, '(none)') AS lang, coalesce(source, '(none)') AS source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^ 	-]+')) AS BIGINT) AS n_tokens FROM documents),
+  coalesce(lang, '(none)') AS lang, coalesce(source, '(none)') AS source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^ 	-
+]+')) AS BIGINT) AS n_tokens FROM documents),
 leaves AS (SELECT domain, lang, source, CAST(sum(n_tokens) AS BIGINT) AS tokens, CAST(sum(n_tokens) * 2 AS BIGINT) AS cap, {_case("source")} AS weight FROM rows_ GROUP BY ALL),
 l1 AS (SELECT domain, CAST(sum(cap) AS BIGINT) AS cap, {_case("domain")} AS weight FROM leaves GROUP BY domain),
 total AS (SELECT CAST(floor(sum(n_tokens) * CAST(0.6 AS DOUBLE)) AS BIGINT) AS b FROM rows_),

@@ -132,12 +132,12 @@ def span_hash(prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndar
     return mix64((prefix[end] - prefix[start]) * down[start] + (end - start).astype(np.uint64) * np.uint64(0xA0761D6478BD642F))
 
 
-def words(c: Chunk, hashed: bool = True, prefix: np.ndarray | None = None) -> Words:
+def words(c: Chunk, hashed: bool = True, prefix: np.ndarray | None = None, separators: np.ndarray = SPACE) -> Words:
     n = len(c.data)
     if not n:
         z = np.zeros(0, np.int64)
         return Words(z, z, np.zeros(c.n + 1, np.int64), np.zeros(0, np.uint64) if hashed else None)
-    inside = ~SPACE[c.data]
+    inside = ~separators[c.data]
     edge = np.zeros(n + 1, bool)  # a row begins here
     edge[c.offs] = True
     before = np.empty(n + 1, bool)
