@@ -222,6 +222,11 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", max_labell
     return fit_trees(x[order], y[order], np.array([MONOTONE.get(k, 0) for k in FEATURES]))
 
 
+def base_failed(base: np.ndarray) -> np.ndarray:
+    """Fewer than 20 words, or more than 30 % of them in repeated windows."""
+    return (base[:, 0] < 20) | (100 * base[:, 4] > 30 * base[:, 0])
+
+
 def _judge(model: Trees, least: float):
     schema = pa.schema([("doc_id", pa.int64()), *((k, pa.int64()) for k in BASE), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("score", pa.float64())])
 
@@ -229,8 +234,7 @@ def _judge(model: Trees, least: float):
         for b in batches:
             for c in chunks(b.column("text")):
                 base, x = statistics(c)
-                failed = (base[:, 0] < 20) | (100 * base[:, 4] > 30 * base[:, 0])
-                score = model.score(x)
+                failed, score = base_failed(base), model.score(x)
                 yield pa.RecordBatch.from_arrays([
                     b.column("doc_id").slice(c.lo, c.n), *(pa.array(base[:, k].astype(np.int64)) for k in range(len(BASE))),
                     pa.array(failed), pa.array(~failed & (score >= least)), pa.array(score),
@@ -244,3 +248,17 @@ def judge(docs: DataFrame, model: Trees, least: float = LEAST_SCORE) -> DataFram
     ship(docs.sparkSession)
     schema = "doc_id long, " + ", ".join(f"{k} long" for k in BASE) + ", base_failed boolean, kept boolean, score double"
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_judge(model, least), schema)
+
+
+def keep(docs: DataFrame, model: Trees, least: float = LEAST_SCORE) -> DataFrame:
+    """The rows of ``docs`` that :func:`judge` keeps, with all their columns."""
+    ship(docs.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for c in chunks(b.column("text")):
+                base, x = statistics(c)
+                good = ~base_failed(base) & (model.score(x) >= least)
+                yield b.slice(c.lo, c.n).filter(pa.array(good))
+
+    return docs.mapInArrow(run, docs.schema)

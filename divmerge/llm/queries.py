@@ -12,6 +12,7 @@ from . import langid, quality, toxicity
 from .media import read_media, write_media
 from .minhash import near_duplicates
 from .mixing import mix
+from .segment import sample_segmentations
 from .substring import remove_repeats
 from .tokenids import token_files
 from .urls import filter_urls
@@ -26,6 +27,10 @@ def tokenizer_file(name: str) -> str:
 
 
 
+def op1_gumbel_segmentation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sample_segmentations(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"), check=True)
+
+
 def op2_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -55,9 +60,14 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 WEIGHTS = {"domain": {"web": 5, "books": 3, "code": 2}, "lang": {"en": 4, "de": 2, "fr": 2, "es": 2}, "source": {"src0": 2}}
 
 
+def with_domain(docs: DataFrame) -> DataFrame:
+    """The tables have no domain, so the number of the source picks one."""
+    return docs.selectExpr("*", "coalesce(element_at(array('web', 'books', 'code'), cast(try_cast(regexp_extract(source, '([0-9]+)', 1) as int) % 3 as int) + 1), 'other') as domain")
+
+
 def op6_hierarchical_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source").selectExpr("*", "coalesce(element_at(array('web', 'books', 'code'), cast(try_cast(regexp_extract(source, '([0-9]+)', 1) as int) % 3 as int) + 1), 'other') as domain")
-    return mix(docs, WEIGHTS, share=0.6, max_epochs=2)
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
+    return mix(with_domain(docs), WEIGHTS, share=0.6, max_epochs=2)
 
 
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -83,6 +93,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_gumbel_segmentation": op1_gumbel_segmentation,
     "op2_minhash_near_dedup": op2_minhash_near_dedup,
     "op3_png_media": op3_png_media,
     "op4_quality_trees": op4_quality_trees,

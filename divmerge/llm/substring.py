@@ -36,6 +36,7 @@ from .textnum import chunks, covered, windows, words
 COVERS = {3: (0, 1), 7: (0, 1, 3), 13: (0, 1, 3, 9)}
 UNIT_BYTES = 4 << 20
 LEAST_ID = -(1 << 63)
+UNIT = "__unit"
 
 
 def cover_of(window: int) -> tuple[int, tuple[int, ...]]:
@@ -202,13 +203,11 @@ def _finish(window: int, what: str):
                     out.append(c.text(j))
                 else:
                     out.append(_cut(c, w, gone, j))
+        if what == "rows":
+            docs = docs.select([c for c in docs.column_names if c != UNIT])
+            return docs.set_column(docs.column_names.index("text"), "text", pa.array(out, pa.binary()).cast(pa.string()))
         ints = lambda x: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64())
-        result = {"doc_id": docs["doc_id"], "n_words": ints(n_words), "n_removed": ints(n_removed)}
-        if what == "digest":
-            result["kept_sha256"] = pa.array(out, pa.string())
-        else:
-            result["kept_text"] = pa.array(out, pa.binary()).cast(pa.string())
-        return pa.table(result)
+        return pa.table({"doc_id": docs["doc_id"], "n_words": ints(n_words), "n_removed": ints(n_removed), "kept_sha256": pa.array(out, pa.string())})
 
     return run
 
@@ -225,20 +224,20 @@ def _cut(c, w, gone: np.ndarray, j: int) -> bytes:
 
 
 def remove_repeats(docs: DataFrame, window: int = 20, what: str = "digest", unit_bytes: int = UNIT_BYTES) -> DataFrame:
-    """``docs(doc_id, text, ...)`` to (doc_id, n_words, n_removed, kept_sha256), or ``kept_text`` for ``what='text'``.
+    """``docs(doc_id, text, ...)`` to (doc_id, n_words, n_removed, kept_sha256), or for ``what='rows'`` to the same rows with the repeats cut out of ``text``.
 
-    ``kept_sha256`` is that of the kept words joined by one space; ``kept_text`` has the text with the removed words cut out.
+    ``kept_sha256`` is that of the kept words joined by one space; cut rows keep the spacing of what stays, and their other columns.
     """
     spark = docs.sparkSession
     ship(spark)
+    docs = docs.withColumn("doc_id", F.col("doc_id").cast("long"))
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     n = max(64, -(-size // unit_bytes))
-    own = docs.select(F.pmod(F.xxhash64("doc_id"), F.lit(n)).alias("unit"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    own = (docs if what == "rows" else docs.select("doc_id", "text")).withColumn(UNIT, F.pmod(F.xxhash64("doc_id"), F.lit(n)))
     blob = "part long, unit long, hashes binary"
-    sent = own.groupBy("unit").applyInArrow(_send_anchors(window, n), blob)
+    sent = own.groupBy(UNIT).applyInArrow(_send_anchors(window, n), blob)
     twice = sent.groupBy("part").applyInArrow(_answer(False), "unit long, hashes binary")
-    cand = own.groupBy("unit").cogroup(twice.groupBy("unit")).applyInArrow(_send_windows(window, n), blob + ", ids binary")
+    cand = own.groupBy(UNIT).cogroup(twice.groupBy("unit")).applyInArrow(_send_windows(window, n), blob + ", ids binary")
     owned = cand.groupBy("part").applyInArrow(_answer(True), "unit long, hashes binary")
-    kept = "kept_sha256 string" if what == "digest" else "kept_text string"
-    return own.groupBy("unit").cogroup(owned.groupBy("unit")).applyInArrow(_finish(window, what), f"doc_id long, n_words long, n_removed long, {kept}")
-
+    schema = docs.schema if what == "rows" else "doc_id long, n_words long, n_removed long, kept_sha256 string"
+    return own.groupBy(UNIT).cogroup(owned.groupBy("unit")).applyInArrow(_finish(window, what), schema)
