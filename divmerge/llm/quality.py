@@ -135,7 +135,7 @@ class Trees:
 def fit_trees(x: np.ndarray, y: np.ndarray, monotone: np.ndarray, n_trees: int = 60, depth: int = 4, rate: float = 0.15, bins: int = 64, l2: float = 1.0, least_rows: int = 10) -> Trees:
     """Boost ``n_trees`` trees of at most ``depth`` levels on the logistic loss."""
     n, f = x.shape
-    edges = [np.unique(np.quantile(x[:, j], np.linspace(0, 1, bins + 1)[1:-1], method="lower")) for j in range(f)]
+    edges = [np.unique(np.quantile(x[:, j], np.linspace(0, 1, bins + 1)[1:-1], method="lower")) if n else np.zeros(0) for j in range(f)]
     code = np.stack([np.searchsorted(edges[j], x[:, j], "left") for j in range(f)], 1)  # bin b: x <= edges[b]
     share = np.clip(y.mean() if n else 1.0, 1e-3, 1 - 1e-3)
     base = float(np.log(share / (1 - share)))
