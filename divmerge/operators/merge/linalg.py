@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -34,25 +35,30 @@ def lists_of(x: np.ndarray, kind: type = np.float32) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array((np.arange(n + 1) * d).astype(np.int32)), pa.array(np.ascontiguousarray(x, kind).reshape(-1)))
 
 
-def summed(df: DataFrame, part, keys: str = "k") -> dict[int, np.ndarray]:
-    """Add up matrices that tasks make: ``part(batches)`` yields (key, matrix); sums are made pairwise in Spark, then collected.
+SPREAD = 32
 
-    What comes to the driver is one matrix for each key.
+
+def summed(df: DataFrame, part) -> dict[int, np.ndarray]:
+    """Add up matrices that tasks make: ``part(batches)`` yields (key, matrix).
+
+    Each task adds its own, the tasks' sums meet in ``SPREAD`` groups for each key and then in one, so no task holds a
+    matrix of every other; what comes to the driver is one matrix for each key.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
         for k, m in part(batches):
             total[k] = total[k] + m if k in total else m
-        ks = sorted(total)
-        yield pa.RecordBatch.from_arrays([pa.array(ks, pa.int32()), pa.array([total[k].astype(np.float64).tobytes() for k in ks], pa.binary())], names=["k", "m"])
+        ks, s = sorted(total), TaskContext.get().partitionId() % SPREAD
+        yield pa.RecordBatch.from_arrays([pa.array(ks, pa.int32()), pa.array([s] * len(ks), pa.int32()), pa.array([total[k].astype(np.float64).tobytes() for k in ks], pa.binary())], names=["k", "s", "m"])
 
     def add(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         m = sum(np.frombuffer(x, np.float64) for x in t["m"].to_pylist())
-        return pa.table({"k": pa.array([key[0].as_py()], pa.int32()), "m": pa.array([m.tobytes()], pa.binary())})
+        return pa.table({"k": pa.array([key[0].as_py()], pa.int32()), "s": pa.array([0], pa.int32()), "m": pa.array([m.tobytes()], pa.binary())})
 
-    parts = df.mapInArrow(run, "k int, m binary")
-    rows = parts.groupBy("k").applyInArrow(add, "k int, m binary").collect()
+    schema = "k int, s int, m binary"
+    parts = df.mapInArrow(run, schema).groupBy("k", "s").applyInArrow(add, schema)
+    rows = parts.groupBy("k").applyInArrow(add, schema).collect()
     return {r["k"]: np.frombuffer(r["m"], np.float64) for r in rows}
 
 
