@@ -599,3 +599,93 @@ def kl_larger_corpus(spark, sf_dir):
     s = number_sentences(corpora.all_sentences(spark, sf_dir), ["src", "doc_id", "pos"])
     route, n = w.route_for(s, "epoch_sample", 10.0, 1)
     return measures.kl_divergence(route, s).withColumn("kl", F.round("kl", 6))
+
+
+# --- joins, windows, sketches and SQL functions that users of the methods need --------------------------------------
+
+
+@query(WITH + ", bands(band, lo, hi) AS (VALUES ('rare', 1, 5), ('low', 5, 20), ('middle', 20, 100), ('frequent', 100, 1000000000)) SELECT band, count(*) AS n_words, CAST(sum(cnt) AS BIGINT) AS n_tokens FROM cnt JOIN bands ON cnt >= lo AND cnt < hi GROUP BY band")
+def frequency_bands(spark, sf_dir):
+    """A range join with a few bands, broadcast."""
+    bands = spark.createDataFrame([("rare", 1, 5), ("low", 5, 20), ("middle", 20, 100), ("frequent", 100, 10**9)], "band string, lo long, hi long")
+    c = token_counts(_sentences(spark, sf_dir))
+    return c.join(F.broadcast(bands), (F.col("cnt") >= F.col("lo")) & (F.col("cnt") < F.col("hi"))).groupBy("band").agg(F.count("*").alias("n_words"), F.sum("cnt").alias("n_tokens"))
+
+
+@query(WITH + ", t AS (SELECT lang, word, count(*) AS cnt FROM tok GROUP BY ALL) SELECT lang, word, cnt, CAST(rk AS INT) AS rk, round(share, 9) AS share FROM (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY cnt DESC, word) AS rk, sum(cnt) OVER (PARTITION BY lang ORDER BY cnt DESC, word ROWS UNBOUNDED PRECEDING) / sum(cnt) OVER (PARTITION BY lang) AS share FROM t) WHERE rk <= 100")
+def zipf_curve(spark, sf_dir):
+    """Rank, count and running share of the 100 most frequent words of each language (a top-k report)."""
+    t = token_counts(_sentences(spark, sf_dir), "lang")
+    o = Window.partitionBy("lang").orderBy(F.desc("cnt"), "word")
+    t = t.withColumn("rk", F.row_number().over(o)).withColumn("share", F.sum("cnt").over(o.rowsBetween(Window.unboundedPreceding, 0)) / F.sum("cnt").over(Window.partitionBy("lang")))
+    return t.where("rk <= 100").select("lang", "word", "cnt", "rk", F.round("share", 9).alias("share"))
+
+
+@query(WITH + r", b AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\p{L}+')) AS word FROM benchmark) SELECT (SELECT count(*) FROM b) AS n_benchmark, (SELECT count(*) FROM (FROM b INTERSECT SELECT word FROM cnt)) AS n_common, (SELECT count(*) FROM (FROM b EXCEPT SELECT word FROM cnt)) AS n_oov")
+def benchmark_oov(spark, sf_dir):
+    """Words of the benchmark passages that the corpus lacks, by set operations."""
+    b = table(spark, sf_dir, "benchmark").select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"\p{L}+"), 0)).alias("word")).distinct()
+    v = token_counts(_sentences(spark, sf_dir)).select("word")
+    return b.agg(F.count("*").alias("n_benchmark")).withColumn("n_common", F.lit(b.intersect(v).count())).withColumn("n_oov", F.lit(b.exceptAll(v).count()))
+
+
+@query()
+def vocabulary_sketches(spark, sf_dir):
+    """(lang, n_types, n_types_hll, median_length): exact and sketched vocabulary sizes, and sentence lengths."""
+    s = _sentences(spark, sf_dir)
+    words = s.select("lang", F.explode("tokens").alias("word")).groupBy("lang").agg(F.countDistinct("word").alias("n_types"), F.hll_sketch_estimate(F.hll_sketch_agg("word")).alias("n_types_hll"))
+    return words.join(s.groupBy("lang").agg(F.percentile_approx(F.size("tokens"), 0.5).alias("median_length")), "lang")
+
+
+@query("SELECT a.vec_id, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) / sqrt(list_dot_product(a.embedding::DOUBLE[], a.embedding::DOUBLE[]) * list_dot_product(b.embedding::DOUBLE[], b.embedding::DOUBLE[])), 6) AS score FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
+def sql_cosine(spark, sf_dir):
+    """The registered SQL functions in a query of SQL."""
+    from .functions.sql import register
+
+    register(spark)
+    table(spark, sf_dir, "embeddings").createOrReplaceTempView("_embeddings")
+    return spark.sql("SELECT a.vec_id, round(vec_cosine(a.embedding, b.embedding), 6) AS score FROM _embeddings a JOIN _embeddings b ON b.vec_id = a.vec_id + 1")
+
+
+@query(WITH + ", p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num) SELECT count(*) AS n_pairs, count(DISTINCT a.word || ' ' || b.word) AS n_kinds FROM p a JOIN p b ON a.sent_id = b.sent_id AND a.at <> b.at AND abs(a.at - b.at) <= 2")
+def sql_window_pairs(spark, sf_dir):
+    """The table function of word pairs, called laterally."""
+    from .functions.sql import register
+    from .session import ship
+
+    ship(spark)
+    register(spark)
+    _sentences(spark, sf_dir).select("tokens").createOrReplaceTempView("_sentences")
+    return spark.sql("SELECT count(*) AS n_pairs, count(DISTINCT p.word || ' ' || p.ctx) AS n_kinds FROM _sentences s, LATERAL window_pairs(s.tokens, 2) p")
+
+
+@query()
+def phase_costs(spark, sf_dir):
+    """(run, phase, name, value): seconds, shuffled bytes and jobs of each phase of a small run."""
+    from .operators.merge.consensus import merge_consensus as consensus
+    from .plans.phases import PhaseTimer, model_bytes
+
+    t = PhaseTimer(spark, "epoch_sample 25%")
+    with t.phase("prepare"):
+        s = materialize(_sentences(spark, sf_dir), "sentences")
+        words = materialize(vocab.global_vocab(s, 500), "vocab")
+    with t.phase("divide"):
+        t.add("divide", "rows_routed", w.route_for(s, "epoch_sample", 25.0, 1, hash_fn="xxhash64")[0].count())
+    with t.phase("train"):
+        sub, n = w.trained(s, "epoch_sample", 25.0, words, _TINY)
+    t.add("train", "model_bytes", model_bytes(sub))
+    with t.phase("merge"):
+        consensus(sub, n, init="random", iters=3).merged.count()
+    return t.frame()
+
+
+@query()
+def baseline_scores(spark, sf_dir):
+    """(method, benchmark, measure, value, answered, missing) of each division merged by consensus, and of the baselines."""
+    return w.division_effect(spark, sf_dir, (25.0,), 500, _TINY, baselines=False)
+
+
+@query()
+def merge_scores(spark, sf_dir):
+    """The same for each merge of the epoch-sampled sub-models, and single ones."""
+    return w.merge_effect(spark, sf_dir, (25.0,), 500, _TINY, singles=2)
