@@ -13,12 +13,12 @@ still open go on to twice the horizon. Arrivals after that cannot win a slot, so
 Plan. Equal word sequences collapse first (a map-side combined aggregate), so a text with thousands of copies is one
 row from there on. In each bucket of each band all members are paired with the least member only, and verified. Where
 the members of a bucket are still in more than one component, those outside its largest component are compared with
-all members, in blocks, by signature (they are passed on at an estimate of ``floor`` or more, seven standard errors
-under 0.8) and then verified. After that every pair of a bucket is linked, known to be unlike, or joined already.
+all its members, exactly, in blocks of bounded size; only links leave a block, never its pairs. After that every pair of a
+bucket is linked, known to be unlike, or joined already.
 Components come from alternating star contractions on tables; nothing is collected.
 
 Defined results: null and wordless texts are classes of their own; rows with null id are left out of classes (their class is
-null); repeated ids count as one document whose text is the least; extra columns do not matter.
+null); rows with equal ids are candidates by each of their texts and are compared by the least; extra columns do not matter.
 """
 
 from __future__ import annotations
@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import discard, materialize, ship
-from .textnum import Words, chunks, mix64, unit, whole, windows, words
+from .textnum import Words, chunks, mix64, trim, unit, whole, windows, words
 
 SHINGLE, SIMILARITY = 5, 0.8
 SLOTS, ROWS = 120, 5  # 24 bands: a pair at 0.8 is missed with probability 7e-5
@@ -91,24 +91,24 @@ def signatures(doc: np.ndarray, h: np.ndarray, count: np.ndarray, n: int, slots:
 
 
 def _sketch(slots: int, rows: int):
-    schema = pa.schema([("doc_id", pa.int64()), ("fp1", pa.int64()), ("fp2", pa.int64()), ("bands", pa.list_(pa.int64())), ("sig", pa.binary())])
+    schema = pa.schema([("doc_id", pa.int64()), ("fp1", pa.int64()), ("fp2", pa.int64()), ("bands", pa.list_(pa.int64()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for c in chunks(b.column("text")):
+            for c in chunks(b.column("text"), 1 << 20):
                 w = words(c)
                 sig = signatures(*shingles(w), c.n, slots)
                 band = np.zeros((c.n, slots // rows), np.uint64)
                 for r in range(rows):
                     band = mix64(band * np.uint64(3) + sig[:, r :: rows])
-                short = (sig >> np.uint64(32)).astype(np.uint32)
                 has = w.count > 0
                 flat, size = band[has].astype(np.int64, copy=False).view(np.int64).reshape(-1), band.shape[1]
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(has * size)]).astype(np.int32)), pa.array(flat))
                 yield pa.RecordBatch.from_arrays([
                     b.column("doc_id").slice(c.lo, c.n), pa.array(whole(w, 1).view(np.int64)), pa.array(whole(w, 2).view(np.int64)),
-                    lists, pa.array([short[i].tobytes() if has[i] else b"" for i in range(c.n)], pa.binary()),
+                    lists,
                 ], schema=schema)
+        trim()
 
     return run
 
@@ -129,22 +129,77 @@ def probability_jaccard(hx: np.ndarray, x: np.ndarray, hy: np.ndarray, y: np.nda
     return float((1.0 / (sx[u] / fx[both] + (sy[-1] - sy[u]) / fy[both])).sum())
 
 
-def _verify(size: int, least: float):
-    def sets(text: pa.ChunkedArray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        for c in chunks(text):
-            doc, h, n = shingles(words(c), size)
-            at = np.searchsorted(doc, np.arange(c.n + 1))
-            for i in range(c.n):
-                yield h[at[i] : at[i + 1]], n[at[i] : at[i + 1]]
+def _sets(text: pa.ChunkedArray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Shingles of all rows of a column: (row, hash, count)."""
+    parts = []
+    for c in chunks(text):
+        doc, h, n = shingles(words(c), size)
+        parts.append((doc + c.lo, h, n))
+    if not parts:
+        return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    return tuple(np.concatenate(x) for x in zip(*parts))  # type: ignore[return-value]
+
+
+def links(left: pa.ChunkedArray, right: pa.ChunkedArray, size: int, least: float, lids: np.ndarray | None = None, rids: np.ndarray | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """For each row of ``left`` the rows of ``right`` at ``least`` or more, and their similarities.
+
+    Three bounds, none of which loses a link. A shingle that only one text of the block holds is shared with none, so the
+    shingles that a text can share bound what any two have in common: most pairs of much edited copies end
+    there. Then, for the rest of a row's partners at once, the sum of min(x_d / X, y_d / Y) over shared shingles, which
+    is no less than the similarity. Only what passes is worked out. Ids tell a text on both sides.
+    """
+    ld, lh, lx = _sets(left, size)
+    rd, rh, ry = _sets(right, size)
+    n, m = len(right), len(left)
+    if not len(lh) or not len(rh):
+        return
+    known, at = np.unique(np.concatenate([rh, lh]), return_inverse=True)
+    rk, lk = at[: len(rh)], at[len(rh) :]
+    twin = np.isin(lids, rids) if lids is not None and rids is not None else np.zeros(m, bool)
+    common = np.bincount(rk, minlength=len(known)) + np.bincount(lk[~twin[ld]], minlength=len(known)) > 1
+
+    def sizes(doc: np.ndarray, x: np.ndarray, k: np.ndarray, rows: int):
+        total = np.maximum(np.bincount(doc, weights=x, minlength=rows), 1)
+        most = np.ones(rows)
+        np.maximum.at(most, doc, x)
+        return np.bincount(doc, minlength=rows), np.bincount(doc, weights=common[k], minlength=rows), np.bincount(doc, weights=x * common[k], minlength=rows) / total, most, np.searchsorted(doc, np.arange(rows + 1)), total
+
+    rn, rs, rf, rmost, rat, rtotal = sizes(rd, ry, rk, n)
+    ln, ls, lf, lmost, lat, _ = sizes(ld, lx, lk, m)
+    share = ry / rtotal[rd]
+    weight = np.zeros(len(known))
+    for i in np.flatnonzero((ln > 0) & (lf >= least - 1e-9)):
+        both = np.minimum(ls[i], rs)
+        plain = (rmost <= 1) & (lmost[i] <= 1)
+        may = np.where(plain, both >= (least - 1e-9) * (ln[i] + rn - both), rf >= least - 1e-9) & (rn > 0)
+        cand = np.flatnonzero(may)
+        if not len(cand):
+            continue
+        length = rat[cand + 1] - rat[cand]
+        own = np.arange(length.sum()) + np.repeat(rat[cand] - (np.cumsum(length) - length), length)
+        of = np.repeat(np.arange(len(cand)), length)
+        h, x = lh[lat[i] : lat[i + 1]], lx[lat[i] : lat[i + 1]]
+        k = lk[lat[i] : lat[i + 1]]
+        weight[k] = x / x.sum()
+        w = weight[rk[own]]
+        weight[k] = 0
+        near = np.bincount(of, weights=np.minimum(w, share[own]), minlength=len(cand)) >= least - 1e-9
+        shared = np.bincount(of, weights=w > 0, minlength=len(cand))
+        sim = shared / (ln[i] + rn[cand] - shared)
+        for j in np.flatnonzero(near & ~plain[cand]):
+            a, b = rat[cand[j]], rat[cand[j] + 1]
+            sim[j] = probability_jaccard(h, x, rh[a:b], ry[a:b])
+        ok = near & (sim >= least - 1e-12)
+        if ok.any():
+            yield int(i), cand[ok], sim[ok]
 
+
+def _verify(size: int, least: float):
     def run(key: tuple[pa.Scalar, ...], leader: pa.Table, members: pa.Table) -> pa.Table:
-        a, b, s = [], [], []
-        if leader.num_rows:
-            hx, x = next(sets(leader["text"].slice(0, 1)))
-            for m, (hy, y) in zip(members["b"].to_pylist(), sets(members["text"])):
-                if len(hx) and len(hy) and (v := probability_jaccard(hx, x, hy, y)) >= least - 1e-12:
-                    a.append(key[0].as_py()), b.append(m), s.append(v)
-        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "similarity": pa.array(s, pa.float64())})
+        b, s = np.zeros(0, np.int64), np.zeros(0)
+        for _, j, s in links(leader["text"].slice(0, 1), members["text"], size, least):
+            b = members["b"].to_numpy()[j]
+        return pa.table({"a": pa.array(np.full(len(b), key[0].as_py() or 0), pa.int64()), "b": pa.array(b, pa.int64()), "similarity": pa.array(s, pa.float64())})
 
     return run
 
@@ -205,35 +260,45 @@ def connected_components(edges: DataFrame, name: str = "cc") -> DataFrame:
     return now.select(F.col("a").alias("node"), F.col("b").alias("component")).union(now.select("b", "b").distinct())
 
 
-def _compare(floor: float):
-    """Pairs between stragglers and members of one block whose signatures agree well enough and whose components differ."""
+def _compare(size: int, least: float):
+    """Links between stragglers and members of one block whose components differ."""
 
     def run(key: tuple[pa.Scalar, ...], left: pa.Table, right: pa.Table) -> pa.Table:
-        a, b = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         if left.num_rows and right.num_rows:
-            sig = [np.frombuffer(b"".join(t["sig"].to_pylist()), np.uint32).reshape(t.num_rows, -1) for t in (left, right)]
-            ids = [t["rep"].to_numpy() for t in (left, right)]
-            comp = [t["component"].to_numpy() for t in (left, right)]
-            found = []
-            for i in range(left.num_rows):
-                near = (sig[1] == sig[0][i]).mean(1) >= floor
-                found += [(ids[0][i], x) for x in ids[1][near & (comp[1] != comp[0][i])]]
-            if found:
-                a, b = np.array([min(x) for x in found], np.int64), np.array([max(x) for x in found], np.int64)
-        return pa.table({"a": pa.array(a), "b": pa.array(b)})
+            ids, comp = ([t[c].to_numpy() for t in (left, right)] for c in ("rep", "component"))
+            for i, j, _ in links(left["text"], right["text"], size, least, *ids):
+                j = j[comp[1][j] != comp[0][i]]
+                j = j[np.unique(comp[1][j], return_index=True)[1]]  # one link joins two components
+                a.append(np.minimum(ids[1][j], ids[0][i])), b.append(np.maximum(ids[1][j], ids[0][i]))
+        return pa.table({"a": pa.array(np.concatenate(a)), "b": pa.array(np.concatenate(b))})
 
     return run
 
 
-def near_duplicates(docs: DataFrame, slots: int = SLOTS, rows: int = ROWS, size: int = SHINGLE, least: float = SIMILARITY, block: int = 512) -> DataFrame:
+def _straggler_links(docs: DataFrame, open_: DataFrame, size: int, least: float, block: int) -> DataFrame:
+    """Verified links (a, b) between each member outside its bucket's main component and all members of the bucket."""
+    ids = materialize(open_.select(F.col("rep").alias("doc_id")).distinct(), "ids")
+    texts = only(docs, ids, "doc_id").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text"))
+    rows = open_.join(texts, "rep")
+    n_i, n_j = (F.ceil(F.col(c) / block).cast("int") for c in ("strays", "n"))
+    of = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
+    left = rows.where("component <> main").select("band", "value", of(n_i).alias("i"), every(n_j).alias("j"), "rep", "component", "text")
+    right = rows.select("band", "value", every(n_i).alias("i"), of(n_j).alias("j"), "rep", "component", "text")
+    left, right = left.toDF("b1", "v1", "i1", "j1", "rep", "component", "text"), right.toDF("b2", "v2", "i2", "j2", "rep", "component", "text")
+    return left.groupBy("b1", "v1", "i1", "j1").cogroup(right.groupBy("b2", "v2", "i2", "j2")).applyInArrow(_compare(size, least), "a long, b long").distinct()
+
+
+def near_duplicates(docs: DataFrame, slots: int = SLOTS, rows: int = ROWS, size: int = SHINGLE, least: float = SIMILARITY, block: int = 256) -> DataFrame:
     """``docs(doc_id, text, ...)`` to (doc_id, class_id, rep_id): the least id of the class, and of the equal texts."""
     spark = docs.sparkSession
     ship(spark)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    sketch = docs.mapInArrow(_sketch(slots, rows), "doc_id long, fp1 long, fp2 long, bands array<long>, sig binary")
+    sketch = docs.mapInArrow(_sketch(slots, rows), "doc_id long, fp1 long, fp2 long, bands array<long>")
     sketch = materialize(sketch, "sketch")
     members = sketch.where("doc_id is not null and size(bands) > 0").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"))
-    reps = materialize(sketch.join(members.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("rep"), "bands", "sig").dropDuplicates(["rep"]), "reps")
+    reps = materialize(sketch.join(members.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("rep"), "fp1", "fp2", "bands").dropDuplicates(["rep", "fp1", "fp2"]).select("rep", "bands"), "reps")
     rows_ = reps.select("rep", F.posexplode("bands").alias("band", "value"))
     leaders = rows_.groupBy("band", "value").agg(F.min("rep").alias("lead"), F.count("*").alias("n")).where("n > 1")
     hot = materialize(rows_.join(leaders, ["band", "value"]), "buckets")
@@ -245,21 +310,10 @@ def near_duplicates(docs: DataFrame, slots: int = SLOTS, rows: int = ROWS, size:
     told = hot.drop("n", "lead").join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
     parts = told.groupBy("band", "value", "component").agg(F.count("*").alias("k"))
     most = parts.groupBy("band", "value").agg(F.max(F.struct("k", F.negative("component").alias("c"))).alias("top"), F.count("*").alias("parts"), F.sum("k").alias("n")).where("parts > 1")
-    most = most.select("band", "value", F.negative("top.c").alias("main"), "n")
-    open_ = materialize(told.join(most, ["band", "value"]).join(reps.select("rep", "sig"), "rep").select("band", "value", "rep", "component", "main", "n", "sig"), "open")
-    blocks = F.ceil(F.col("n") / block).cast("int")
-    mine = F.pmod(F.xxhash64("rep"), blocks).cast("int")
-    every = F.explode(F.sequence(F.lit(0), blocks - 1))
-    left = open_.where("component <> main").select("band", "value", mine.alias("i"), every.alias("j"), "rep", "component", "sig")
-    right = open_.select("band", "value", every.alias("i"), mine.alias("j"), "rep", "component", "sig")
-    named = [["band", "value", "i", "j", "rep", "component", "sig"], ["band2", "value2", "i2", "j2", "rep", "component", "sig"]]
-    left, right = left.toDF(*named[0]), right.toDF(*named[1])
-    se = (least * (1 - least) / slots) ** 0.5
-    more = left.groupBy(named[0][:4]).cogroup(right.groupBy(named[1][:4])).applyInArrow(_compare(least - 7 * se), "a long, b long").distinct()
-    more = materialize(more.join(pairs, ["a", "b"], "left_anti"), "more")
-    if not more.isEmpty():
-        again = materialize(verify_pairs(docs, more, size, least).select("a", "b").union(comp.where("node <> component").select("component", "node")), "edges")
-        comp = materialize(connected_components(again), "comp")
+    most = most.select("band", "value", F.negative("top.c").alias("main"), "n", (F.col("n") - F.col("top.k")).alias("strays"))
+    open_ = materialize(told.join(most, ["band", "value"]).select("band", "value", "rep", "component", "main", "n", "strays"), "open")
+    edges = materialize(_straggler_links(docs, open_, size, least, block).union(comp.where("node <> component").select("component", "node")), "edges")
+    comp = materialize(connected_components(edges), "comp")
     of_rep = members.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("fp1", "fp2", "rep", F.coalesce("component", "rep").alias("class_id"))
-    lone = F.when(F.size("bands") > 0, F.col("class_id")).otherwise(F.col("doc_id"))
+    lone = F.when(F.col("doc_id").isNull() | (F.size("bands") == 0), F.col("doc_id")).otherwise(F.col("class_id"))
     return sketch.select("doc_id", "fp1", "fp2", "bands").join(of_rep, ["fp1", "fp2"], "left").select("doc_id", lone.alias("class_id"), F.coalesce(F.when(F.size("bands") > 0, F.col("rep")), "doc_id").alias("rep_id"))

@@ -6,6 +6,7 @@ Null counts as the empty text everywhere.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -40,6 +41,15 @@ def unit(x: np.ndarray) -> np.ndarray:
     return ((x >> np.uint64(11)).astype(np.float64) + 0.5) * (1.0 / (1 << 53))
 
 
+def trim() -> None:
+    """Hand memory that was freed back to the system: workers live on from stage to stage, beside the JVM's heap."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 class _Powers:
     def __init__(self, base: int) -> None:
         self.base, self.up, self.down = base, np.ones(1, np.uint64), np.ones(1, np.uint64)
