@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import ship
-from .textnum import SPACE, Chunk, chunks, covered, prefix_hash, span_hash, windows, words
+from .textnum import SPACE, Chunk, chunks, covered, prefix_hash, span_hash, trim, windows, words
 
 MAX_LABELLED = 8000
 REPEAT_WINDOW = 8
@@ -194,13 +194,26 @@ def fit_trees(x: np.ndarray, y: np.ndarray, monotone: np.ndarray, n_trees: int =
     return Trees(np.array(roots, np.int64), *(np.array(nodes[k], t) for k, t in types.items()), base, depth)
 
 
+def bounded_sample(rows: DataFrame, key: str, limit: int, seed: int = 11) -> DataFrame:
+    """At most ``limit`` rows, those least by a seeded hash of ``key``.
+
+    A first cut by the hash leaves about the limit over all tasks together, so no task sends a limit of its own.
+    """
+    n = rows.count()
+    h = F.xxhash64(F.lit(seed), F.col(key))
+    if n > 2 * limit:
+        share = (1.2 * limit + 200) / n
+        rows = rows.where(h < F.lit(int(-(1 << 63) + share * (1 << 64))))
+    return rows.orderBy(h, key).limit(limit)
+
+
 def sample_labels(labels: DataFrame, label: str, limit: int, keep=None) -> DataFrame:
     """At most ``limit`` labelled ids, those least by a seeded hash: (doc_id, label)."""
     rows = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull())
     if keep is not None:
         rows = rows.where(keep)
     rows = rows.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(label).cast("int").alias("label"))
-    return rows.orderBy(F.xxhash64(F.lit(11), "doc_id"), "doc_id").limit(limit)
+    return bounded_sample(rows, "doc_id", limit)
 
 
 def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -260,5 +273,6 @@ def keep(docs: DataFrame, model: Trees, least: float = LEAST_SCORE) -> DataFrame
                 base, x = statistics(c)
                 good = ~base_failed(base) & (model.score(x) >= least)
                 yield b.slice(c.lo, c.n).filter(pa.array(good))
+        trim()
 
     return docs.mapInArrow(run, docs.schema)
