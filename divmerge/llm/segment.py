@@ -35,12 +35,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import ship
-from .textnum import _Powers, flat, mix64, mix_int, unit
+from .textnum import _Powers, flat, mix64, mix_int, trim, unit
 
 MARK = 0x2581
 ALPHA = 0.25
 SAMPLES = 2
-CHUNK_CHARS = 2 << 20
+CHUNK_CHARS = 1 << 20
 HEAD = 96  # branch nodes that a path lists one by one
 _PIECE_BASE = 0xC2B2AE3D27D4EB4F
 _pow = _Powers(_PIECE_BASE)
@@ -149,9 +149,11 @@ class Lattice:
         total = int(count.sum())
         self.piece, self.step, source, score = np.empty(total, np.int32), np.empty(total, np.int16), np.empty(total, np.int64), np.empty(total)
         fill = begin.copy()
-        for length, (at, got) in enumerate(hits, 1):
+        for length in range(1, longest + 1):
+            at, got = hits[length - 1]
             to = fill[at]
             fill[at] += 1
+            hits[length - 1] = (at[:0], got[:0])  # done with
             self.piece[to], self.step[to], source[to], score[to] = got, length, at, pieces.score[np.maximum(got, 0)]
         many_bytes = np.flatnonzero(self.piece == -2)
         x = points[source[many_bytes]]
@@ -244,6 +246,10 @@ class Sampler:
         for i in range(len(rows)):
             yield self._row(i, int(salt[i]), paths, unit_of_row[i], unit_of_row[i + 1])
 
+    def release(self) -> None:
+        """Forget the last batch."""
+        self.lat = self.uniforms = None
+
     def _open(self) -> np.ndarray:
         """Units with more than one segmentation."""
         lat = self.lat
@@ -393,6 +399,7 @@ def _sample(path: str, k: int, alpha: float, seed: int, check: bool):
     names = ["doc_id", "rank", "log_prob", "perturbed", "inclusion", "n_pieces", "ids"] + ["round_trip"] * check
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trim()
         who = (path, k, alpha, seed)
         if who not in _samplers:
             _samplers.clear()
@@ -420,6 +427,9 @@ def _sample(path: str, k: int, alpha: float, seed: int, check: bool):
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), pa.array(np.concatenate(pieces).astype(np.int32) if pieces else np.zeros(0, np.int32)))
                 arrays = [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), *(pa.array(c, pa.float64()) for c in cols[2:5]), pa.array(cols[5], pa.int64()), lists]
                 yield pa.RecordBatch.from_arrays(arrays + ([pa.array(same)] if check else []), names=names)
+                del arrays, lists, pieces, cols
+                sampler.release()
+                trim()
                 lo = hi
 
     return run

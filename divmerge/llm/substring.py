@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import ship
-from .textnum import chunks, covered, windows, words
+from .textnum import chunks, covered, trim, windows, words
 
 #: Difference covers: each residue modulo the period is a difference of two members. Fixed values.
 COVERS = {3: (0, 1), 7: (0, 1, 3), 13: (0, 1, 3, 9)}
@@ -140,6 +140,7 @@ def _send_windows(window: int, n_parts: int):
     period, _ = cover_of(window)
 
     def run(key: tuple[pa.Scalar, ...], docs: pa.Table, seen: pa.Table) -> pa.Table:
+        trim()
         docs, known = _ordered(docs), _gathered(seen)
         ws = [(c, words(c)) for c in chunks(docs["text"])]
         anchors = [_anchors(w, window) for _, w in ws]
@@ -176,6 +177,7 @@ def _send_windows(window: int, n_parts: int):
 
 def _finish(window: int, what: str):
     def run(key: tuple[pa.Scalar, ...], docs: pa.Table, seen: pa.Table) -> pa.Table:
+        trim()
         docs, elsewhere = _ordered(docs), _gathered(seen)
         ws = [(c, words(c)) for c in chunks(docs["text"])]
         full = [windows(w, window) for _, w in ws]
