@@ -4,7 +4,9 @@ from pyspark.sql import functions as F
 
 from divmerge.operators import vocab
 from divmerge.operators.corpus import encode
+from divmerge.operators.evaluate import neighbours
 from divmerge.plans import workloads as w
+from divmerge.queries import QUERIES
 
 
 def test_sharded_trainer_reads_every_sentence(spark, sf):
@@ -13,3 +15,15 @@ def test_sharded_trainer_reads_every_sentence(spark, sf):
     of = F.aggregate(F.sequence(F.lit(1), F.lit(10)), F.lit(0), lambda s, d: s + 2 * F.greatest(n - d, F.lit(0)))
     all_pairs = encode(sent, vocab.global_vocab(sent, 500)).agg(F.sum(of)).first()[0]
     assert sent.count() > 2000 and w.sharded_baseline(spark, sf, block=700).first()["pairs"] == all_pairs
+
+
+def test_neighbours_of_every_query_in_blocks(spark):
+    emb = spark.range(300).select(F.concat(F.lit("w"), "id").alias("word"), F.array(F.cos("id"), F.sin("id"), F.cos(F.col("id") * 3)).alias("vec"))
+    q = emb.select(F.col("word").alias("query"), "vec")
+    one, many = ({(r["query"], r["rank"]): (r["word"], r["score"]) for r in neighbours(q, emb, 4, block=b).collect()} for b in (1000, 70))
+    assert one == many and len(one) == 300 * 4
+
+
+def test_search_grows_with_the_table(spark):
+    got = QUERIES["knn_topk_search"](spark, "/root/testdata/sf0.1").select("query").distinct().count()
+    assert got == 40  # of 2,000 rows
