@@ -2,6 +2,7 @@
 
 from pyspark.sql import functions as F
 
+from divmerge.llm import langid
 from divmerge.operators import vocab
 from divmerge.operators.corpus import encode
 from divmerge.operators.evaluate import neighbours
@@ -27,3 +28,22 @@ def test_neighbours_of_every_query_in_blocks(spark):
 def test_search_grows_with_the_table(spark):
     got = QUERIES["knn_topk_search"](spark, "/root/testdata/sf0.1").select("query").distinct().count()
     assert got == 40  # of 2,000 rows
+
+
+def test_languages_keep_every_ngram_and_language(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text", "lang")
+    whole, few = langid.train(docs), langid.train(docs, max_ngrams=500)
+    assert whole.languages == few.languages and len(few.groups) == len(few.languages) > 1
+    a, b = ({r["doc_id"]: r for r in langid.predict(docs, m).collect()} for m in (whole, few))
+    assert a.keys() == b.keys()
+    for k, r in a.items():
+        assert r["lang_pred"] == b[k]["lang_pred"] and abs(r["score"] - b[k]["score"]) < 1e-6 and r["rejected"] == b[k]["rejected"]
+        assert (r["cross_entropy"] is None) == (b[k]["cross_entropy"] is None) and abs((r["cross_entropy"] or 0) - (b[k]["cross_entropy"] or 0)) < 1e-6
+
+
+def test_more_languages_than_two_hundred(spark):
+    rows = [(i, " ".join(chr(0x4E00 + 20 * i + j) * 3 for j in range(5)), f"x{i:03}") for i in range(230)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    m = langid.train(docs)
+    got = {r["doc_id"]: r["lang_pred"] for r in langid.predict(docs, m).collect()}
+    assert len(m.languages) == 230 and all(got[i] == x for i, _, x in rows)
