@@ -81,14 +81,14 @@ def flagship(spark: SparkSession, sf_dir: str, rate: float = 25.0, top: int = 10
     return out
 
 
-def kl_table(spark: SparkSession, sf_dir: str, rates: tuple[float, ...] = (10.0,), orders: tuple[int, ...] = (1, 2), order_by: str = "lang", divisions: tuple[str, ...] = DIVISIONS, seed: int = 1, picks: int = 10) -> DataFrame:
-    """(order_by, division, rate, gram, kl): mean over (at most ``picks``) sub-corpora of the divergence from the corpus."""
+def kl_table(spark: SparkSession, sf_dir: str, rates: tuple[float, ...] = (10.0,), orders: tuple[int, ...] = (1, 2), order_by: str = "lang", divisions: tuple[str, ...] = DIVISIONS, seed: int = 1, picks: int | None = None) -> DataFrame:
+    """(order_by, division, rate, gram, kl): mean over all sub-corpora (or the first ``picks``) of the divergence from the corpus."""
     sent = corpus(spark, sf_dir, order_by)
     total, out = sent.count(), None
     for r in rates:
         for d in divisions:
             route, n = route_for(sent, d, r, 1, seed, n_sentences=total)
-            route = route.where(F.col("model") < picks)
+            route = route if picks is None else route.where(F.col("model") < picks)
             for g in orders:
                 k = measures.kl_divergence(route, sent, g).agg(F.round(F.avg("kl"), 6).alias("kl"))
                 k = k.select(F.lit(order_by).alias("order_by"), F.lit(d).alias("division"), F.lit(float(r)).alias("rate"), F.lit(g).alias("gram"), "kl")

@@ -3,7 +3,7 @@
 from pyspark.sql import functions as F
 
 from divmerge.llm import langid
-from divmerge.operators import vocab
+from divmerge.operators import measures, vocab
 from divmerge.operators.corpus import encode
 from divmerge.operators.evaluate import neighbours
 from divmerge.plans import workloads as w
@@ -47,3 +47,11 @@ def test_more_languages_than_two_hundred(spark):
     m = langid.train(docs)
     got = {r["doc_id"]: r["lang_pred"] for r in langid.predict(docs, m).collect()}
     assert len(m.languages) == 230 and all(got[i] == x for i, _, x in rows)
+
+
+def test_divergence_is_the_mean_over_all_slices(spark, sf):
+    sent = w.corpus(spark, sf)
+    route, n = w.route_for(sent, "sequential", 5.0, 1)
+    each = [r["kl"] for r in measures.kl_divergence(route, sent, 1).collect()]
+    got = w.kl_table(spark, sf, (5.0,), (1,), divisions=("sequential",)).first()["kl"]
+    assert n == len(each) == 20 and abs(got - sum(each) / 20) < 1e-6
