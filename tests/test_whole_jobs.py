@@ -1,9 +1,10 @@
 """Queries and operators that read all they are given, whatever its size."""
 
+import pytest
 from pyspark.sql import functions as F
 
 from divmerge.llm import langid
-from divmerge.operators import measures, vocab
+from divmerge.operators import evaluate, gold, measures, vocab
 from divmerge.operators.corpus import encode
 from divmerge.operators.evaluate import neighbours
 from divmerge.plans import workloads as w
@@ -55,3 +56,16 @@ def test_divergence_is_the_mean_over_all_slices(spark, sf):
     each = [r["kl"] for r in measures.kl_divergence(route, sent, 1).collect()]
     got = w.kl_table(spark, sf, (5.0,), (1,), divisions=("sequential",)).first()["kl"]
     assert n == len(each) == 20 and abs(got - sum(each) / 20) < 1e-6
+
+
+def test_every_analogy_is_answered_in_blocks(spark):
+    emb, q = gold.planted_relations(spark.read.parquet("/root/testdata/sf0.01/embeddings.parquet").limit(120))
+    one, many = ({tuple(r) for r in evaluate.analogy_answers(q, emb, block=b).collect()} for b in (1000, 50))
+    assert one == many and len(many) == q.count() == 132
+
+
+def test_clusters_never_drop_words(spark, monkeypatch):
+    monkeypatch.setattr(evaluate, "MAX_BENCHMARK", 10)
+    emb = spark.range(11).select(F.concat(F.lit("w"), "id").alias("word"), F.array(F.cos("id"), F.sin("id")).alias("vec"))
+    with pytest.raises(ValueError):
+        evaluate.clusters(emb.select("word", F.lit("x").alias("cls")), emb, 2)
