@@ -7,6 +7,10 @@ It reads 8-bit grey, grey-alpha, RGB and RGBA images without interlacing; anythi
 The feature is a 64-bit perceptual hash: luma, averaged down to 32 x 32, two-dimensional cosine transform, the 8 x 8
 lowest frequencies, one bit for each above their median.
 
+Rows are filtered one by one with that of the allowed filters which leaves the least sum of absolute differences, and the
+filters are undone with numpy: row-wise sums for the left filter, column-wise sums for the one above, and for the other two, whose
+pixels wait for their neighbours, all pixels of a diagonal at once.
+
 Defined results: null and empty texts are a payload of one row of spaces; a text of any length is one image; equal texts give
 equal rows; extra columns do not matter. Every step is narrow: no row leaves its partition.
 """
@@ -30,6 +34,8 @@ CHANNELS = {0: 1, 2: 3, 4: 2, 6: 4}  # colour type: samples a pixel; fixed value
 WIDTH = 64
 ROW_BYTES = WIDTH * 3
 SIDE, LOW = 32, 8
+#: Row filters of written images: those undone by sums. The reader undoes all five.
+WRITTEN = (0, 1, 2)
 
 
 class PngError(ValueError):
@@ -40,16 +46,29 @@ def _chunk(kind: bytes, body: bytes) -> bytes:
     return struct.pack(">I", len(body)) + kind + body + struct.pack(">I", zlib.crc32(body, zlib.crc32(kind)))
 
 
-def filter_rows(rows: np.ndarray, bpp: int, kinds: np.ndarray) -> np.ndarray:
-    """Apply row filter ``kinds[i]`` (0 none, 1 left, 2 above, 3 mean, 4 nearest of three) to each row."""
+def _residues(rows: np.ndarray, bpp: int, kind: int) -> np.ndarray:
+    """All rows under one filter: 0 none, 1 left, 2 above, 3 mean of both, 4 nearest of three. Bytes wrap."""
+    if kind == 0:
+        return rows
+    out = rows.copy()
+    if kind == 1:
+        out[:, bpp:] -= rows[:, :-bpp]
+        return out
+    if kind == 2:
+        out[1:] -= rows[:-1]
+        return out
     up = np.vstack([np.zeros_like(rows[:1]), rows[:-1]]).astype(np.int16)
-    now = rows.astype(np.int16)
-    left = np.zeros_like(now)
-    left[:, bpp:] = now[:, :-bpp]
-    corner = np.zeros_like(now)
-    corner[:, bpp:] = up[:, :-bpp]
-    guess = [np.zeros_like(now), left, up, (left + up) >> 1, _nearest(left, up, corner)]
-    return (now - np.choose(kinds[:, None], guess)).astype(np.uint8)
+    left, corner = np.zeros_like(up), np.zeros_like(up)
+    left[:, bpp:], corner[:, bpp:] = rows[:, :-bpp], up[:, :-bpp]
+    return (rows - ((left + up) >> 1 if kind == 3 else _nearest(left, up, corner))).astype(np.uint8)
+
+
+def filter_rows(rows: np.ndarray, bpp: int, kinds: np.ndarray) -> np.ndarray:
+    """Apply row filter ``kinds[i]`` to each row."""
+    out = np.empty_like(rows)
+    for k in np.unique(kinds):
+        out[kinds == k] = _residues(rows, bpp, int(k))[kinds == k]
+    return out
 
 
 def _nearest(a: np.ndarray, b: np.ndarray, c: np.ndarray) -> np.ndarray:
@@ -58,46 +77,52 @@ def _nearest(a: np.ndarray, b: np.ndarray, c: np.ndarray) -> np.ndarray:
     return np.where((pa_ <= pb) & (pa_ <= pc), a, np.where(pb <= pc, b, c))
 
 
+def _diagonals(raw: np.ndarray, kinds: np.ndarray, above: np.ndarray) -> np.ndarray:
+    """Undo filters 3 and 4 over a run of rows (rows, pixels, samples): a pixel needs its left, above and corner, so a diagonal is done at once."""
+    n, width, bpp = raw.shape
+    out = np.zeros((n + 1, width + 1, bpp), np.int16)
+    out[0, 1:] = above
+    mean = (kinds == 3)[:, None]
+    for t in range(n + width - 1):
+        i = np.arange(max(0, t - width + 1), min(n, t + 1))
+        x = t - i
+        a, b, c = out[i + 1, x], out[i, x + 1], out[i, x]
+        out[i + 1, x + 1] = (raw[i, x] + np.where(mean[i], (a + b) >> 1, _nearest(a, b, c))) & 255
+    return out[1:, 1:].astype(np.uint8)
+
+
 def unfilter_rows(rows: np.ndarray, bpp: int, kinds: np.ndarray) -> np.ndarray:
-    """Undo :func:`filter_rows`. Runs of rows of kinds 0 to 2 are undone at once; kinds 3 and 4 go pixel by pixel."""
+    """Undo :func:`filter_rows`: left filters of all rows first, then from above to below the runs that lean on the row above."""
     if (kinds > 4).any():
         raise PngError("unknown row filter")
     out = rows.copy()
     n, width = rows.shape
-    edges = np.flatnonzero(np.diff(kinds, prepend=255))
-    for a, b in zip(edges, np.append(edges[1:], n)):
-        kind = kinds[a]
-        if kind == 1:
-            out[a:b] = np.cumsum(rows[a:b].reshape(b - a, width // bpp, bpp), 1, dtype=np.uint8).reshape(b - a, width)
-        elif kind == 2:
+    if len(on := np.flatnonzero(kinds == 1)):
+        out[on] = np.cumsum(rows[on].reshape(len(on), width // bpp, bpp), 1, dtype=np.uint8).reshape(len(on), width)
+    group = np.array([0, 0, 1, 2, 2])[kinds]
+    edges = np.flatnonzero(np.diff(group, prepend=-1))
+    for a, b in zip(edges.tolist(), [*edges[1:].tolist(), n]):
+        if group[a] == 1:
             out[a:b] = np.cumsum(np.vstack([out[a - 1 : a], rows[a:b]]) if a else rows[a:b], 0, dtype=np.uint8)[1 if a else 0 :]
-        elif kind > 2:
-            for i in range(a, b):
-                up = (out[i - 1] if i else np.zeros(width, np.uint8)).astype(np.int16).reshape(-1, bpp)
-                raw, got = rows[i].astype(np.int16).reshape(-1, bpp), np.zeros((width // bpp, bpp), np.int16)
-                left = corner = np.zeros(bpp, np.int16)
-                for x in range(len(raw)):
-                    left = (raw[x] + ((left + up[x]) >> 1 if kind == 3 else _nearest(left, up[x], corner))) & 255
-                    got[x], corner = left, up[x]
-                out[i] = got.reshape(-1)
+        elif group[a] == 2:
+            above = (out[a - 1] if a else np.zeros(width, np.uint8)).reshape(-1, bpp)
+            out[a:b] = _diagonals(rows[a:b].reshape(b - a, -1, bpp).astype(np.int16), kinds[a:b], above).reshape(b - a, width)
     return out
 
 
-def choose_filters(rows: np.ndarray, bpp: int) -> np.ndarray:
-    """For each row the filter with the least sum of absolute differences."""
-    cost = [np.abs(filter_rows(rows, bpp, np.full(len(rows), k)).view(np.int8).astype(np.int16)).sum(1) for k in range(5)]
-    return np.argmin(cost, 0)
+def choose_filters(rows: np.ndarray, bpp: int, allowed: tuple[int, ...] = (0, 1, 2, 3, 4)) -> tuple[np.ndarray, np.ndarray]:
+    """For each row the allowed filter with the least sum of absolute differences (ties: the first), and the rows under it."""
+    every = [_residues(rows, bpp, k) for k in allowed]
+    at = np.argmin([np.minimum(r, 0 - r).sum(1, dtype=np.int64) for r in every], 0)
+    return np.array(allowed)[at], np.stack(every)[at, np.arange(len(rows))]
 
 
-def encode_png(samples: np.ndarray, adaptive: bool = False, level: int = 1) -> bytes:
-    """(height, width, channels) of 8-bit samples to a PNG file."""
+def encode_png(samples: np.ndarray, filters: tuple[int, ...] = (0, 1, 2, 3, 4), level: int = 1) -> bytes:
+    """(height, width, channels) of 8-bit samples to a PNG file, each row under one of ``filters``."""
     h, w, c = samples.shape
     colour = {v: k for k, v in CHANNELS.items()}[c]
-    rows = samples.reshape(h, w * c)
-    kinds = choose_filters(rows, c) if adaptive else np.zeros(h, np.int64)
     body = np.empty((h, w * c + 1), np.uint8)
-    body[:, 0] = kinds
-    body[:, 1:] = filter_rows(rows, c, kinds) if adaptive else rows
+    body[:, 0], body[:, 1:] = choose_filters(samples.reshape(h, w * c), c, filters)
     return SIGNATURE + _chunk(b"IHDR", struct.pack(">IIBBBBB", w, h, 8, colour, 0, 0, 0)) + _chunk(b"IDAT", zlib.compress(body.tobytes(), level)) + _chunk(b"IEND", b"")
 
 
@@ -177,7 +202,7 @@ def as_samples(text: bytes) -> np.ndarray:
     return np.frombuffer(text.ljust(rows * ROW_BYTES, b" "), np.uint8).reshape(rows, WIDTH, 3)
 
 
-def _write(adaptive: bool, level: int):
+def _write(filters: tuple[int, ...], level: int):
     schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("media", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -187,17 +212,17 @@ def _write(adaptive: bool, level: int):
                 texts = [(x or "").encode() for x in part.column("text").to_pylist()]
                 yield pa.RecordBatch.from_arrays([
                     part.column("doc_id"), pa.array(list(map(len, texts)), pa.int64()),
-                    pa.array([encode_png(as_samples(x), adaptive, level) for x in texts], pa.binary()),
+                    pa.array([encode_png(as_samples(x), filters, level) for x in texts], pa.binary()),
                 ], schema=schema)
 
     return run
 
 
-def write_media(docs: DataFrame, adaptive: bool = False, level: int = 1) -> DataFrame:
-    """``docs(doc_id, text)`` to (doc_id, n_bytes, media): each text as a PNG file."""
+def write_media(docs: DataFrame, filters: tuple[int, ...] = WRITTEN, level: int = 1) -> DataFrame:
+    """``docs(doc_id, text)`` to (doc_id, n_bytes, media): each text as a PNG file, its rows under the best of ``filters``."""
     ship(docs.sparkSession)
     src = docs.selectExpr("cast(doc_id as long) as doc_id", "text")
-    return src.mapInArrow(_write(adaptive, level), "doc_id long, n_bytes long, media binary")
+    return src.mapInArrow(_write(filters, level), "doc_id long, n_bytes long, media binary")
 
 
 MEDIA_COLUMNS = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, phash binary, width int, height int, channels int, error string"
