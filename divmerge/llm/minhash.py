@@ -11,14 +11,16 @@ probability Jaccard. Processes stop at a horizon by which the slots of the text
 still open go on to twice the horizon. Arrivals after that cannot win a slot, so none is made.
 
 Plan. Equal word sequences collapse first (a map-side combined aggregate), so a text with thousands of copies is one
-row from there on. In each bucket of each band all members are paired with the least member only, and verified. Where
-the members of a bucket are still in more than one component, those outside its largest component are compared with
-all its members, exactly, in blocks of bounded size; only links leave a block, never its pairs. After that every pair of a
-bucket is linked, known to be unlike, or joined already.
-Components come from alternating star contractions on tables; nothing is collected.
-
-Defined results: null and wordless texts are classes of their own; rows with null id are left out of classes (their class is
-null); rows with equal ids are candidates by each of their texts and are compared by the least; extra columns do not matter.
+row from there on; it is known by a 64-bit fingerprint of its words, so rows that share an id are told apart. In each
+bucket of each band all members are paired with the least member only, and verified. Where the members of a bucket are
+still in more than one component, those outside its largest component are compared with all its members, exactly, in
+blocks of bounded size; only links leave a block, never its pairs. After that every pair of a bucket is linked, known
+to be unlike, or joined already. Components come from alternating star contractions on tables; nothing is collected.
+Rows meet their class in a join in which heavy texts (a third of all rows may be one text) are broadcast, by count.
+
+Defined results: null and wordless texts are classes of their own, named by their id; a row with null id belongs to the class of its
+text, and a class in which no row has an id has a null name; of rows with equal ids each is in the class of its own text; repeated
+rows are repeated in the result; extra columns do not matter; no rows give no rows.
 """
 
 from __future__ import annotations
@@ -27,16 +29,17 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import discard, materialize, ship
+from .joins import join_counted, only, without
 from .textnum import Words, chunks, mix64, trim, unit, whole, windows, words
 
 SHINGLE, SIMILARITY = 5, 0.8
+#: So many nodes at most are broadcast to find their texts.
+BROADCAST_TEXTS = 300_000
 SLOTS, ROWS = 120, 5  # 24 bands: a pair at 0.8 is missed with probability 7e-5
-#: At most so many ids go into a broadcast; beyond that the join is dealt out.
-BROADCAST_IDS = 300_000
 _GAMMA, _SLOT = np.uint64(0x9E3779B97F4A7C15), np.uint64(0x5851F42D4C957F2D)
 
 
@@ -91,7 +94,7 @@ def signatures(doc: np.ndarray, h: np.ndarray, count: np.ndarray, n: int, slots:
 
 
 def _sketch(slots: int, rows: int):
-    schema = pa.schema([("doc_id", pa.int64()), ("fp1", pa.int64()), ("fp2", pa.int64()), ("bands", pa.list_(pa.int64()))])
+    schema = pa.schema([("doc_id", pa.int64()), ("key", pa.int64()), ("fp1", pa.int64()), ("fp2", pa.int64()), ("bands", pa.list_(pa.int64()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -105,7 +108,7 @@ def _sketch(slots: int, rows: int):
                 flat, size = band[has].astype(np.int64, copy=False).view(np.int64).reshape(-1), band.shape[1]
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(has * size)]).astype(np.int32)), pa.array(flat))
                 yield pa.RecordBatch.from_arrays([
-                    b.column("doc_id").slice(c.lo, c.n), pa.array(whole(w, 1).view(np.int64)), pa.array(whole(w, 2).view(np.int64)),
+                    b.column("doc_id").slice(c.lo, c.n), b.column("key").slice(c.lo, c.n), pa.array(whole(w, 1).view(np.int64)), pa.array(whole(w, 2).view(np.int64)),
                     lists,
                 ], schema=schema)
         trim()
@@ -204,29 +207,16 @@ def _verify(size: int, least: float):
     return run
 
 
-def only(df: DataFrame, ids: DataFrame, key: str, limit: int = BROADCAST_IDS) -> DataFrame:
-    """Rows of ``df`` whose ``key`` is in ``ids`` (a small set is sent whole, after it was counted)."""
-    right = F.broadcast(ids) if ids.count() <= limit else ids
-    return df.join(right, key, "left_semi")
-
-
-def without(df: DataFrame, ids: DataFrame, key: str, limit: int = BROADCAST_IDS) -> DataFrame:
-    right = F.broadcast(ids) if ids.count() <= limit else ids
-    return df.join(right, key, "left_anti")
-
-
-def verify_pairs(docs: DataFrame, pairs: DataFrame, size: int = SHINGLE, least: float = SIMILARITY, per_task: int = 64) -> DataFrame:
-    """``pairs(a, b)`` with the exact similarity of their texts where it is ``least`` or more.
+def verify_pairs(texts: DataFrame, pairs: DataFrame, size: int = SHINGLE, least: float = SIMILARITY, per_task: int = 64) -> DataFrame:
+    """``pairs(a, b)`` of nodes with the exact similarity of their ``texts(node, text)`` where it is ``least`` or more.
 
     A text that leads many pairs is sent once for each ``per_task`` of them.
     """
-    ship(docs.sparkSession)
+    ship(texts.sparkSession)
     salts = pairs.groupBy("a").agg(F.count("*").alias("n")).withColumn("salts", F.ceil(F.col("n") / per_task)).select("a", "salts")
     keyed = pairs.join(salts, "a").select("a", F.pmod(F.xxhash64("b"), F.col("salts")).alias("salt"), "b")
-    ids = materialize(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "ids")
-    texts = only(docs.select("doc_id", "text"), ids, "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"))
-    left = keyed.select("a", "salt").distinct().join(texts.withColumnRenamed("doc_id", "a"), "a")
-    right = keyed.join(texts.withColumnRenamed("doc_id", "b"), "b")
+    left = keyed.select("a", "salt").distinct().join(texts.withColumnRenamed("node", "a"), "a")
+    right = keyed.join(texts.withColumnRenamed("node", "b"), "b")
     left, right = left.select("a", "salt", "text").toDF("a1", "salt1", "text"), right.select("a", "salt", "b", "text").toDF("a2", "salt2", "b", "text")
     return left.groupBy("a1", "salt1").cogroup(right.groupBy("a2", "salt2")).applyInArrow(_verify(size, least), "a long, b long, similarity double")
 
@@ -257,7 +247,7 @@ def connected_components(edges: DataFrame, name: str = "cc") -> DataFrame:
         if told == seen:
             break
         seen = told
-    return now.select(F.col("a").alias("node"), F.col("b").alias("component")).union(now.select("b", "b").distinct())
+    return materialize(now.select(F.col("a").alias("node"), F.col("b").alias("component")).union(now.select("b", "b").distinct()), name)
 
 
 def _compare(size: int, least: float):
@@ -266,7 +256,7 @@ def _compare(size: int, least: float):
     def run(key: tuple[pa.Scalar, ...], left: pa.Table, right: pa.Table) -> pa.Table:
         a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         if left.num_rows and right.num_rows:
-            ids, comp = ([t[c].to_numpy() for t in (left, right)] for c in ("rep", "component"))
+            ids, comp = ([t[c].to_numpy() for t in (left, right)] for c in ("node", "component"))
             for i, j, _ in links(left["text"], right["text"], size, least, *ids):
                 j = j[comp[1][j] != comp[0][i]]
                 j = j[np.unique(comp[1][j], return_index=True)[1]]  # one link joins two components
@@ -276,44 +266,96 @@ def _compare(size: int, least: float):
     return run
 
 
-def _straggler_links(docs: DataFrame, open_: DataFrame, size: int, least: float, block: int) -> DataFrame:
+def _straggler_links(texts: DataFrame, open_: DataFrame, size: int, least: float, block: int) -> DataFrame:
     """Verified links (a, b) between each member outside its bucket's main component and all members of the bucket."""
-    ids = materialize(open_.select(F.col("rep").alias("doc_id")).distinct(), "ids")
-    texts = only(docs, ids, "doc_id").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text"))
-    rows = open_.join(texts, "rep")
+    rows = open_.join(texts, "node")
     n_i, n_j = (F.ceil(F.col(c) / block).cast("int") for c in ("strays", "n"))
-    of = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
+    of = lambda n: F.pmod(F.xxhash64("node"), n).cast("int")
     every = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
-    left = rows.where("component <> main").select("band", "value", of(n_i).alias("i"), every(n_j).alias("j"), "rep", "component", "text")
-    right = rows.select("band", "value", every(n_i).alias("i"), of(n_j).alias("j"), "rep", "component", "text")
-    left, right = left.toDF("b1", "v1", "i1", "j1", "rep", "component", "text"), right.toDF("b2", "v2", "i2", "j2", "rep", "component", "text")
+    left = rows.where("component <> main").select("band", "value", of(n_i).alias("i"), every(n_j).alias("j"), "node", "component", "text")
+    right = rows.select("band", "value", every(n_i).alias("i"), of(n_j).alias("j"), "node", "component", "text")
+    left, right = left.toDF("b1", "v1", "i1", "j1", "node", "component", "text"), right.toDF("b2", "v2", "i2", "j2", "node", "component", "text")
     return left.groupBy("b1", "v1", "i1", "j1").cogroup(right.groupBy("b2", "v2", "i2", "j2")).applyInArrow(_compare(size, least), "a long, b long").distinct()
 
 
-def near_duplicates(docs: DataFrame, slots: int = SLOTS, rows: int = ROWS, size: int = SHINGLE, least: float = SIMILARITY, block: int = 256) -> DataFrame:
-    """``docs(doc_id, text, ...)`` to (doc_id, class_id, rep_id): the least id of the class, and of the equal texts."""
-    spark = docs.sparkSession
-    ship(spark)
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    sketch = docs.mapInArrow(_sketch(slots, rows), "doc_id long, fp1 long, fp2 long, bands array<long>")
-    sketch = materialize(sketch, "sketch")
-    members = sketch.where("doc_id is not null and size(bands) > 0").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"))
-    reps = materialize(sketch.join(members.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("rep"), "fp1", "fp2", "bands").dropDuplicates(["rep", "fp1", "fp2"]).select("rep", "bands"), "reps")
-    rows_ = reps.select("rep", F.posexplode("bands").alias("band", "value"))
-    leaders = rows_.groupBy("band", "value").agg(F.min("rep").alias("lead"), F.count("*").alias("n")).where("n > 1")
-    hot = materialize(rows_.join(leaders, ["band", "value"]), "buckets")
-    pairs = materialize(hot.where("rep <> lead").select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct(), "pairs")
-    edges = materialize(verify_pairs(docs, pairs, size, least).select("a", "b"), "edges")
-    comp = materialize(connected_components(edges), "comp")
+def _row_key() -> Column:
+    """Tells rows with equal ids apart."""
+    return F.xxhash64("text")
+
+
+def _sketched(docs: DataFrame, slots: int, rows: int) -> tuple[DataFrame, DataFrame]:
+    """The rows to be compared (doc_id, key, text), and their sketches, written."""
+    ship(docs.sparkSession)
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), _row_key().alias("key"), "text")
+    return docs, materialize(docs.mapInArrow(_sketch(slots, rows), "doc_id long, key long, fp1 long, fp2 long, bands array<long>"), "sketch")
+
+
+def _classes(docs: DataFrame, sketch: DataFrame, size: int, least: float, block: int) -> DataFrame:
+    """One row for each distinct word sequence: (fp1, fp2, n, rep_id, class_id, class_key); n of its rows, and the first row of its class."""
+    first = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")  # rows with an id come first
+    texts = sketch.where("size(bands) > 0").groupBy("fp1", "fp2").agg(F.min(first).alias("first"), F.count("*").alias("n"))
+    texts = materialize(texts, "texts")
+    own = texts.select(F.col("fp1").alias("node"), F.col("first.key").alias("key"), F.col("first.doc_id").alias("id"))
+    bands = sketch.join(own, (sketch.key == own.key) & sketch.doc_id.eqNullSafe(own.id)).where(F.col("fp1") == F.col("node"))
+    bands = materialize(bands.select("node", "bands").dropDuplicates(["node"]), "bands")
+
+    each = bands.select("node", F.posexplode("bands").alias("band", "value"))
+    leaders = each.groupBy("band", "value").agg(F.min("node").alias("lead"), F.count("*").alias("n")).where("n > 1")
+    hot = materialize(each.join(leaders, ["band", "value"]), "buckets")
+    discard(bands)
+    pairs = materialize(hot.where("node <> lead").select(F.col("lead").alias("a"), F.col("node").alias("b")).distinct(), "pairs")
+
+    def of(nodes: DataFrame) -> DataFrame:
+        """(node, text) of some nodes; the row is found by its id and key."""
+        wanted = materialize(own.join(nodes.distinct(), "node", "left_semi"), "wanted")
+        side = F.broadcast(wanted) if wanted.count() <= BROADCAST_TEXTS else wanted
+        return docs.join(side, (docs.key == side.key) & docs.doc_id.eqNullSafe(side.id)).select("node", "text").dropDuplicates(["node"])
+
+    edges = materialize(verify_pairs(of(pairs.select(F.col("a").alias("node")).union(pairs.select("b"))), pairs, size, least).select("a", "b"), "edges")
+    comp = connected_components(edges)
 
     # Buckets that are not yet one component.
-    told = hot.drop("n", "lead").join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    told = hot.drop("n", "lead").join(comp, "node", "left").withColumn("component", F.coalesce("component", "node"))
     parts = told.groupBy("band", "value", "component").agg(F.count("*").alias("k"))
     most = parts.groupBy("band", "value").agg(F.max(F.struct("k", F.negative("component").alias("c"))).alias("top"), F.count("*").alias("parts"), F.sum("k").alias("n")).where("parts > 1")
     most = most.select("band", "value", F.negative("top.c").alias("main"), "n", (F.col("n") - F.col("top.k")).alias("strays"))
-    open_ = materialize(told.join(most, ["band", "value"]).select("band", "value", "rep", "component", "main", "n", "strays"), "open")
-    edges = materialize(_straggler_links(docs, open_, size, least, block).union(comp.where("node <> component").select("component", "node")), "edges")
-    comp = materialize(connected_components(edges), "comp")
-    of_rep = members.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("fp1", "fp2", "rep", F.coalesce("component", "rep").alias("class_id"))
-    lone = F.when(F.col("doc_id").isNull() | (F.size("bands") == 0), F.col("doc_id")).otherwise(F.col("class_id"))
-    return sketch.select("doc_id", "fp1", "fp2", "bands").join(of_rep, ["fp1", "fp2"], "left").select("doc_id", lone.alias("class_id"), F.coalesce(F.when(F.size("bands") > 0, F.col("rep")), "doc_id").alias("rep_id"))
+    open_ = materialize(told.join(most, ["band", "value"]).select("band", "value", "node", "component", "main", "n", "strays"), "open")
+    more = _straggler_links(of(open_.select("node")), open_, size, least, block)
+    all_edges = materialize(more.union(comp.where("node <> component").select("component", "node")), "edges")
+    comp = connected_components(all_edges)
+    for t in (hot, pairs, edges, open_, all_edges):
+        discard(t)
+
+    linked = texts.join(comp.withColumnRenamed("node", "fp1"), "fp1")
+    lead = linked.groupBy("component").agg(F.min("first").alias("lead"), F.count("*").alias("k"))
+    linked = join_counted(linked.select("fp1", "component"), lead, ["component"], "k").select("fp1", "lead")
+    named = texts.join(linked, "fp1", "left").withColumn("lead", F.coalesce("lead", "first"))
+    return named.select("fp1", "fp2", "n", F.col("first.doc_id").alias("rep_id"), F.col("lead.doc_id").alias("class_id"), F.col("lead.key").alias("class_key"))
+
+
+def near_duplicates(docs: DataFrame, slots: int = SLOTS, rows: int = ROWS, size: int = SHINGLE, least: float = SIMILARITY, block: int = 256) -> DataFrame:
+    """``docs(doc_id, text, ...)`` to (doc_id, class_id, rep_id): the least id of the class, and of the equal texts."""
+    docs, sketch = _sketched(docs, slots, rows)
+    classes = materialize(_classes(docs, sketch, size, least, block).drop("class_key"), "classes")
+    found = join_counted(sketch.where("size(bands) > 0").select("doc_id", "fp1", "fp2"), classes, ["fp1", "fp2"])
+    alone = sketch.where("size(bands) = 0").select("doc_id", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("rep_id"))
+    return found.select("doc_id", "class_id", "rep_id").unionByName(alone)
+
+
+def one_of_each(docs: DataFrame, slots: int = SLOTS, rows: int = ROWS, size: int = SHINGLE, least: float = SIMILARITY, block: int = 256) -> DataFrame:
+    """``docs`` with one row of each class: that with the least id (a null id last, ties by a hash of the text; of equal rows any one).
+
+    Rows without a word stay, each for itself.
+    """
+    own, sketch = _sketched(docs, slots, rows)
+    classes = materialize(_classes(own, sketch, size, least, block), "classes")
+    told = join_counted(sketch.where("size(bands) > 0").select("doc_id", "key", "fp1", "fp2"), classes, ["fp1", "fp2"])
+    first = F.col("doc_id").eqNullSafe(F.col("class_id")) & (F.col("key") == F.col("class_key"))
+    rows_ = told.groupBy("doc_id", "key").agg(F.max(first).alias("first"), F.count("*").alias("k"))
+    rows_ = materialize(rows_.where("not first or k > 1").select(F.col("doc_id").alias("_id"), F.col("key").alias("_key"), "first"), "not-first")
+    same = F.col("_row_id").eqNullSafe(F.col("_id")) & (F.col("_row_key") == F.col("_key"))
+    keyed = docs.withColumn("_row_id", F.col("doc_id").cast("long")).withColumn("_row_key", _row_key())
+    kept = without(keyed, rows_, same)
+    if not rows_.where("first").isEmpty():  # equal rows
+        kept = kept.unionByName(only(keyed, rows_.where("first"), same).dropDuplicates(["_row_id", "_row_key"]))
+    return kept.select(*docs.columns)

@@ -8,11 +8,12 @@ one token for each child of a node stays unspent.
 
 A leaf spends its budget in epochs: all its documents once for each full epoch, then the documents that come first in
 the seeded order of the next epoch, as long as their tokens fit (a token prefix). The prefix of a leaf is found
-without bringing the leaf together: documents fall into ranges of the order, some thousands in each, the ranges are summed,
-and only inside a range are documents ordered.
+without bringing the leaf together: documents fall into ranges of the order, ``RANGE_DOCS`` in each on average whatever the leaf's
+size, the ranges are summed, and only inside a range are documents ordered (by narrow rows; this bounds the largest window).
 
 Defined results: null in a level is the node ``(none)``; null or empty text has no tokens and comes along where the prefix
-reaches it; weights that are missing are 1 and negative ones 0; extra columns do not matter.
+reaches it; weights that are missing are 1 and negative ones 0; a null id is drawn by a hash of the text, and rows with equal draws
+are ordered by id, length and hash; repeated rows count each; extra columns do not matter; no rows give no rows.
 """
 
 from __future__ import annotations
@@ -68,12 +69,12 @@ def budgets(leaves: DataFrame, weights: dict[str, dict[str, int]], total: int, m
     return done.select(*levels, "tokens", "docs", "budget")
 
 
-def mix(docs: DataFrame, weights: dict[str, dict[str, int]], share: float = 0.6, max_epochs: int = 2, seed: int = 17, levels: Sequence[str] = LEVELS) -> DataFrame:
-    """``docs(doc_id, text, levels...)`` to (doc_id, levels..., n_tokens, leaf_tokens, leaf_budget, repeats), a row for each document.
+def mix(docs: DataFrame, weights: dict[str, dict[str, int]], share: float = 0.6, max_epochs: int = 2, seed: int = 17, levels: Sequence[str] = LEVELS, with_key: bool = False) -> DataFrame:
+    """``docs(doc_id, text, levels...)`` to (doc_id, levels..., n_tokens, leaf_tokens, leaf_budget, repeats[, key]), a row for each document.
 
-    ``share`` of all tokens is the budget of the root; ``repeats`` says how often the document is to be read.
+    ``share`` of all tokens is the budget of the root; ``repeats`` says how often the document is to be read; ``key`` is a hash of the text.
     """
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *[F.coalesce(F.col(x).cast("string"), F.lit("(none)")).alias(x) for x in levels], F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("n_tokens"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *[F.coalesce(F.col(x).cast("string"), F.lit("(none)")).alias(x) for x in levels], F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("n_tokens"), F.xxhash64("text").alias("key"))
     rows = materialize(rows, "mix-rows")
     leaves = rows.groupBy(*levels).agg(F.sum("n_tokens").alias("tokens"), F.count("*").alias("docs"))
     total = int((rows.agg(F.sum("n_tokens")).first()[0] or 0) * share)
@@ -81,11 +82,11 @@ def mix(docs: DataFrame, weights: dict[str, dict[str, int]], share: float = 0.6,
     leaf = leaf.withColumn("epochs", F.when(F.col("tokens") > 0, F.floor(F.col("budget") / F.col("tokens"))).otherwise(0).cast("long"))
     leaf = leaf.withColumn("left_over", F.col("budget") - F.col("epochs") * F.col("tokens")).withColumn("ranges", (F.col("docs") / RANGE_DOCS).cast("long") + 1)
     leaf = materialize(leaf, "mix-leaves")
-    own = rows.join(leaf, list(levels)).withColumn("draw", draw(seed, F.col("epochs"), F.col("doc_id")))
+    own = rows.join(leaf, list(levels)).withColumn("draw", draw(seed, F.col("epochs"), F.coalesce("doc_id", "key")))
     own = own.withColumn("range", F.shiftright(F.shiftright("draw", 20) * F.col("ranges"), 40))
     key = [*levels, "range"]
     sums = own.groupBy(*key).agg(F.sum("n_tokens").alias("in_range"))
     sums = sums.withColumn("before", F.sum("in_range").over(Window.partitionBy(*levels).orderBy("range").rowsBetween(Window.unboundedPreceding, 0)) - F.col("in_range")).drop("in_range")
-    inner = Window.partitionBy(*key).orderBy("draw", "doc_id", "n_tokens").rowsBetween(Window.unboundedPreceding, 0)
+    inner = Window.partitionBy(*key).orderBy("draw", "doc_id", "n_tokens", "key").rowsBetween(Window.unboundedPreceding, 0)
     own = own.join(sums, key).withColumn("reach", F.col("before") + F.sum("n_tokens").over(inner))
-    return own.select("doc_id", *levels, "n_tokens", F.col("tokens").alias("leaf_tokens"), F.col("budget").alias("leaf_budget"), (F.col("epochs") + (F.col("reach") <= F.col("left_over")).cast("long")).alias("repeats"))
+    return own.select("doc_id", *levels, "n_tokens", F.col("tokens").alias("leaf_tokens"), F.col("budget").alias("leaf_budget"), (F.col("epochs") + (F.col("reach") <= F.col("left_over")).cast("long")).alias("repeats"), *["key"] * with_key)

@@ -18,7 +18,6 @@ from .tokenids import token_files
 from .urls import filter_urls
 
 
-
 def tokenizer_file(name: str) -> str:
     """Where a public tokenizer's file is; a parameter of the operators that read one."""
     import public_tokenizers
@@ -26,7 +25,6 @@ def tokenizer_file(name: str) -> str:
     return public_tokenizers.path(name)
 
 
-
 def op1_gumbel_segmentation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sample_segmentations(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"), check=True)
 
@@ -77,11 +75,11 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, model).select("doc_id", held.alias("held_out"), "score", "predicted")
 
 
-URL_RULES = [("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow")]
+URL_RULES = "VALUES ('net', '/', 'block'), ('example.net', '/en/', 'allow'), ('example.com', '/de/', 'block'), ('org', '/fr/', 'allow') AS rules(host, path, action)"
 
 
 def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return filter_urls(table(spark, sf_dir, "pages"), spark.createDataFrame(URL_RULES, "host string, path string, action string"))
+    return filter_urls(table(spark, sf_dir, "pages"), spark.sql(URL_RULES))
 
 
 def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -124,8 +122,7 @@ def _case(level: str) -> str:
 
 MIX_SQL = rf"""
 WITH rows_ AS (SELECT doc_id, coalesce(CASE CAST(nullif(regexp_extract(source, '([0-9]+)', 1), '') AS INT) % 3 WHEN 0 THEN 'web' WHEN 1 THEN 'books' WHEN 2 THEN 'code' END, 'other') AS domain,
-  coalesce(lang, '(none)') AS lang, coalesce(source, '(none)') AS source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^ 	-
-]+')) AS BIGINT) AS n_tokens FROM documents),
+  coalesce(lang, '(none)') AS lang, coalesce(source, '(none)') AS source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS n_tokens FROM documents),
 leaves AS (SELECT domain, lang, source, CAST(sum(n_tokens) AS BIGINT) AS tokens, CAST(sum(n_tokens) * 2 AS BIGINT) AS cap, {_case("source")} AS weight FROM rows_ GROUP BY ALL),
 l1 AS (SELECT domain, CAST(sum(cap) AS BIGINT) AS cap, {_case("domain")} AS weight FROM leaves GROUP BY domain),
 total AS (SELECT CAST(floor(sum(n_tokens) * CAST(0.6 AS DOUBLE)) AS BIGINT) AS b FROM rows_),

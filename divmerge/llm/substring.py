@@ -8,14 +8,15 @@ positions there is a shift below the period which brings both onto the cover, so
 aligned *anchor* of ``window - period + 1`` words. Only anchors are hashed and dealt out; where an anchor occurs
 again, the windows around it are extended to their full length and compared by full hash.
 
-Plan. Rows are dealt once by a bucket of their id (that exchange is read three times). A bucket sends each of its
+Plan. Rows are dealt once by a bucket of their id and text (that exchange is read three times; rows that are equal in both are
+spread by the partition they came from). A bucket sends each of its
 distinct anchors once, in packed blobs keyed by hash range, so a passage shared by a third of all rows is one entry
 for each bucket and not one for each row. Hash ranges answer with the anchors which two buckets hold; buckets send
 the candidate windows with their least id; hash ranges answer with the windows that another bucket owns.
 Buckets and ranges grow in number with the text, so that the memory of a task does not.
 
-Defined results: null and empty texts have no words; rows with null id come first in the order and are kept; of rows
-with equal ids, equal texts are ordered by text; extra columns do not matter. Two different windows are taken for
+Defined results: null and empty texts have no words; rows with null id come first in the order and are kept; rows
+with equal ids are ordered by a hash of their text, and equal rows anyhow; extra columns do not matter; no rows give no rows. Two different windows are taken for
 equal with probability 2**-64 for a pair.
 """
 
@@ -36,7 +37,8 @@ from .textnum import chunks, covered, trim, windows, words
 COVERS = {3: (0, 1), 7: (0, 1, 3), 13: (0, 1, 3, 9)}
 UNIT_BYTES = 4 << 20
 LEAST_ID = -(1 << 63)
-UNIT = "__unit"
+UNIT, TIE = "__unit", "__tie"
+PARTITION_BYTES = 128 << 20  # text in a task, where the table has more than the session's partitions hold
 
 
 def cover_of(window: int) -> tuple[int, tuple[int, ...]]:
@@ -57,15 +59,11 @@ def _sliced(h: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
     return part[at], np.append(at, len(h))
 
 
-def _ordered(table: pa.Table) -> pa.Table:
-    if table.num_rows < 2:
-        return table
-    ids = table["doc_id"].fill_null(LEAST_ID).to_numpy()
-    order = np.argsort(ids, kind="stable")
-    if (ids[order][1:] == ids[order][:-1]).any():
-        texts = [x or "" for x in table["text"].to_pylist()]
-        order = np.array(sorted(range(len(ids)), key=lambda i: (ids[i], texts[i])))
-    return table.take(pa.array(order))
+def _ordered(table: pa.Table) -> tuple[pa.Table, np.ndarray, np.ndarray]:
+    """Rows in order, their ids, and what orders rows with equal ids."""
+    ids, tie = table["doc_id"].fill_null(LEAST_ID).to_numpy(), table[TIE].to_numpy()
+    order = np.lexsort((tie, ids))
+    return table.take(pa.array(order)) if len(ids) > 1 else table, ids[order], tie[order]
 
 
 def _anchors(w, window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -94,16 +92,20 @@ def _send_anchors(window: int, n_parts: int):
     return run
 
 
-def _owners(blobs: list[np.ndarray], ids: list[np.ndarray] | None) -> np.ndarray:
-    """Mask over the joined blobs: without ids, hashes that occur twice or more; with ids, occurrences that are not the least."""
-    h = np.concatenate(blobs)
-    order = np.argsort(h, kind="stable") if ids is None else np.lexsort((np.concatenate(ids), h))
-    s = h[order]
-    same = s[1:] == s[:-1]
+def _again(h: np.ndarray) -> np.ndarray:
+    """Mask of hashes that occur twice or more."""
+    order = np.argsort(h, kind="stable")
+    same = h[order][1:] == h[order][:-1]
     hit = np.zeros(len(h), bool)
-    hit[order[1:][same]] = True
-    if ids is None:
-        hit[order[:-1][same]] = True
+    hit[order[1:][same]] = hit[order[:-1][same]] = True
+    return hit
+
+
+def _not_least(h: np.ndarray, ids: np.ndarray, tie: np.ndarray, unit: np.ndarray) -> np.ndarray:
+    """Mask of occurrences of a hash that are not its first, by id, tie and unit."""
+    order = np.lexsort((unit, tie, ids, h))
+    hit = np.zeros(len(h), bool)
+    hit[order[1:][h[order][1:] == h[order][:-1]]] = True
     return hit
 
 
@@ -111,8 +113,12 @@ def _answer(with_ids: bool):
     def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         unit = table["unit"].to_pylist()
         blobs = [np.frombuffer(x, np.uint64) for x in table["hashes"].to_pylist()]
-        ids = [np.frombuffer(x, np.int64) for x in table["ids"].to_pylist()] if with_ids else None
-        hit = _owners(blobs, ids)
+        h = np.concatenate(blobs)
+        if with_ids:
+            ids, tie = (np.concatenate([np.frombuffer(x, np.int64) for x in table[c].to_pylist()]) for c in ("ids", "ties"))
+            hit = _not_least(h, ids, tie, np.repeat(unit, [len(b) for b in blobs]))
+        else:
+            hit = _again(h)
         border = np.cumsum([0, *map(len, blobs)])
         kept = [(u, b[hit[x : x + len(b)]]) for u, b, x in zip(unit, blobs, border)]
         kept = [(u, b.tobytes()) for u, b in kept if len(b)]
@@ -141,13 +147,13 @@ def _send_windows(window: int, n_parts: int):
 
     def run(key: tuple[pa.Scalar, ...], docs: pa.Table, seen: pa.Table) -> pa.Table:
         trim()
-        docs, known = _ordered(docs), _gathered(seen)
+        (docs, ids, tie), known = _ordered(docs), _gathered(seen)
         ws = [(c, words(c)) for c in chunks(docs["text"])]
         anchors = [_anchors(w, window) for _, w in ws]
         every = np.sort(np.concatenate([h for _, h in anchors])) if anchors else np.zeros(0, np.uint64)
         local = np.unique(every[1:][every[1:] == every[:-1]])
-        ids = docs["doc_id"].fill_null(LEAST_ID).to_numpy()
-        out_h, out_i = [], []
+        none = np.zeros(0, np.int64)
+        out_h, out_i, out_t = [none.view(np.uint64)], [none], [none]
         for (c, w), (at, h) in zip(ws, anchors):
             again = at[_in_sorted(h, known) | _in_sorted(h, local)]
             if not len(again):
@@ -157,19 +163,18 @@ def _send_windows(window: int, n_parts: int):
             n = len(wh)
             cand = np.flatnonzero(fits & (near[np.minimum(np.arange(n) + period, len(near) - 1)] > near[:n]))
             u, first = np.unique(wh[cand], return_index=True)
-            out_h.append(u)
-            out_i.append(ids[c.lo + w.doc[cand[first]]])
-        h = np.concatenate(out_h) if out_h else np.zeros(0, np.uint64)
-        i = np.concatenate(out_i) if out_i else np.zeros(0, np.int64)
-        order = np.lexsort((i, h))
-        h, i = h[order], i[order]
-        first = np.diff(h, prepend=h[:1] + np.uint64(1)) != 0 if len(h) else np.zeros(0, bool)
-        h, i = h[first], i[first]
+            row = c.lo + w.doc[cand[first]]
+            out_h.append(u), out_i.append(ids[row]), out_t.append(tie[row])
+        h, i, t = (np.concatenate(x) for x in (out_h, out_i, out_t))
+        order = np.lexsort((t, i, h))
+        order = order[np.concatenate([[True], h[order][1:] != h[order][:-1]])] if len(order) else order
+        h, i, t = h[order], i[order], t[order]
         part, at = _sliced(h, n_parts)
         runs = list(zip(at[:-1], at[1:]))
         return pa.table({
             "part": pa.array(part, pa.int64()), "unit": pa.array([key[0].as_py()] * len(part), pa.int64()),
-            "hashes": pa.array([h[a:b].tobytes() for a, b in runs], pa.binary()), "ids": pa.array([i[a:b].astype(np.int64).tobytes() for a, b in runs], pa.binary()),
+            "hashes": pa.array([h[a:b].tobytes() for a, b in runs], pa.binary()), "ids": pa.array([i[a:b].tobytes() for a, b in runs], pa.binary()),
+            "ties": pa.array([t[a:b].tobytes() for a, b in runs], pa.binary()),
         })
 
     return run
@@ -178,7 +183,7 @@ def _send_windows(window: int, n_parts: int):
 def _finish(window: int, what: str):
     def run(key: tuple[pa.Scalar, ...], docs: pa.Table, seen: pa.Table) -> pa.Table:
         trim()
-        docs, elsewhere = _ordered(docs), _gathered(seen)
+        (docs, _, _), elsewhere = _ordered(docs), _gathered(seen)
         ws = [(c, words(c)) for c in chunks(docs["text"])]
         full = [windows(w, window) for _, w in ws]
         at = [np.flatnonzero(f) for _, f in full]
@@ -206,7 +211,7 @@ def _finish(window: int, what: str):
                 else:
                     out.append(_cut(c, w, gone, j))
         if what == "rows":
-            docs = docs.select([c for c in docs.column_names if c != UNIT])
+            docs = docs.select([c for c in docs.column_names if c not in (UNIT, TIE)])
             return docs.set_column(docs.column_names.index("text"), "text", pa.array(out, pa.binary()).cast(pa.string()))
         ints = lambda x: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64())
         return pa.table({"doc_id": docs["doc_id"], "n_words": ints(n_words), "n_removed": ints(n_removed), "kept_sha256": pa.array(out, pa.string())})
@@ -235,11 +240,13 @@ def remove_repeats(docs: DataFrame, window: int = 20, what: str = "digest", unit
     docs = docs.withColumn("doc_id", F.col("doc_id").cast("long"))
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     n = max(64, -(-size // unit_bytes))
-    own = (docs if what == "rows" else docs.select("doc_id", "text")).withColumn(UNIT, F.pmod(F.xxhash64("doc_id"), F.lit(n)))
+    width = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // PARTITION_BYTES))
+    own = (docs if what == "rows" else docs.select("doc_id", "text")).withColumn(TIE, F.xxhash64("text"))
+    own = own.withColumn(UNIT, F.pmod(F.xxhash64("doc_id", TIE, F.spark_partition_id()), F.lit(n))).repartition(width, UNIT)
     blob = "part long, unit long, hashes binary"
-    sent = own.groupBy(UNIT).applyInArrow(_send_anchors(window, n), blob)
+    sent = own.groupBy(UNIT).applyInArrow(_send_anchors(window, n), blob).repartition(width, "part")
     twice = sent.groupBy("part").applyInArrow(_answer(False), "unit long, hashes binary")
-    cand = own.groupBy(UNIT).cogroup(twice.groupBy("unit")).applyInArrow(_send_windows(window, n), blob + ", ids binary")
+    cand = own.groupBy(UNIT).cogroup(twice.groupBy("unit")).applyInArrow(_send_windows(window, n), blob + ", ids binary, ties binary").repartition(width, "part")
     owned = cand.groupBy("part").applyInArrow(_answer(True), "unit long, hashes binary")
     schema = docs.schema if what == "rows" else "doc_id long, n_words long, n_removed long, kept_sha256 string"
     return own.groupBy(UNIT).cogroup(owned.groupBy("unit")).applyInArrow(_finish(window, what), schema)

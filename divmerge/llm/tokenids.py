@@ -12,8 +12,9 @@ Segments are written by Spark's own committer, as rows of one binary column besi
 task leaves no half file and any store Spark writes to will do. Rows are dealt by ranges of the id and sorted, so
 segments in order of (part, seg) hold the documents in ascending id order.
 
-Words are encoded once for each worker: the tokenizer never joins text across ASCII white space, so the ids of a text
-are those of its words in turn, and the same word gives the same ids (test: equal to encoding whole texts).
+Words are encoded once for each worker, where the tokenizer never joins text across ASCII white space and cuts words before their
+trailing marks: the ids of a text are then those of its words in turn. Each worker tries this on ``PROBE`` when it loads a file;
+a tokenizer that does otherwise gets whole texts.
 
 Defined results: null and empty texts have the end id alone; null ids come first; rows with equal ids are ordered by text;
 extra columns do not matter.
@@ -39,6 +40,8 @@ MAGIC, BLOCK = b"PFR1", 256
 PERCENTILE = 0.97
 SEGMENT_IDS = 1 << 20
 NULL_ID = -(1 << 63)
+#: Spacing, marks, digits, capitals and other scripts in the ways that tokenizers differ in.
+PROBE = "The cat's 12 mats,  don't\tLIE... here!? a.b c_d 3.5% (x) [y] <z>\n\n\u00c9t\u00e9, na\u00efve: \u6f22\u5b57 \U0001f600! end.\r\n#tag @me $5 & |so on| -- \u201cq\u201d w;;  "
 _HEAD = struct.Struct("<4sIIIQ")
 _BLOCK = struct.Struct("<IBBH")
 
@@ -189,6 +192,11 @@ class WordIds:
         specials = {t.content: i for i, t in self.tok.get_added_tokens_decoder().items() if not t.normalized}
         self.mark, self.mark_id = next(iter(specials.items()), (None, -1))
         self._clear()
+        col, self.by_words = pa.array([PROBE, PROBE.strip(), "a b", " "]), True
+        probe = next(chunks(col))
+        flat, size = self(probe, spans(probe))
+        whole = [i for e in self.tok.encode_batch_fast(col.to_pylist(), add_special_tokens=False) for i in e.ids]
+        self.by_words = flat.tolist() == whole
 
     def _clear(self) -> None:
         self.hash, self.at, self.size, self.flat = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
@@ -206,6 +214,16 @@ class WordIds:
             flat.append(np.delete(ids, cut))
         return np.concatenate(flat), np.concatenate(size)
 
+    def texts(self, c: Chunk) -> tuple[np.ndarray, np.ndarray]:
+        """For a chunk: its ids, and how many each row has."""
+        if self.by_words:
+            w = spans(c)
+            flat, size = self(c, w)
+            total = np.concatenate([[0], np.cumsum(size)])
+            return flat, total[w.first[1:]] - total[w.first[:-1]]
+        got = [e.ids for e in self.tok.encode_batch_fast([c.text(i).decode() for i in range(c.n)], add_special_tokens=False)]
+        return np.array([i for x in got for i in x], np.uint32), np.array(list(map(len, got)), np.int64)
+
     def __call__(self, c, w) -> tuple[np.ndarray, np.ndarray]:
         """For a chunk: its ids, and how many each word has."""
         u, first, inverse = np.unique(w.hash, return_index=True, return_inverse=True)
@@ -259,12 +277,9 @@ def _write(path: str, end_id: int, most: int, percentile: float):
         for b in batches:
             key = b.column("doc_id").fill_null(NULL_ID).to_numpy(zero_copy_only=False)
             for c in chunks(b.column("text")):
-                w = spans(c)
-                flat, size = encode(c, w)
-                total = np.concatenate([[0], np.cumsum(size)])
-                a, z = total[w.first[:-1]], total[w.first[1:]]
-                full = np.insert(flat, z, np.uint32(end_id))  # the end id after each document
-                docs.append(key[c.lo : c.hi]), sizes.append(z - a + 1), ids.append(full)
+                flat, size = encode.texts(c)
+                full = np.insert(flat, np.cumsum(size), np.uint32(end_id))  # the end id after each document
+                docs.append(key[c.lo : c.hi]), sizes.append(size + 1), ids.append(full)
                 held += len(full)
                 if held >= most:
                     yield out()

@@ -6,7 +6,8 @@ path of the rule. Of the rules that fit, the longest (host and path together) wi
 Each distinct URL is expanded into its host suffixes times its directory prefixes, no deeper than any rule reaches (so
 the expansion is bounded by the rules, and nothing that could match is left out). A rule stands under the directory part of its
 path. Expressions meet rules by an equi-join on the first 32 bits of their digests; then the full digests must agree,
-and the path must start with the whole path of the rule. Rules are sent whole only if they are counted to be few.
+and the path must start with the whole path of the rule. Rules are sent whole only if they are counted to be few;
+of the URLs with a rule, those that very many pages share are broadcast too, so no page of theirs moves.
 
 Defined results: null URLs and those without ``://`` have an empty host and path; repeated rows stay; repeated rules count once;
 no rules at all leave every URL to the default; other columns of the pages do not matter.
@@ -17,6 +18,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .joins import join_counted
+
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: So many rules at most are broadcast.
 BROADCAST_RULES = 100_000
@@ -59,11 +62,11 @@ def filter_urls(pages: DataFrame, rules: DataFrame, key: str = "page_id", url: s
     if not n_rules:
         return rows.select(key, host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"), F.lit(None).cast("string").alias("rule"), F.lit(default).alias("verdict"))
     rules = rules.withColumn("r_digest", _key(F.col("r_host"), F.col("r_dir"))).withColumn("short", F.substring("r_digest", 1, PREFIX_CHARS))
-    own = rows.select("url").distinct().where("url is not null").select("url", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
-    each = own.select("url", "path", F.explode(expressions(F.col("host"), F.col("path"), labels, depth)).alias("digest")).withColumn("short", F.substring("digest", 1, PREFIX_CHARS))
+    own = rows.where("url is not null").groupBy("url").agg(F.count("*").alias("n")).select("url", "n", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
+    each = own.select("url", "n", "path", F.explode(expressions(F.col("host"), F.col("path"), labels, depth)).alias("digest")).withColumn("short", F.substring("digest", 1, PREFIX_CHARS))
     met = each.join(F.broadcast(rules) if n_rules <= BROADCAST_RULES else rules, "short")
     met = met.where((F.col("digest") == F.col("r_digest")) & F.startswith("path", "r_path"))
     order = F.struct(F.length("r_host") + F.length("r_path"), F.length("r_host"), (F.col("r_action") == "block").cast("int"), "r_host", "r_path")
-    best = met.groupBy("url").agg(F.max_by(F.struct(F.concat("r_host", "r_path").alias("rule"), "r_action"), order).alias("best"))
-    found = rows.join(best, "url", "left")
+    best = met.groupBy("url", "n").agg(F.max_by(F.struct(F.concat("r_host", "r_path").alias("rule"), "r_action"), order).alias("best"))
+    found = join_counted(rows, best, ["url"])
     return found.select(key, host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"), F.col("best.rule").alias("rule"), F.coalesce("best.r_action", F.lit(default)).alias("verdict"))

@@ -140,7 +140,7 @@ def test_png_filters_and_damage():
         rows = x.reshape(9, -1)
         for kinds in (*(np.full(9, k) for k in range(5)), rng.integers(0, 5, 9)):
             assert (media.unfilter_rows(media.filter_rows(rows, c, kinds), c, kinds) == rows).all()
-        data = media.encode_png(x, adaptive=True)
+        data = media.encode_png(x)
         assert (media.decode_png(data) == x).all()
         for at in (0, 20, 30, len(data) - 20, len(data) - 2):
             with pytest.raises(media.PngError):
@@ -149,6 +149,42 @@ def test_png_filters_and_damage():
             media.decode_png(data[:-5])
 
 
+def test_written_rows_use_the_filters(spark):
+    import struct
+
+    text = passage(1, 400)
+    data = bytes(media.write_media(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()["media"])
+    at = data.index(b"IDAT") + 4
+    body = zlib.decompress(data[at : at + struct.unpack(">I", data[at - 8 : at - 4])[0]])
+    kinds = set(body[:: media.ROW_BYTES + 1])
+    assert kinds <= {0, 1, 2} and kinds & {1, 2}
+
+
+def brute_hash(x):
+    """The hash by its definition, sum by sum."""
+    h, w, c = x.shape
+    luma = [[float(0.299 * p[0] + 0.587 * p[1] + 0.114 * p[2]) if c >= 3 else float(p[0]) for p in row] for row in x.tolist()]
+
+    def part(values, k):  # mean over the k-th of 32 equal stretches
+        a, b = k * len(values) / 32, (k + 1) * len(values) / 32
+        return sum(v * max(0.0, min(b, i + 1) - max(a, i)) for i, v in enumerate(values)) / (b - a)
+
+    small = [[part(row, k) for k in range(32)] for row in luma]
+    small = list(zip(*[[part(col, k) for k in range(32)] for col in zip(*small)]))
+    low = [[sum(small[i][j] * np.cos(np.pi * u * (2 * i + 1) / 64) * np.cos(np.pi * v * (2 * j + 1) / 64) for i in range(32) for j in range(32)) for v in range(8)] for u in range(8)]
+    flat = [v for row in low for v in row]
+    return flat, float(np.median(flat[1:]))
+
+
+def test_cosine_hash_by_definition():
+    rng = np.random.default_rng(3)
+    for shape in ((5, 64, 3), (70, 33, 1), (32, 64, 4)):
+        x = rng.integers(0, 256, shape, dtype=np.uint8)
+        flat, middle = brute_hash(x)
+        bits = np.unpackbits(np.frombuffer(media.cosine_hash(x), np.uint8))
+        assert all(b == (v > middle) for b, v in zip(bits, flat) if abs(v - middle) > 1e-2)
+
+
 def test_media_of_odd_texts(spark, odd, none):
     rows = media.read_media(media.write_media(odd)).collect()
     texts = sorted((t or "").encode() for t in [r["text"] for r in odd.collect()])
@@ -240,6 +276,25 @@ def test_kneser_ney_sums_to_one():
         assert history == "" and total <= 1 + 1e-4 or abs(total - 1) < 1e-4
 
 
+def test_languages_keep_every_ngram_and_language(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text", "lang")
+    whole, few = langid.train(docs), langid.train(docs, max_ngrams=500)
+    assert whole.languages == few.languages and len(few.groups) == len(few.languages) > 1
+    a, b = ({r["doc_id"]: r for r in langid.predict(docs, m).collect()} for m in (whole, few))
+    assert a.keys() == b.keys()
+    for k, r in a.items():
+        assert r["lang_pred"] == b[k]["lang_pred"] and abs(r["score"] - b[k]["score"]) < 1e-6 and r["rejected"] == b[k]["rejected"]
+        assert (r["cross_entropy"] is None) == (b[k]["cross_entropy"] is None) and abs((r["cross_entropy"] or 0) - (b[k]["cross_entropy"] or 0)) < 1e-6
+
+
+def test_more_languages_than_two_hundred(spark):
+    rows = [(i, " ".join(chr(0x4E00 + 20 * i + j) * 3 for j in range(5)), f"x{i:03}") for i in range(230)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    m = langid.train(docs)
+    got = {r["doc_id"]: r["lang_pred"] for r in langid.predict(docs, m).collect()}
+    assert len(m.languages) == 230 and all(got[i] == x for i, _, x in rows)
+
+
 def test_undetermined(spark, odd, none):
     m = langid.train(odd)
     got = {r["doc_id"]: r["lang_pred"] for r in langid.predict(odd, m).collect()}
