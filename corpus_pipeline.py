@@ -10,7 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from divmerge.llm import quality
-from divmerge.llm.minhash import near_duplicates, without
+from divmerge.llm.joins import without
+from divmerge.llm.minhash import one_of_each
 from divmerge.llm.mixing import mix
 from divmerge.llm.queries import WEIGHTS, tokenizer_file, with_domain
 from divmerge.llm.segment import sample_segmentations
@@ -19,14 +20,17 @@ from divmerge.session import materialize, table
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that fail the base rule or the trees go; nulls and empty texts have no words and fail."""
+    """Documents that fail the base rule or the trees go; nulls and empty texts have no words and fail. Null ids and repeated rows are judged like all others."""
     return quality.keep(docs, quality.train(docs, table(spark, sf_dir, "labels")))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each near-duplicate class the document with the least id stays."""
-    gone = near_duplicates(docs).where("class_id <> doc_id").select("doc_id").distinct()
-    return without(docs, materialize(gone, "near-copies"), "doc_id").select(*docs.columns)
+    """Of each near-duplicate class one row stays, that with the least id.
+
+    Rows are told apart by id and text: of rows that share an id each is judged by its own text, of equal rows one stays, and
+    a row without an id stays only where its class has none with one. Rows without a word (null, empty) all stay.
+    """
+    return one_of_each(docs)
 
 
 def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,14 +40,20 @@ def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Four fifths of the tokens, shared out by weight; a document is in its leaf's prefix of the first epoch, or goes."""
-    chosen = mix(with_domain(docs.select("doc_id", "text", "lang", "source")), WEIGHTS, share=0.8, max_epochs=1)
-    gone = materialize(chosen.where("repeats = 0 and doc_id is not null").select("doc_id").distinct(), "not-chosen")
-    return without(docs, gone, "doc_id").select(*docs.columns)
+    """Four fifths of the tokens, shared out by weight; a document is in its leaf's prefix of the first epoch, or goes.
+
+    Rows are told apart by id, text, language and source; rows equal in all of these go together unless the prefix holds
+    them all. Null and empty texts have no tokens and stay where the prefix reaches them.
+    """
+    chosen = mix(with_domain(docs.select("doc_id", "text", "lang", "source")), WEIGHTS, share=0.8, max_epochs=1, with_key=True)
+    gone = materialize(chosen.where("repeats = 0").select(*[F.col(c).alias(f"_{c}") for c in ("doc_id", "key", "lang", "source")]).distinct(), "not-chosen")
+    leaf = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("(none)")) == F.col(f"_{c}")
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("_doc_id")) & (F.xxhash64("text") == F.col("_key")) & leaf("lang") & leaf("source")
+    return without(docs, gone, same).select(*docs.columns)
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sampled segmentations of every document, checked by decoding them."""
+    """Sampled segmentations of every document, checked by decoding them; null and empty texts have the empty one."""
     return sample_segmentations(docs, tokenizer_file("piece_bpe_32k.model"), check=True)
 
 
