@@ -1,7 +1,8 @@
 """The skip-gram kernel: negative sampling on minibatches, in numpy.
 
-A minibatch sums the gradients of its pairs into the rows they touch (sort and ``reduceat``), each row's sum divided by the
-square root of the number of pairs in it: frequent words would otherwise take many steps at once.
+A minibatch is a set of positions with all their contexts. It sums the gradients of its pairs into the rows they touch (sort
+and ``reduceat``), each row's sum divided by the square root of the number of pairs in it: frequent words would otherwise
+take many steps at once. The pairs of a position share their negatives, which is a fifth of the work of drawing them apart.
 """
 
 from __future__ import annotations
@@ -32,39 +33,47 @@ class NoiseTable:
     def __init__(self, counts: np.ndarray, power: float = 0.75) -> None:
         w = np.asarray(counts, np.float64) ** power
         self.cum = np.cumsum(w / w.sum())
-        self.cum[-1] = 1.0
+        self.cum[-1:] = 1.0
 
     def draw(self, rng: np.random.Generator, n: int) -> np.ndarray:
         return np.searchsorted(self.cum, rng.random(n), "right").clip(max=len(self.cum) - 1)
 
 
 def sigmoid(x: np.ndarray) -> np.ndarray:
-    return 1.0 / (1.0 + np.exp(-np.clip(x, -30, 30)))
+    return 1 / (1 + np.exp(-np.clip(x, -30, 30)))
+
+
+def contexts_of(ids: np.ndarray, sent: np.ndarray, window: int, rng: np.random.Generator | None = None) -> np.ndarray:
+    """(positions, 2 * reach) context ids within ``window`` positions of one sentence, -1 where there is none; with ``rng`` each word's window is shrunk at random."""
+    n = len(ids)
+    reach = rng.integers(1, window + 1, n) if rng is not None else None
+    d_max = min(window, max(0, n - 1))
+    out = np.full((n, 2 * d_max), -1, np.int32)
+    for d in range(1, d_max + 1):
+        left = np.flatnonzero(sent[:-d] == sent[d:])
+        if not len(left):  # no sentence is longer
+            return out[:, : 2 * (d - 1)]
+        right = left + d
+        l, r = (left, right) if reach is None else (left[reach[left] >= d], right[reach[right] >= d])
+        out[l, 2 * d - 2] = ids[l + d]
+        out[r, 2 * d - 1] = ids[r - d]
+    return out
 
 
 def pairs_of(ids: np.ndarray, sent: np.ndarray, window: int, rng: np.random.Generator | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """(word, context) ids within ``window`` positions of one sentence; with ``rng`` each word's window is shrunk at random."""
-    reach = rng.integers(1, window + 1, len(ids)) if rng is not None else None
-    w, c = [], []
-    for d in range(1, min(window, max(0, len(ids) - 1)) + 1):
-        a = np.flatnonzero(sent[:-d] == sent[d:])
-        left, right = a, a + d
-        if reach is not None:
-            l, r = left[reach[left] >= d], right[reach[right] >= d]
-            w += [ids[l], ids[r]]
-            c += [ids[l + d], ids[r - d]]
-        else:
-            w += [ids[left], ids[right]]
-            c += [ids[right], ids[left]]
-    return (np.concatenate(w), np.concatenate(c)) if w else (ids[:0], ids[:0])
-
-
-def _scatter(matrix: np.ndarray, rows: np.ndarray, grads: np.ndarray, rate: float) -> None:
+    """(word, context) ids within ``window`` positions of one sentence."""
+    c = contexts_of(ids, sent, window, rng)
+    at, col = np.nonzero(c >= 0)
+    return ids[at], c[at, col].astype(ids.dtype)
+
+
+def _scatter(matrix: np.ndarray, rows: np.ndarray, grads: np.ndarray, weight: np.ndarray | None, rate: float) -> None:
+    """Add to each row the sum of its gradients over the square root of the pairs in it (``weight`` pairs for each gradient, or one)."""
     order = np.argsort(rows, kind="stable")
-    at = np.flatnonzero(np.diff(rows[order], prepend=-1))
-    u = rows[order][at]
-    k = np.diff(np.append(at, len(rows)))
-    matrix[u] += (rate / np.sqrt(k))[:, None].astype(np.float32) * np.add.reduceat(grads[order], at, 0)
+    own = rows[order]
+    at = np.flatnonzero(np.diff(own, prepend=-1))
+    k = np.diff(np.append(at, len(rows))) if weight is None else np.add.reduceat(weight[order], at)
+    matrix[own[at]] += (rate / np.sqrt(k))[:, None].astype(np.float32) * np.add.reduceat(grads[order], at, 0)
 
 
 class SkipGram:
@@ -81,35 +90,47 @@ class SkipGram:
         self.pairs = 0
 
     def gradients(self, w: np.ndarray, c: np.ndarray, neg: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
-        """Gradients (to climb) of the pair objective for words, contexts and negatives, and its mean value."""
+        """Gradients (to climb) of the objective of positions, for words (b), contexts (b, m) and negatives (b, k), and its sum.
+
+        ``c`` is -1 where a position has no context. A position's pairs share its negatives, each of which weighs as many as
+        there are pairs: the word's vector is the same in all, so that is the sum over pairs with the same draws.
+        """
+        on = c >= 0
+        many = on.sum(1).astype(np.float32)
         x, y, z = self.words[w], self.contexts[c], self.contexts[neg]
-        pos = np.einsum("ij,ij->i", x, y)
-        no = np.einsum("ij,ikj->ik", x, z)
-        gp, gn = (1.0 - sigmoid(pos)).astype(np.float32), (-sigmoid(no)).astype(np.float32)
-        gx = gp[:, None] * y + np.einsum("ik,ikj->ij", gn, z)
-        value = float(-(np.logaddexp(0, -pos).sum() + np.logaddexp(0, no).sum()) / max(1, len(w)))
-        return gx, gp[:, None] * x, gn[:, :, None] * x[:, None, :], value
+        pos, no = np.matmul(y, x[:, :, None])[:, :, 0], np.matmul(z, x[:, :, None])[:, :, 0]
+        gp = (np.float32(1) - sigmoid(pos)) * on
+        gn = -sigmoid(no) * many[:, None]
+        gx = np.matmul(gp[:, None, :], y)[:, 0] + np.matmul(gn[:, None, :], z)[:, 0]
+        value = float(-(np.logaddexp(0, -pos) * on).sum() - (np.logaddexp(0, no) * many[:, None]).sum())
+        return gx, gp[:, :, None] * x[:, None, :], gn[:, :, None] * x[:, None, :], value
 
     def train(self, ids: np.ndarray, sent: np.ndarray, progress: float) -> float:
-        """One pass over sentences (ids with their sentence numbers); ``progress`` in [0, 1] sets the learning rate."""
+        """One pass over sentences (ids with their sentence numbers); ``progress`` in [0, 1] sets the learning rate. The mean objective of a pair."""
         cfg = self.cfg
         self.seen += np.bincount(ids, minlength=len(self.seen))
         if cfg.subsample:
             f = self.counts[ids] / self.counts.sum()
             keep = self.rng.random(len(ids)) < np.sqrt(cfg.subsample / np.maximum(f, 1e-12))
             ids, sent = ids[keep], sent[keep]
-        w, c = pairs_of(ids, sent, cfg.window, self.rng if cfg.dynamic_window else None)
-        if not len(w):
+        c = contexts_of(ids, sent, cfg.window, self.rng if cfg.dynamic_window else None)
+        many = (c >= 0).sum(1)
+        order = self.rng.permutation(np.flatnonzero(many))
+        if not len(order):
             return 0.0
-        order = self.rng.permutation(len(w))
         rate = max(cfg.least_rate, cfg.rate * (1.0 - progress))
-        value = 0.0
-        for lo in range(0, len(w), cfg.batch_pairs):
-            pick = order[lo : lo + cfg.batch_pairs]
+        value, step = 0.0, max(1, cfg.batch_pairs // max(1, c.shape[1]))
+        for lo in range(0, len(order), step):
+            pick = order[lo : lo + step]
+            own, near = ids[pick], c[pick]
             neg = self.noise.draw(self.rng, len(pick) * cfg.negatives).reshape(len(pick), -1)
-            gx, gy, gz, v = self.gradients(w[pick], c[pick], neg)
-            value += v * len(pick)
-            _scatter(self.words, w[pick], gx, rate)
-            _scatter(self.contexts, np.concatenate([c[pick], neg.reshape(-1)]), np.concatenate([gy, gz.reshape(-1, cfg.dim)]), rate)
-        self.pairs += len(w)
-        return value / len(w)
+            gx, gy, gz, v = self.gradients(own, near, neg)
+            value += v
+            on, m = near >= 0, many[pick]
+            _scatter(self.words, own, gx, m, rate)
+            rows = np.concatenate([near[on], neg.reshape(-1).astype(np.int32)])
+            weight = np.concatenate([np.ones(int(m.sum()), m.dtype), np.repeat(m, cfg.negatives)])
+            _scatter(self.contexts, rows, np.concatenate([gy[on], gz.reshape(-1, cfg.dim)]), weight, rate)
+        pairs = int(many.sum())
+        self.pairs += pairs
+        return value / pairs

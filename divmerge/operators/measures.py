@@ -11,32 +11,41 @@ from ..functions.vectors import cosine
 from .corpus import bigrams, token_counts
 
 
-def kl_from_counts(sub: DataFrame, full: DataFrame, key: Sequence[str]) -> DataFrame:
-    """(model, kl): sum p ln(p / q) from ``sub(model, key..., cnt)`` to ``full(key..., cnt)``; the support of sub lies in that of full."""
-    total = full.agg(F.sum("cnt")).first()[0] or 1
-    q = full.select(*key, (F.col("cnt") / total).alias("q"))
-    size = sub.groupBy("model").agg(F.sum("cnt").alias("t"))
-    p = sub.join(F.broadcast(size), "model").select("model", *key, (F.col("cnt") / F.col("t")).alias("p"))
-    return p.join(q, list(key)).groupBy("model").agg(F.sum(F.col("p") * F.log(F.col("p") / F.col("q"))).alias("kl"))
+def kl_from_counts(sub: DataFrame, full: DataFrame, key: Sequence[str], by: Sequence[str] = ("model",)) -> DataFrame:
+    """(by..., kl): sum p ln(p / q) from ``sub(by..., key..., cnt)`` to ``full(key..., cnt)``; the support of sub lies in that of full.
 
+    With t and T the totals this is sum(cnt ln(cnt / q)) / t + ln(T / t), so one join and one pass are enough.
+    """
+    q = full.select(*key, F.col("cnt").alias("_q"))
+    total = full.agg(F.sum("cnt").cast("double").alias("_all"))
+    c = F.col("cnt").cast("double")
+    sums = sub.join(q, list(key)).groupBy(*by).agg(F.sum(c * F.log(c / F.col("_q"))).alias("s"), F.sum(c).alias("t"))
+    return sums.join(F.broadcast(total)).select(*by, (F.col("s") / F.col("t") + F.log(F.col("_all") / F.col("t"))).alias("kl"))
 
-def kl_divergence(route: DataFrame, sent: DataFrame, order: int = 1) -> DataFrame:
-    """KL of every sub-corpus of a route to the corpus, on words (1) or adjacent pairs (2)."""
-    rows = route.select("model", "sent_id", "mult").join(sent.select("sent_id", "tokens"), "sent_id")
-    if order == 1:
-        sub = rows.select("model", "mult", F.explode("tokens").alias("word")).groupBy("model", "word").agg(F.sum("mult").alias("cnt"))
-        return kl_from_counts(sub, token_counts(sent), ["word"])
-    sub = bigrams(rows, "model", "mult").groupBy("model", "w1", "w2").agg(F.sum(F.col("cnt") * F.col("mult")).alias("cnt"))
-    return kl_from_counts(sub, bigrams(sent), ["w1", "w2"])
+
+def counts_of(rows: DataFrame, order: int, *by: str) -> DataFrame:
+    """Counts of words (1) or adjacent pairs (2), times ``mult`` where there is one: (by..., word, cnt) or (by..., w1, w2, cnt)."""
+    if "mult" not in rows.columns:
+        return token_counts(rows, *by) if order == 1 else bigrams(rows, *by)
+    each = token_counts(rows, *by, "mult") if order == 1 else bigrams(rows, *by, "mult")
+    return each.groupBy(*by, *KEYS[order]).agg(F.sum(F.col("cnt") * F.col("mult")).alias("cnt"))
+
+
+KEYS = {1: ("word",), 2: ("w1", "w2")}
+
+
+def kl_divergence(route: DataFrame, sent: DataFrame, order: int = 1, by: Sequence[str] = ("model",)) -> DataFrame:
+    """KL of every sub-corpus of ``route(by..., mult, tokens)`` to the corpus, on words (1) or adjacent pairs (2)."""
+    return kl_from_counts(counts_of(route, order, *by), counts_of(sent, order), KEYS[order], by)
 
 
 def shifted_pmi(pairs: DataFrame, k: int = 1, positive: bool = False) -> DataFrame:
-    """(word, ctx, cnt, pmi): ln(P(w,c) / P(w)P(c)) - ln k over ``pairs(word, ctx, cnt)``."""
-    total = pairs.agg(F.sum("cnt")).first()[0] or 1
+    """(word, ctx, cnt, pmi): ln(P(w,c) / P(w)P(c)) - ln k over ``pairs(word, ctx, cnt)``. Totals go along as a row, so ``pairs`` should be written."""
     w = pairs.groupBy("word").agg(F.sum("cnt").alias("cw"))
     c = pairs.groupBy("ctx").agg(F.sum("cnt").alias("cc"))
-    pmi = F.log(F.col("cnt") * F.lit(float(total)) / (F.col("cw").cast("double") * F.col("cc"))) - F.log(F.lit(float(k)))
-    out = pairs.join(w, "word").join(c, "ctx").select("word", "ctx", "cnt", pmi.alias("pmi"))
+    total = w.agg(F.sum("cw").cast("double").alias("total"))
+    pmi = F.log(F.col("cnt") * F.col("total") / (F.col("cw").cast("double") * F.col("cc"))) - F.log(F.lit(float(k)))
+    out = pairs.join(w, "word").join(c, "ctx").join(F.broadcast(total)).select("word", "ctx", "cnt", pmi.alias("pmi"))
     return out.where("pmi > 0") if positive else out
 
 
@@ -54,23 +63,30 @@ def ppmi_similarity(pairs: DataFrame, words: DataFrame) -> DataFrame:
     return out.select("w1", "w2", (F.coalesce("dot", F.lit(0.0)) / (F.col("n1") * F.col("n2"))).alias("gold"))
 
 
-def score_pairs(sim: DataFrame, emb: DataFrame) -> DataFrame:
-    """``sim(w1, w2, gold)`` with the cosine of ``emb(word, vec)``; pairs with a missing word have a null score."""
-    a, b = emb.select(F.col("word").alias("w1"), F.col("vec").alias("v1")), emb.select(F.col("word").alias("w2"), F.col("vec").alias("v2"))
-    return sim.join(a, "w1", "left").join(b, "w2", "left").select("w1", "w2", "gold", cosine(F.col("v1"), F.col("v2")).alias("score"))
+def score_pairs(sim: DataFrame, emb: DataFrame, by: Sequence[str] = ()) -> DataFrame:
+    """``sim(w1, w2, gold, ...)`` with the cosine of ``emb(by..., word, vec)``; pairs with a missing word have a null score."""
+    every = sim.join(F.broadcast(emb.select(*by).distinct())) if by else sim
+    a = emb.select(*by, F.col("word").alias("w1"), F.col("vec").alias("v1"))
+    b = emb.select(*by, F.col("word").alias("w2"), F.col("vec").alias("v2"))
+    both = every.join(a, [*by, "w1"], "left").join(b, [*by, "w2"], "left")
+    return both.withColumn("score", cosine(F.col("v1"), F.col("v2"))).select(*by, *sim.columns, "score")
 
 
 def spearman(scored: DataFrame, x: str = "gold", y: str = "score", by: Sequence[str] = ()) -> DataFrame:
-    """(by..., n, rho): correlation of average ranks over rows where both are known. Benchmarks are small, so one window each is bounded by them."""
+    """(by..., n, rho): correlation of average ranks over rows where both are known.
+
+    A value's rank is the number of lesser rows plus half of its equals, from counts by value. Without ``by`` the counts of one
+    column are one window's, over its distinct values: benchmarks are small, and that is what they are for.
+    """
     rows = scored.where(F.col(x).isNotNull() & F.col(y).isNotNull())
-    part = list(by) or [F.lit(1)]
 
-    def rank(c: str):
-        same = Window.partitionBy(*part, c)
-        return F.rank().over(Window.partitionBy(*part).orderBy(c)) + (F.count("*").over(same) - 1) / 2.0
+    def ranks(c: str) -> DataFrame:
+        n = rows.groupBy(*by, F.col(c).alias("_v")).agg(F.count("*").alias("_n"))
+        below = Window.partitionBy(*(by or [F.lit(1)])).orderBy("_v").rowsBetween(Window.unboundedPreceding, -1)
+        return n.select(*by, F.col("_v").alias(c), (F.coalesce(F.sum("_n").over(below), F.lit(0)) + (F.col("_n") + 1) / 2.0).alias(f"_r_{c}"))
 
-    ranked = rows.withColumn("_rx", rank(x)).withColumn("_ry", rank(y))
-    return ranked.groupBy(*by).agg(F.count("*").alias("n"), F.corr("_rx", "_ry").alias("rho"))
+    ranked = rows.join(ranks(x), [*by, x]).join(ranks(y), [*by, y])
+    return ranked.groupBy(*by).agg(F.count("*").alias("n"), F.corr(f"_r_{x}", f"_r_{y}").alias("rho"))
 
 
 def purity(assigned: DataFrame, by: Sequence[str] = ()) -> DataFrame:
@@ -80,15 +96,17 @@ def purity(assigned: DataFrame, by: Sequence[str] = ()) -> DataFrame:
     return top.groupBy(*by).agg(F.sum("n").alias("n"), (F.sum("top") / F.sum("n")).alias("purity"))
 
 
-def oov_count(words: DataFrame, emb: DataFrame) -> DataFrame:
-    """One row (n_words, n_oov) over the distinct benchmark words."""
-    own = words.select("word").distinct()
-    return own.join(emb.select("word", F.lit(1).alias("known")).distinct(), "word", "left").agg(F.count("*").alias("n_words"), F.count_if(F.col("known").isNull()).alias("n_oov"))
+def oov_count(words: DataFrame, emb: DataFrame, by: Sequence[str] = (), sets: Sequence[str] = ()) -> DataFrame:
+    """(by..., sets..., n_words, n_oov) over the distinct benchmark ``words(sets..., word)``, against ``emb(by..., word)``."""
+    own = words.select(*sets, "word").distinct()
+    own = own.join(F.broadcast(emb.select(*by).distinct())) if by else own
+    known = emb.select(*by, "word", F.lit(1).alias("known")).distinct()
+    return own.join(known, [*by, "word"], "left").groupBy(*by, *sets).agg(F.count("*").alias("n_words"), F.count_if(F.col("known").isNull()).alias("n_oov"))
 
 
 def recovery(merged: DataFrame, truth: DataFrame, pairs: DataFrame) -> DataFrame:
     """One row (n, corr, max_error): cosines of merged vectors against the true ones, over ``pairs(w1, w2)``."""
-    gold = score_pairs(pairs.withColumn("gold", F.lit(0.0)), truth).select("w1", "w2", F.col("score").alias("gold"))
+    gold = score_pairs(pairs.select("w1", "w2"), truth).withColumnRenamed("score", "gold")
     got = score_pairs(gold, merged).where("score is not null and gold is not null")
     return got.agg(F.count("*").alias("n"), F.corr("gold", "score").alias("corr"), F.max(F.abs(F.col("gold") - F.col("score"))).alias("max_error"))
 

@@ -12,7 +12,8 @@ from pyspark.sql import functions as F
 from ...session import materialize, ship
 from .linalg import dimension, lists_of, matrix_of, signed, summed
 
-GRAM_LIMIT = 4096  # columns up to which the Gram matrix is made whole
+#: Columns up to which ``solver='auto'`` makes the whole Gram matrix; beyond, subspaces are iterated until they stand.
+GRAM_LIMIT = 4096
 
 
 def word_blocks(sub: DataFrame) -> DataFrame:
@@ -27,8 +28,10 @@ def merge_concat(sub: DataFrame, n: int) -> DataFrame:
 
 def merge_mean(sub: DataFrame) -> DataFrame:
     """(word, vec, n_present): the plain mean of unaligned vectors; spaces differ, so this is the counter-example."""
-    each = sub.select("word", "model", F.posexplode("vec").alias("j", "x")).groupBy("word", "j").agg(F.avg("x").alias("x"), F.count("*").cast("int").alias("n_present"))
-    return each.groupBy("word").agg(F.transform(F.array_sort(F.collect_list(F.struct("j", "x"))), lambda s: s["x"].cast("float")).alias("vec"), F.max("n_present").alias("n_present"))
+    wide = F.transform("parts", lambda p: F.transform(p["vec"], lambda x: x.cast("double")))
+    total = F.aggregate(F.slice("wide", F.lit(2), F.col("n_present")), F.get("wide", F.lit(0)), lambda s, v: F.zip_with(s, v, lambda x, y: x + y))
+    rows = word_blocks(sub).select("word", wide.alias("wide"), F.size("parts").alias("n_present"))
+    return rows.select("word", F.transform(total, lambda x: (x / F.col("n_present")).cast("float")).alias("vec"), "n_present")
 
 
 def merge_single(sub: DataFrame, model: int) -> DataFrame:
@@ -67,8 +70,14 @@ def _times(rows: DataFrame, dim: int, mean: np.ndarray, q: np.ndarray) -> np.nda
     return summed(rows.select("vec"), part)[0].reshape(dim, -1)
 
 
-def components(rows: DataFrame, dim: int, d: int, solver: str = "auto", center: bool = True, power_rounds: int = 3, seed: int = 1) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(mean, loadings dim x d, variances) of ``rows(vec)``, by the Gram matrix or by randomised range finding."""
+def components(
+    rows: DataFrame, dim: int, d: int, solver: str = "auto", center: bool = True, seed: int = 1, tol: float = 1e-7, max_rounds: int = 100
+) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(mean, loadings dim x d, variances) of ``rows(vec)``.
+
+    ``gram`` decomposes the whole Gram matrix. ``randomized`` iterates a subspace somewhat larger than d, one pass a round and
+    dim x d numbers back, until the variance it captures grows by less than ``tol`` of it.
+    """
     ship(rows.sparkSession)
     mean, n = column_means(rows, dim)
     if n == 0:
@@ -77,13 +86,20 @@ def components(rows: DataFrame, dim: int, d: int, solver: str = "auto", center:
     if solver == "gram" or solver == "auto" and dim <= GRAM_LIMIT:
         val, vec = np.linalg.eigh(summed(rows.select("vec"), _gram(dim, mean))[0].reshape(dim, dim))
         val, vec = val[::-1][:d], vec[:, ::-1][:, :d]
+    elif solver in ("auto", "randomized"):
+        q, _ = np.linalg.qr(np.random.default_rng(seed).standard_normal((dim, min(dim, d + max(10, d // 2)))))
+        before = 0.0
+        for _ in range(max_rounds):
+            aq = _times(rows, dim, mean, q)
+            t = q.T @ aq
+            val, u = np.linalg.eigh((t + t.T) / 2)
+            val, vec = val[::-1][:d], (q @ u[:, ::-1])[:, :d]
+            if val.sum() - before <= tol * max(val.sum(), 1e-300):
+                break
+            before = float(val.sum())
+            q, _ = np.linalg.qr(aq)
     else:
-        q, _ = np.linalg.qr(np.random.default_rng(seed).standard_normal((dim, min(dim, d + 10))))
-        for _ in range(power_rounds):
-            q, _ = np.linalg.qr(_times(rows, dim, mean, q))
-        t = q.T @ _times(rows, dim, mean, q)
-        val, u = np.linalg.eigh((t + t.T) / 2)
-        val, vec = val[::-1][:d], (q @ u[:, ::-1])[:, :d]
+        raise ValueError(f"no such solver: {solver}")
     return mean, signed(vec), np.maximum(val, 0) / max(1, n - 1)
 
 

@@ -1,8 +1,12 @@
 """Consensus by alternating orthogonal alignment over the union vocabulary, with missing words estimated on the way.
 
 Each round: for every model the orthogonal map of its present rows onto the consensus Y; a missing row's estimate maps to
-the old Y row exactly, so it is never made: the new row is (sum of present aligned rows + absent * old row) / n. A round is one
-narrow pass that adds up n cross-covariances of d x d, n small decompositions on the driver, and one narrow pass that updates Y.
+the old Y row exactly, so it is never made: the new row is (sum of present aligned rows + absent * old row) / n.
+
+The vectors are grouped by word once and never written again. A row's Y follows from its first value and the rotations so
+far, so a round is one narrow pass: it brings Y up to date, adds up what the displacement needs, and adds up n
+cross-covariances of d x d, whose decompositions are made where the sums meet, in tasks. n rotations come to the
+driver and go out with the next pass; when those of several rounds pass ``HISTORY_BYTES``, the table is written once with its Y.
 ``missing='present_only'`` averages present rows alone: the same fixed points, reached sooner where many rows are missing.
 """
 
@@ -17,76 +21,87 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ...functions.draws import gaussian
-from ...session import materialize, ship
+from ...session import discard, materialize, ship
 from .basic import merge_pca, word_blocks
 from .linalg import dimension, lists_of, procrustes, summed
 
 ROWS = "word string, models array<int>, flat array<float>, y array<double>"
+HISTORY_BYTES = 256 << 20
+MOVED = -1  # the key of the displacement's sums
+
+Rotations = dict[int, np.ndarray]
 
 
 @dataclass
 class Consensus:
     merged: DataFrame  # word, vec, n_present
-    rotations: dict[int, np.ndarray]
+    rotations: Rotations
     displacements: list[float] = field(default_factory=list)
     init: str = "random"
 
 
-def _unpacked(b: pa.RecordBatch, d: int):
-    """Per row the numbers of present models, all present vectors, and Y; and the row of each vector."""
-    lists = b.column("models")
-    models, sizes = lists.flatten().to_numpy(), np.diff(lists.offsets.to_numpy())
-    flat = b.column("flat").flatten().to_numpy().reshape(-1, d).astype(np.float64)
-    y = b.column("y").flatten().to_numpy().reshape(-1, d)
-    return models, np.repeat(np.arange(b.num_rows), sizes), flat, y
-
-
-def _cross(d: int):
-    def part(batches: Iterator[pa.RecordBatch]):
-        for b in batches:
-            if b.num_rows:
-                models, row, flat, y = _unpacked(b, d)
-                for k in np.unique(models):
-                    on = models == k
-                    yield int(k), flat[on].T @ y[row[on]]
-
-    return part
-
-
-def _updated(w: dict[int, np.ndarray], n: int, d: int, missing: str):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            if not b.num_rows:
-                continue
-            models, row, flat, y = _unpacked(b, d)
-            new, present = np.zeros_like(y), np.bincount(row, minlength=b.num_rows)
-            for k in np.unique(models):
-                on = models == k
-                np.add.at(new, row[on], flat[on] @ w[int(k)])
-            new = (new + (n - present)[:, None] * y) / n if missing == "impute" else new / np.maximum(present, 1)[:, None]
-            yield pa.RecordBatch.from_arrays([b.column("word"), b.column("models"), b.column("flat"), lists_of(new, np.float64)], names=["word", "models", "flat", "y"])
-
-    return run
-
-
-def _displaced(w: dict[int, np.ndarray], n: int, d: int):
-    """Squared distance of Y to each model's aligned rows; a missing row is where the old Y was, so its term is the step of Y (given as column ``old``)."""
-
-    def part(batches: Iterator[pa.RecordBatch]):
-        for b in batches:
-            if not b.num_rows:
-                continue
-            models, row, flat, y = _unpacked(b, d)
-            old = b.column("old").flatten().to_numpy().reshape(-1, d)
-            step = ((y - old) ** 2).sum(1)
-            out = np.full(n + 1, step.sum())
-            out[n] = len(y)
-            for k in np.unique(models):
-                on = models == k
-                out[int(k)] += ((y[row[on]] - flat[on] @ w[int(k)]) ** 2).sum() - step[row[on]].sum()
-            yield 0, out
-
-    return part
+class _Rounds:
+    """What a pass knows: the rotations since the table was written."""
+
+    def __init__(self, n: int, d: int, missing: str, past: list[Rotations]) -> None:
+        self.n, self.d, self.missing, self.past = n, d, missing, past
+
+    def rows(self, b: pa.RecordBatch):
+        """Models of the present vectors, the row of each, the vectors, Y before the last round, and Y."""
+        lists = b.column("models")
+        models, sizes = lists.flatten().to_numpy(), np.diff(lists.offsets.to_numpy())
+        row = np.repeat(np.arange(b.num_rows), sizes)
+        flat = b.column("flat").flatten().to_numpy().reshape(-1, self.d).astype(np.float64)
+        old = y = b.column("y").flatten().to_numpy().reshape(-1, self.d)
+        own = [(int(k), np.flatnonzero(models == k)) for k in np.unique(models)]
+        for w in self.past:
+            new = np.zeros_like(y)
+            for k, on in own:  # a model has a word once, so no row comes twice
+                new[row[on]] += flat[on] @ w[k].astype(np.float64)
+            old, y = y, (new + (self.n - sizes)[:, None] * y) / self.n if self.missing == "impute" else new / np.maximum(sizes, 1)[:, None]
+        return own, row, flat, old, y
+
+    def sums(self, cross: bool):
+        """Cross-covariances with Y for the next rotations, and the squared distances of Y to each model's aligned rows.
+
+        A missing row's estimate is where the old Y was, so its distance is the step of Y.
+        """
+
+        def part(batches: Iterator[pa.RecordBatch]):
+            for b in batches:
+                if not b.num_rows:
+                    continue
+                own, row, flat, old, y = self.rows(b)
+                if cross:
+                    for k, on in own:
+                        yield k, flat[on].T @ y[row[on]]
+                if self.past:
+                    step = ((y - old) ** 2).sum(1)
+                    out = np.full(self.n + 1, step.sum())
+                    out[self.n] = len(y)
+                    for k, on in own:
+                        out[k] += ((y[row[on]] - flat[on] @ self.past[-1][k].astype(np.float64)) ** 2).sum() - step[row[on]].sum()
+                    yield MOVED, out
+
+        return part
+
+    def rotation(self, key: int, m: np.ndarray) -> np.ndarray:
+        return m if key == MOVED else procrustes(m.reshape(self.d, self.d)).reshape(-1)
+
+    def now(self, whole: bool):
+        """Rows with their Y: all columns, or (word, vec, n_present)."""
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if not b.num_rows:
+                    continue
+                *_, y = self.rows(b)
+                if whole:
+                    yield pa.RecordBatch.from_arrays([b.column("word"), b.column("models"), b.column("flat"), lists_of(y, np.float64)], names=["word", "models", "flat", "y"])
+                else:
+                    yield pa.RecordBatch.from_arrays([b.column("word"), lists_of(y), b.column("models").value_lengths()], names=["word", "vec", "n_present"])
+
+        return run
 
 
 def init_y(blocks: DataFrame, sub: DataFrame, n: int, d: int, init: str, seed: int) -> tuple[DataFrame, str]:
@@ -107,27 +122,35 @@ def init_y(blocks: DataFrame, sub: DataFrame, n: int, d: int, init: str, seed: i
 def merge_consensus(sub: DataFrame, n: int, init: str = "pca", iters: int = 3, tol: float = 0.0, seed: int = 1, missing: str = "impute") -> Consensus:
     """Merge n sub-models; stops after ``iters`` rounds, or when the displacement changes by less than ``tol``.
 
-    ``init='pca'`` falls back to random where no word is common; the result says which was used.
+    ``init='pca'`` falls back to random where no word is common; the result says which was used. No vectors give no vectors.
     """
     spark = sub.sparkSession
     ship(spark)
-    sub = materialize(sub.select(F.col("model").cast("int").alias("model"), "word", F.col("vec").cast("array<float>").alias("vec")), "sub")
+    if getattr(sub, "_written_at", None) is None:
+        sub = materialize(sub.select(F.col("model").cast("int").alias("model"), "word", F.col("vec").cast("array<float>").alias("vec")), "sub")
     d = dimension(sub)
-    blocks = word_blocks(sub).select("word", F.transform("parts", lambda p: p["model"]).alias("models"), F.flatten(F.transform("parts", lambda p: p["vec"])).alias("flat"))
+    if not d:
+        return Consensus(spark.createDataFrame([], "word string, vec array<float>, n_present int"), {}, [], "random")
+    blocks = word_blocks(sub).select("word", F.transform("parts", lambda p: p["model"].cast("int")).alias("models"), F.flatten(F.transform("parts", lambda p: p["vec"].cast("array<float>"))).alias("flat"))
     first, used = init_y(blocks, sub, n, d, init, seed)
-    now = materialize(first.select("word", "models", "flat", "y"), "consensus")
-    out = Consensus(now, {}, [], used)
-    for _ in range(iters):
-        cross = summed(now.select("models", "flat", "y"), _cross(d))
-        w = {k: procrustes(m.reshape(d, d)) for k, m in cross.items()}
-        nxt = materialize(now.mapInArrow(_updated(w, n, d, missing), ROWS), "consensus")
-        both = nxt.join(now.select("word", F.col("y").alias("old")), "word")
-        sums = summed(both.select("models", "flat", "y", "old"), _displaced(w, n, d))[0]
-        out.displacements.append(float(np.sqrt(np.maximum(sums[:n], 0)).sum() / n / np.sqrt(max(1.0, sums[n]) * d)))
-        out.rotations, now = w, nxt
-        if len(out.displacements) > 1 and abs(out.displacements[-2] - out.displacements[-1]) < tol:
+    table = materialize(first.select("word", "models", "flat", "y"), "consensus")
+    out = Consensus(table, {}, [], used)
+    past: list[Rotations] = []
+    for t in range(iters + 1):
+        at = _Rounds(n, d, missing, list(past))
+        got = summed(table.select("models", "flat", "y"), at.sums(cross=t < iters), at.rotation)
+        moved = got.pop(MOVED, None)
+        if moved is not None:
+            out.displacements.append(float(np.sqrt(np.maximum(moved[:n], 0)).sum() / n / np.sqrt(max(1.0, moved[n]) * d)))
+        if t == iters or len(out.displacements) > 1 and abs(out.displacements[-2] - out.displacements[-1]) < tol:
             break
-    out.merged = now.select("word", F.col("y").cast("array<float>").alias("vec"), F.size("models").alias("n_present"))
+        if len(past) > 1 and (len(past) + 1) * n * d * d * 4 > HISTORY_BYTES:
+            before, table, past = table, materialize(table.mapInArrow(at.now(whole=True), ROWS), "consensus"), []
+            discard(before)
+        past.append({k: m.reshape(d, d).astype(np.float32) for k, m in got.items()})
+    if past:
+        out.rotations = {k: m.astype(np.float64) for k, m in past[-1].items()}
+    out.merged = table.mapInArrow(_Rounds(n, d, missing, past).now(whole=False), "word string, vec array<float>, n_present int")
     return out
 
 
@@ -137,6 +160,18 @@ def merge_procrustes(sub: DataFrame, n: int, init: str = "first", tol: float = 1
     return merge_consensus(sub.join(common, "word", "left_semi"), n, init=init, iters=max_iter, tol=tol, seed=seed)
 
 
+def merge_in_groups(sub: DataFrame, n: int, group: int = 16, init: str = "pca", iters: int = 3, seed: int = 1) -> Consensus:
+    """For very many models: a consensus of each ``group`` of them, then the consensus of those; no more than ``group`` rotations are held at once."""
+    if n <= group:
+        return merge_consensus(sub, n, init, iters, seed=seed)
+    parts, many = None, -(-n // group)
+    for g in range(many):
+        own = sub.where((F.col("model") >= g * group) & (F.col("model") < (g + 1) * group)).withColumn("model", F.col("model") - g * group)
+        part = merge_consensus(own, min(group, n - g * group), init, iters, seed=seed).merged.select(F.lit(g).alias("model"), "word", "vec")
+        parts = part if parts is None else parts.unionByName(part)
+    return merge_in_groups(materialize(parts, "groups"), many, group, init, iters, seed)
+
+
 def reconstruct(result: Consensus, sub: DataFrame, model: int) -> DataFrame:
     """(model, word, vec): vectors, in a sub-model's own space, of the words it lacks: Y rows turned back by its rotation."""
     back = result.rotations[model].T

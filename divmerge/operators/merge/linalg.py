@@ -1,14 +1,13 @@
-"""Dense algebra on the driver for d x d (or nd x nd) matrices, and partial sums in tasks."""
+"""Dense algebra on d x d (or nd x nd) matrices, and sums of matrices that tasks make."""
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 
 def procrustes(a: np.ndarray) -> np.ndarray:
@@ -38,30 +37,38 @@ def lists_of(x: np.ndarray, kind: type = np.float32) -> pa.Array:
 SPREAD = 32
 
 
-def summed(df: DataFrame, part) -> dict[int, np.ndarray]:
+def summed(df: DataFrame, part: Callable, finish: Callable[[int, np.ndarray], np.ndarray] | None = None) -> dict[int, np.ndarray]:
     """Add up matrices that tasks make: ``part(batches)`` yields (key, matrix).
 
     Each task adds its own, the tasks' sums meet in ``SPREAD`` groups for each key and then in one, so no task holds a
-    matrix of every other; what comes to the driver is one matrix for each key.
+    matrix of every other. ``finish`` is applied to a key's sum where that stands, in a task; what comes to the driver is its
+    result, in ``float64``, one for each key.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
         for k, m in part(batches):
             total[k] = total[k] + m if k in total else m
-        ks, s = sorted(total), TaskContext.get().partitionId() % SPREAD
-        yield pa.RecordBatch.from_arrays([pa.array(ks, pa.int32()), pa.array([s] * len(ks), pa.int32()), pa.array([total[k].astype(np.float64).tobytes() for k in ks], pa.binary())], names=["k", "s", "m"])
+        s = TaskContext.get().partitionId() % SPREAD
+        for k in sorted(total):
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([s], pa.int32()), pa.array([total[k].astype(np.float64).tobytes()], pa.binary())], names=["k", "s", "m"])
 
-    def add(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
-        m = sum(np.frombuffer(x, np.float64) for x in t["m"].to_pylist())
-        return pa.table({"k": pa.array([key[0].as_py()], pa.int32()), "s": pa.array([0], pa.int32()), "m": pa.array([m.tobytes()], pa.binary())})
+    def add(last: bool):
+        def of(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
+            m = sum(np.frombuffer(x.as_py(), np.float64) for x in t["m"])
+            m = np.ascontiguousarray(finish(key[0].as_py(), m), np.float64) if last and finish else m
+            return pa.table({"k": pa.array([key[0].as_py()], pa.int32()), "s": pa.array([0], pa.int32()), "m": pa.array([m.tobytes()], pa.binary())})
+
+        return of
 
     schema = "k int, s int, m binary"
-    parts = df.mapInArrow(run, schema).groupBy("k", "s").applyInArrow(add, schema)
-    rows = parts.groupBy("k").applyInArrow(add, schema).collect()
+    parts = df.mapInArrow(run, schema).groupBy("k", "s").applyInArrow(add(False), schema)
+    rows = parts.groupBy("k").applyInArrow(add(True), schema).collect()
     return {r["k"]: np.frombuffer(r["m"], np.float64) for r in rows}
 
 
 def dimension(df: DataFrame, col: str = "vec") -> int:
+    from pyspark.sql import functions as F
+
     row = df.select(F.size(col).alias("d")).first()
     return int(row["d"]) if row else 0

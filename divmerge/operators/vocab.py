@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import materialize
 from .corpus import token_counts
+from .divide import Division
 
 TOP_WORDS = 300_000
 
@@ -28,15 +30,25 @@ def noise_distribution(vocab: DataFrame, power: float = 0.75) -> DataFrame:
     return w.select("word", "cnt", (F.col("w") / F.lit(total)).alias("p"))
 
 
-def submodel_counts(route: DataFrame, sent: DataFrame) -> DataFrame:
-    """(model, word, cnt) over the sentences routed to each model, times their multiplicity (one epoch's route)."""
-    rows = route.select("model", "sent_id", "mult").join(sent.select("sent_id", "tokens"), "sent_id")
-    return rows.select("model", "mult", F.explode("tokens").alias("word")).groupBy("model", "word").agg(F.sum("mult").cast("long").alias("cnt"))
+def submodel_counts(route: DataFrame) -> DataFrame:
+    """(model, word, cnt) of ``route(model, mult, tokens)``, one epoch's: a word counts once for each time its sentence is read."""
+    words = route.select("model", "mult", F.explode("tokens").alias("word"))
+    return words.groupBy("model", "word").agg(F.sum("mult").cast("long").alias("cnt"))
 
 
-def submodel_vocab(route: DataFrame, sent: DataFrame, more_than: float) -> DataFrame:
-    """Words that occur more than the threshold in a sub-corpus (strictly)."""
-    return submodel_counts(route, sent).where(F.col("cnt") > more_than)
+def submodel_vocab(route: DataFrame, more_than: float) -> DataFrame:
+    """(model, word, cnt): words that occur more than the threshold in a sub-corpus (strictly)."""
+    return submodel_counts(route).where(F.col("cnt") > more_than)
+
+
+def vocabulary_for(division: Division, sent: DataFrame, size: int = TOP_WORDS, more_than: float | None = None) -> DataFrame:
+    """The words a division trains: one list (word, word_id, cnt), made once and reused in every epoch, or a list for each model (model, word, cnt).
+
+    ``more_than`` is the threshold of models with lists of their own, 100 / n where it is not given.
+    """
+    if not division.own_vocabulary:
+        return materialize(global_vocab(sent, size), "vocab")
+    return submodel_vocab(division.route(sent, ("tokens",), one_epoch=True), 100 / division.n if more_than is None else more_than)
 
 
 def vocab_overlap(sub: DataFrame, n: int) -> DataFrame:

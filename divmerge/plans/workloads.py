@@ -3,53 +3,67 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Sequence
+from functools import reduce
 from itertools import islice
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import divide, gold, measures, vocab
+from ..functions.draws import u60
+from ..operators import gold, measures, vocab
 from ..operators.baselines import train_dim_sharded, train_mllib
-from ..operators.corpus import encode, number_sentences
+from ..operators.corpus import encode, number_sentences, window_pairs
+from ..operators.divide import Division
 from ..operators.evaluate import clusters, evaluate
 from ..operators.kernel import SkipGramConfig
 from ..operators.merge.basic import merge_concat, merge_mean, merge_pca, merge_single
 from ..operators.merge.consensus import merge_consensus, merge_procrustes
 from ..operators.train import train_central, train_submodels
-from ..session import materialize
-from ..sources.corpora import all_sentences, document_sentences
+from ..session import discard, materialize, once
+from ..sources.corpora import nation_sentences, numbered_larger, numbered_sentences, supply_sentences
 
 DIVISIONS = ("sequential", "fixed_sample", "epoch_sample")
 MERGES = ("concat", "pca", "consensus_random", "consensus_pca")
 SMALL = SkipGramConfig(dim=16, window=5, negatives=5, epochs=2)
+RATES = (1.0, 5.0, 6.67, 10.0, 20.0, 25.0, 33.0, 50.0)
+
+
+def union(frames: Sequence[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, frames)
 
 
 def corpus(spark: SparkSession, sf_dir: str, order: str = "lang") -> DataFrame:
     """Numbered sentences of the documents in language order (a corpus with drift) or document order."""
-    keys = ["lang", "doc_id", "pos"] if order == "lang" else ["doc_id", "pos"]
-    return number_sentences(document_sentences(spark, sf_dir), keys)
+    return numbered_sentences(spark, sf_dir, order)
+
+
+def study_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(lang, tokens, sent_id): the documents in language order, then sentences of orders and of deliveries, whose relations the analogies ask for."""
 
+    def make() -> DataFrame:
+        sent = corpus(spark, sf_dir)
+        low = F.transform("tokens", lambda t: F.lower(t)).alias("tokens")
+        more = union([
+            nation_sentences(spark, sf_dir).select(F.lit("~orders").alias("lang"), F.col("o_orderkey").alias("a"), F.lit(0).cast("long").alias("b"), low),
+            supply_sentences(spark, sf_dir).select(F.lit("~supply").alias("lang"), F.col("l_orderkey").alias("a"), F.col("l_linenumber").cast("long").alias("b"), low),
+        ])
+        rows = sent.select(F.coalesce("lang", F.lit("")).alias("lang"), F.lit(0).cast("long").alias("a"), F.col("sent_id").alias("b"), "tokens").unionByName(more)
+        return number_sentences(rows, ["lang", "a", "b"]).select("lang", "tokens", "sent_id")
 
-def route_for(sent: DataFrame, division: str, rate: float, epochs: int, seed: int = 1, hash_fn: str = "md5", n_sentences: int | None = None) -> tuple[DataFrame, int]:
-    """The route of a division, and how many sub-models it has."""
-    total = sent.count() if n_sentences is None else n_sentences
-    plan = divide.plan_division(rate, total)
-    if division == "sequential":
-        return divide.divide_sequential(sent, plan.n, total), plan.n
-    if division == "fixed_sample":
-        return divide.divide_fixed_sample(sent, plan.n, plan.m, total, seed, hash_fn=hash_fn), plan.n
-    if division == "fixed_bernoulli":
-        return divide.divide_fixed_bernoulli(sent, plan.n, rate, epochs, seed, hash_fn), plan.n
-    return divide.divide_epoch_sample(sent, plan.n, rate, epochs, seed, hash_fn=hash_fn), plan.n
+    return once(spark, f"{sf_dir}/documents.parquet", "study", make)
 
 
-def trained(sent: DataFrame, division: str, rate: float, words: DataFrame, cfg: SkipGramConfig, seed: int = 1) -> tuple[DataFrame, int]:
-    """Sub-models of a division, written out; a sampled or sliced division keeps only words above its own threshold."""
-    route, n = route_for(sent, division, rate, cfg.epochs, seed, hash_fn="xxhash64")
-    sub = train_submodels(sent, route, words, n, cfg)
-    if division != "epoch_sample":
-        sub = sub.where(F.col("cnt") > max(1, 100 // n) / 10 * cfg.epochs)  # 100 / n, scaled down with the corpus
-    return materialize(sub, "submodels"), n
+def division_of(sent: DataFrame, name: str, rate: float, epochs: int = 1, seed: int = 1, hash_fn: str = "md5", n_sentences: int | None = None) -> Division:
+    return Division(name, rate, sent.count() if n_sentences is None else n_sentences, epochs, seed, hash_fn)
+
+
+def trained(sent: DataFrame, name: str, rate: float, cfg: SkipGramConfig, top: int = vocab.TOP_WORDS, seed: int = 1, more_than: float | None = None) -> tuple[DataFrame, int]:
+    """Sub-models of a division, written out, on its vocabulary: the ``top`` words of the corpus, or each model's own words above the threshold."""
+    division = division_of(sent, name, rate, cfg.epochs, seed, "xxhash64")
+    words = vocab.vocabulary_for(division, sent, top, more_than)
+    return materialize(train_submodels(sent, division, words, cfg), "submodels"), division.n
 
 
 def merged(sub: DataFrame, n: int, method: str, iters: int = 3, seed: int = 1) -> DataFrame:
@@ -67,89 +81,158 @@ def merged(sub: DataFrame, n: int, method: str, iters: int = 3, seed: int = 1) -
     return merge_consensus(sub, n, init=method.partition("_")[2] or "pca", iters=iters, seed=seed).merged.select("word", "vec")
 
 
-def flagship(spark: SparkSession, sf_dir: str, rate: float = 25.0, top: int = 1000, cfg: SkipGramConfig = SMALL) -> DataFrame:
+def merged_or_none(sub: DataFrame, n: int, method: str, iters: int = 3) -> DataFrame:
+    """The same; no rows where the merge needs common words and there are none."""
+    try:
+        return merged(sub, n, method, iters)
+    except ValueError:
+        return sub.select("word", "vec").where("false")
+
+
+def flagship(spark: SparkSession, sf_dir: str, rate: float = 25.0, cfg: SkipGramConfig = SkipGramConfig(dim=16, window=5, epochs=1), top: int = vocab.TOP_WORDS, words: int = 4393) -> DataFrame:
     """Divide, train, merge, judge: (method, n_words, purity) by language for concatenation, consensus and one sub-model."""
     sent = corpus(spark, sf_dir)
-    words = materialize(vocab.global_vocab(sent, top), "vocab")
-    sub, n = trained(sent, "epoch_sample", rate, words, cfg)
-    classes = gold.language_classes(sent, size=top)
-    out = None
-    for m in ("concat", "consensus_random", "single:0"):
-        emb = merged(sub, n, m)
-        row = measures.purity(clusters(classes, emb, 4)).select(F.lit(m).alias("method"), F.col("n").alias("n_words"), F.round("purity", 4).alias("purity"))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
-def kl_table(spark: SparkSession, sf_dir: str, rates: tuple[float, ...] = (10.0,), orders: tuple[int, ...] = (1, 2), order_by: str = "lang", divisions: tuple[str, ...] = DIVISIONS, seed: int = 1, picks: int | None = None) -> DataFrame:
-    """(order_by, division, rate, gram, kl): mean over all sub-corpora (or the first ``picks``) of the divergence from the corpus."""
+    sub, n = trained(sent, "epoch_sample", rate, cfg, top)
+    classes = materialize(gold.language_classes(sent, size=words), "classes")
+    judged = sub.join(F.broadcast(classes.select("word")), "word", "left_semi")  # merges treat words one by one, but for the rotations
+    frames = [merged(judged if m == "concat" else sub, n, m).select(F.lit(m).alias("method"), "word", "vec") for m in ("concat", "consensus_random", "single:0")]
+    found = clusters(classes, union(frames), 4, by=("method",))
+    return measures.purity(found, by=("method",)).select("method", F.col("n").alias("n_words"), F.round("purity", 4).alias("purity"))
+
+
+# --- divergence and coverage -----------------------------------------------------------------------------------------
+
+
+def kl_table(spark: SparkSession, sf_dir: str, rates: Sequence[float] = (10.0,), orders: Sequence[int] = (1, 2), order_by: str = "lang", divisions: Sequence[str] = DIVISIONS, seed: int = 1) -> DataFrame:
+    """(order_by, division, rate, gram, kl): mean over all sub-corpora of the divergence from the corpus.
+
+    All divisions and rates go through one count by (division, rate, model, word) and meet the corpus's own counts once.
+    """
     sent = corpus(spark, sf_dir, order_by)
-    total, out = sent.count(), None
-    for r in rates:
-        for d in divisions:
-            route, n = route_for(sent, d, r, 1, seed, n_sentences=total)
-            route = route if picks is None else route.where(F.col("model") < picks)
-            for g in orders:
-                k = measures.kl_divergence(route, sent, g).agg(F.round(F.avg("kl"), 6).alias("kl"))
-                k = k.select(F.lit(order_by).alias("order_by"), F.lit(d).alias("division"), F.lit(float(r)).alias("rate"), F.lit(g).alias("gram"), "kl")
-                out = k if out is None else out.unionByName(k)
-    return out
+    total, by = sent.count(), ("division", "rate", "model")
+    routes = union([division_of(sent, d, r, seed=seed, n_sentences=total).route(sent, ("tokens",)).select(F.lit(d).alias("division"), F.lit(float(r)).alias("rate"), "model", "mult", "tokens") for r in rates for d in divisions])
+    out = []
+    for g in orders:
+        kl = measures.kl_divergence(routes, sent, g, by).groupBy("division", "rate").agg(F.round(F.avg("kl"), 6).alias("kl"))
+        out.append(kl.select(F.lit(order_by).alias("order_by"), "division", "rate", F.lit(g).alias("gram"), "kl"))
+    return union(out)
 
 
 def coverage_table(spark: SparkSession, sf_dir: str, rate: float = 10.0, more_than: float = 0, seed: int = 1) -> DataFrame:
-    """(division, n_intersection, n_union, n_reference, coverage) of the sub-corpus vocabularies."""
+    """(division, n_intersection, n_union, n_reference, coverage) of the sub-corpus vocabularies, against all words of the corpus."""
     sent = corpus(spark, sf_dir)
-    total, out = sent.count(), None
-    reference = vocab.min_count_vocab(sent, 1)
-    for d in DIVISIONS:
-        route, n = route_for(sent, d, rate, 1, seed, n_sentences=total)
-        c = vocab.coverage(vocab.submodel_vocab(route, sent, more_than), n, reference).select(F.lit(d).alias("division"), "n_intersection", "n_union", "n_reference", F.round("coverage", 6).alias("coverage"))
-        out = c if out is None else out.unionByName(c)
-    return out
+    total = sent.count()
+    plans = [division_of(sent, d, rate, seed=seed, n_sentences=total) for d in DIVISIONS]
+    routes = union([p.route(sent, ("tokens",)).select(F.lit(p.name).alias("division"), "model", "mult", "tokens") for p in plans])
+    if more_than > 0:
+        counts = measures.counts_of(routes, 1, "division", "model").where(F.col("cnt") > more_than)
+    else:
+        counts = routes.select("division", "model", F.explode("tokens").alias("word")).distinct()
+    held = counts.groupBy("division", "word").agg(F.count("*").alias("k"))
+    known = sent.select(F.explode("tokens").alias("word")).agg(F.countDistinct("word").alias("n_reference"))
+    sums = held.groupBy("division").agg(F.count_if(F.col("k") == plans[0].n).alias("n_intersection"), F.count("*").alias("n_union"))
+    return sums.join(F.broadcast(known)).withColumn("coverage", F.round(F.col("n_intersection") / F.col("n_reference"), 6))
 
 
-def _result(spark: SparkSession, rows: list[tuple]) -> DataFrame:
-    return spark.createDataFrame(rows, "method string, benchmark string, measure string, value double, answered int, missing int")
+# --- quality ---------------------------------------------------------------------------------------------------------
 
 
-def benchmarks(spark: SparkSession, sf_dir: str, sent: DataFrame, top: int) -> tuple[dict, dict, dict]:
-    """Similarity (frequent and rarer words), categorisation by language; analogies are planted elsewhere."""
-    sims = {"sim_frequent": materialize(gold.ppmi_pairs(sent, 0, min(750, top), 1000, 5), "gold"), "sim_rare": materialize(gold.ppmi_pairs(sent, top // 2, top, 500, 5, seed=2), "gold")}
-    return sims, {"cat_language": materialize(gold.language_classes(sent, size=min(1000, top)), "gold")}, {}
+def benchmarks(spark: SparkSession, sf_dir: str, sent: DataFrame, win: int = 5) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The eight sets, from the structure of the tables: (benchmark, w1, w2, gold), (benchmark, word, cls), (benchmark, a, b, c, d).
 
+    Similarity: pairs of the 750 most frequent words, of 48 frequent ones, of words seen 5 to 20 times, and of words of the
+    benchmark passages, with the cosine of their PPMI rows on the whole corpus. Categories: language, and language with
+    frequency band. Analogies: nation to region, supplier to nation.
+    """
+    source = f"{sf_dir}/documents.parquet"
 
-def division_effect(spark: SparkSession, sf_dir: str, rates: tuple[float, ...] = (10.0,), top: int = 2000, cfg: SkipGramConfig = SMALL, baselines: bool = True) -> DataFrame:
-    """Quality of each division, merged by consensus from principal components in three rounds, beside the baselines."""
-    sent = corpus(spark, sf_dir)
-    words = materialize(vocab.global_vocab(sent, top), "vocab")
-    sets, rows = benchmarks(spark, sf_dir, sent, top), []
+    def words() -> DataFrame:
+        counts = sent.where(~F.startswith("lang", F.lit("~"))).select("lang", F.explode("tokens").alias("word")).groupBy("word", "lang").agg(F.count("*").alias("k"))
+        return counts.groupBy("word").agg(F.sum("k").alias("cnt"), F.min_by("lang", F.struct(-F.col("k"), "lang")).alias("cls"))
+
+    def sims() -> DataFrame:
+        seen = once(spark, source, "study-words", words)
+        top = seen.orderBy(F.desc("cnt"), "word").select("word", "cnt")
+        rare = seen.where("cnt between 5 and 20").orderBy(F.md5("word"), "word").limit(2951).select("word")
+        passages = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"\p{L}+"), 0)).alias("word")).distinct()
+        mixed = passages.orderBy(F.md5("word"), "word").limit(437)
+        sets = [("sim_large", top.limit(750), 3000), ("sim_small", top.limit(48), 65), ("sim_rare", rare, 2034), ("sim_mixed", mixed, 353)]
+        pairs = union([gold.hashed_pairs(w.select("word"), n, i + 1).select(F.lit(name).alias("benchmark"), "w1", "w2") for i, (name, w, n) in enumerate(sets)])
+        pairs = materialize(pairs, "pairs")
+        known = measures.ppmi_similarity(materialize(window_pairs(sent, win), "pair-counts"), pairs.select("w1", "w2").distinct())
+        return pairs.join(known, ["w1", "w2"], "left").select("benchmark", "w1", "w2", F.coalesce("gold", F.lit(0.0)).alias("gold"))
+
+    def cats() -> DataFrame:
+        seen = once(spark, source, "study-words", words).orderBy(F.desc("cnt"), "word")
+        band = F.when(F.col("cnt") > 100, "frequent").when(F.col("cnt") > 20, "middle").otherwise("low")
+        small = seen.limit(402).select(F.lit("cat_small").alias("benchmark"), "word", "cls")
+        return small.unionByName(seen.limit(4393).select(F.lit("cat_large").alias("benchmark"), "word", F.concat_ws(" ", "cls", band).alias("cls")))
+
+    def anas() -> DataFrame:
+        nations = gold.nation_analogies(spark, sf_dir).select(F.lit("ana_nation").alias("benchmark"), "a", "b", "c", "d")
+        return nations.unionByName(gold.supplier_analogies(spark, sf_dir).select(F.lit("ana_supplier").alias("benchmark"), "a", "b", "c", "d"))
+
+    return once(spark, source, f"gold-sims-{win}", sims), once(spark, source, "gold-cats", cats), once(spark, source, "gold-anas", anas)
+
+
+def division_effect(spark: SparkSession, sf_dir: str, rates: Sequence[float] = (10.0, 1.0), cfg: SkipGramConfig = SMALL, baselines: bool = True, top: int = vocab.TOP_WORDS, min_count: int = 100) -> DataFrame:
+    """(method, benchmark, measure, value, answered, missing) of each division, merged by consensus from principal components in three rounds, beside the baselines.
+
+    Sub-models of ``sequential`` and ``fixed_sample`` have the words seen more than 100 / n times in their own sub-corpus.
+    """
+    sent = study_corpus(spark, sf_dir)
+    sets, frames = benchmarks(spark, sf_dir, sent), []
     for r in rates:
         for d in DIVISIONS:
-            sub, n = trained(sent, d, r, words, cfg)
-            rows += [(f"{d} {r:g}%", *x) for x in evaluate(materialize(merged(sub, n, "consensus_pca"), "merged"), *sets)]
+            sub, n = trained(sent, d, r, cfg, top)
+            frames.append(materialize(merged(sub, n, "consensus_pca").select(F.lit(f"{d} {r:g}%").alias("method"), "word", "vec"), "merged"))
+            discard(sub)
     if baselines:
-        rows += [("central", *x) for x in evaluate(materialize(train_central(sent, words, cfg).select("word", "vec"), "central"), *sets)]
-        for k in (10, 100):
-            rows += [(f"mllib {k}", *x) for x in evaluate(materialize(train_mllib(sent, k, 20, cfg.dim, cfg.window, 1), "mllib"), *sets)]
-    return _result(spark, rows)
+        words = materialize(vocab.global_vocab(sent, top), "vocab")
+        frames.append(materialize(train_central(sent, words, cfg).select(F.lit("central").alias("method"), "word", "vec"), "central"))
+        frames += [train_mllib(sent, k, min_count, cfg.dim, cfg.window, cfg.epochs).select(F.lit(f"mllib {k}").alias("method"), "word", "vec") for k in (10, 100)]
+    return evaluate(union(frames), *sets)
 
 
-def merge_effect(spark: SparkSession, sf_dir: str, rates: tuple[float, ...] = (10.0,), top: int = 2000, cfg: SkipGramConfig = SMALL, singles: int = 3) -> DataFrame:
-    """Quality of each merge of the epoch-sampled sub-models, and the mean over single ones."""
-    sent = corpus(spark, sf_dir)
-    words = materialize(vocab.global_vocab(sent, top), "vocab")
-    sets, rows = benchmarks(spark, sf_dir, sent, top), []
+def merge_effect(spark: SparkSession, sf_dir: str, rates: Sequence[float] = (10.0, 5.0, 1.0), cfg: SkipGramConfig = SMALL, top: int = vocab.TOP_WORDS) -> DataFrame:
+    """(rate, method, benchmark, measure, value, answered, missing) of each merge of the epoch-sampled sub-models; ``single`` is the mean over all of them.
+
+    For ``single``, ``answered`` and ``missing`` are those of the best and the worst sub-model.
+    """
+    sent = study_corpus(spark, sf_dir)
+    sets, frames = benchmarks(spark, sf_dir, sent), []
     for r in rates:
-        sub, n = trained(sent, "epoch_sample", r, words, cfg)
+        sub, n = trained(sent, "epoch_sample", r, cfg, top)
+        rate = F.lit(float(r)).alias("rate")
         for m in MERGES:
-            rows += [(f"{m} {r:g}%", *x) for x in evaluate(materialize(merged(sub, n, m), "merged"), *sets)]
-        alone = [evaluate(merged(sub, n, f"single:{k}"), *sets) for k in range(min(singles, n))]
-        for same in zip(*alone):
-            rows.append((f"single {r:g}%", same[0][0], same[0][1], sum(x[2] for x in same) / len(same), min(x[3] for x in same), max(x[4] for x in same)))
-    return _result(spark, rows)
+            emb = merged_or_none(sub, n, m)
+            frames.append(materialize(emb.select(rate, F.lit(m).alias("method"), "word", "vec"), "merged"))
+        frames.append(sub.select(rate, F.concat(F.lit("single:"), "model").alias("method"), "word", "vec"))
+    got = evaluate(union(frames), *sets, by=("rate", "method"))
+    alone = F.startswith("method", F.lit("single:"))
+    mean = got.where(alone).groupBy("rate", "benchmark", "measure").agg(F.avg("value").alias("value"), F.max("answered").alias("answered"), F.max("missing").alias("missing"))
+    return got.where(~alone).unionByName(mean.withColumn("method", F.lit("single")))
+
+
+def removal_effect(spark: SparkSession, sf_dir: str, percents: Sequence[float] = (0.0, 10.0, 50.0), rate: float = 10.0, cfg: SkipGramConfig = SMALL, top: int = vocab.TOP_WORDS) -> DataFrame:
+    """(method, benchmark, removed, value, loss, answered, missing): words of the benchmarks are taken out of some of the sub-models of ``epoch_sample``, never out of all, and the merges compared."""
+    sent = study_corpus(spark, sf_dir)
+    sims, cats, anas = benchmarks(spark, sf_dir, sent)
+    words = union([sims.select(F.explode(F.array("w1", "w2")).alias("word")), cats.select("word"), anas.select(F.explode(F.array("a", "b", "c", "d")).alias("word"))]).distinct()
+    words = materialize(words, "words")
+    sub, n = trained(sent, "epoch_sample", rate, cfg, top)
+    frames = []
+    for p in percents:
+        less = materialize(gold.drop_words(sub, words, p, n), "less") if p else sub
+        for m in ("concat", "pca", "consensus_pca"):
+            emb = merged_or_none(less, n, m).join(F.broadcast(words), "word", "left_semi")  # the sets' own words are the answers' vocabulary
+            frames.append(materialize(emb.select(F.lit(m).alias("method"), F.lit(float(p)).alias("removed"), "word", "vec"), "merged"))
+    got = materialize(evaluate(union(frames), sims, cats, anas, by=("method", "removed")), "scores")
+    loss = measures.loss_from_removal(got)
+    return loss.join(got.select("method", "benchmark", "removed", "measure", "answered", "missing"), ["method", "benchmark", "removed"])
 
 
-def missing_words(spark: SparkSession, sf_dir: str, percents: tuple[float, ...] = (0.0, 10.0, 50.0), n: int = 10, sigma: float = 0.5, iters: int = 3) -> DataFrame:
+def missing_words(spark: SparkSession, sf_dir: str, percents: Sequence[float] = (0.0, 10.0, 50.0), n: int = 10, sigma: float = 0.5, iters: int = 3) -> DataFrame:
     """(method, removed, answered, corr, missing, purity) on planted sub-models with words taken from some of them.
 
     Scores count a pair with a missing word as lost: the correlation is over answered pairs, ``missing`` says how many words are gone.
@@ -158,33 +241,41 @@ def missing_words(spark: SparkSession, sf_dir: str, percents: tuple[float, ...]
     sub = materialize(gold.planted_rotated(base, n, sigma), "planted")
     w = base.select("word", F.expr("cast(substring(word, 2) as int)").alias("i"))
     pairs = w.select(F.col("word").alias("w1"), "i").join(w.select(F.col("word").alias("w2"), (F.col("i") - 1).alias("i")), "i").select("w1", "w2")
-    sims = measures.score_pairs(pairs.withColumn("gold", F.lit(0.0)), base.select("word", "vec")).select("w1", "w2", F.col("score").alias("gold"))
-    out = []
+    sims = measures.score_pairs(pairs, base.select("word", "vec")).withColumnRenamed("score", "gold")
+    frames = []
     for p in percents:
         less = materialize(gold.drop_words(sub, base.select("word"), p, n), "less")
-        for m in ("concat", "pca", "consensus_random", "consensus_pca"):
-            emb = materialize(merged(less, n, m, iters), "merged")
-            got = measures.score_pairs(sims, emb).agg(F.count("score").alias("n"), F.corr("gold", "score").alias("c")).first()
-            oov = measures.oov_count(base.select("word"), emb).first()["n_oov"]
-            pur = measures.purity(clusters(base.select("word", F.col("cls").cast("string").alias("cls")), emb, 10)).first()
-            out.append((m, float(p), int(got["n"]), float(got["c"]), int(oov), float(pur["purity"])))
-    return spark.createDataFrame(out, "method string, removed double, answered long, corr double, missing long, purity double")
+        frames += [merged_or_none(less, n, m, iters).select(F.lit(m).alias("method"), F.lit(float(p)).alias("removed"), "word", "vec") for m in MERGES]
+    by = ["method", "removed"]
+    emb = materialize(union(frames), "merged")
+    corr = measures.score_pairs(sims, emb, by).groupBy(*by).agg(F.count("score").alias("answered"), F.corr("gold", "score").alias("corr"))
+    pure = measures.purity(clusters(base.select("word", "cls"), emb, 10, by=by), by).select(*by, "purity")
+    lost = measures.oov_count(base.select("word"), emb, by).select(*by, F.col("n_oov").alias("missing"))
+    return corr.join(lost, by).join(pure, by, "left")
+
+
+def recovered(spark: SparkSession, sf_dir: str, n: int = 10, percent: float = 10.0, iters: int = 20) -> DataFrame:
+    """(words, n, corr, max_error): how well cosines of planted vectors come back, over all words and over those that some model lost."""
+    base = materialize(gold.planted_base(spark.read.parquet(f"{sf_dir}/embeddings.parquet")), "base")
+    sub = materialize(gold.drop_words(gold.planted_shifted(base, n), base.select("word"), percent, n), "less")
+    got = merge_consensus(sub, n, init="random", iters=iters, missing="present_only").merged
+    every = base.select("word", F.expr("cast(substring(word, 2) as int)").alias("i"))
+    pairs = every.select(F.col("word").alias("w1"), "i").join(every.select(F.col("word").alias("w2"), (F.col("i") - 1).alias("i")), "i").select("w1", "w2")
+    lost = got.where(F.col("n_present") < n).select(F.col("word").alias("w1"))
+    out = [("all", pairs), ("lost", pairs.join(lost, "w1", "left_semi"))]
+    return union([measures.recovery(got, base.select("word", "vec"), p).select(F.lit(k).alias("words"), "n", "corr", "max_error") for k, p in out])
 
 
 def counterexample(spark: SparkSession) -> DataFrame:
     """(method, nearest): word 1's nearest word in two models of three words, in their plain mean, and after alignment."""
     a, b = [(-3.0, -1.0), (0.0, -1.0), (-1.0, 0.0)], [(-2.0, -2.0), (-4.0, 0.0), (-2.0, -4.0)]
     sub = spark.createDataFrame([(k, f"w{i + 1}", list(v), 1) for k, m in enumerate((a, b)) for i, v in enumerate(m)], "model int, word string, vec array<float>, cnt long")
-    out = None
     frames = {"model 0": merge_single(sub, 0), "model 1": merge_single(sub, 1), "mean": merge_mean(sub).select("word", "vec"), "aligned": merge_procrustes(sub, 2, max_iter=50).merged.select("word", "vec")}
-    for name, emb in frames.items():
-        one = emb.where("word = 'w1'").select(F.col("vec").alias("v1"))
-        rest = emb.where("word <> 'w1'").join(F.broadcast(one))
-        from ..functions.vectors import cosine
+    from ..functions.vectors import cosine
 
-        near = rest.agg(F.max_by("word", cosine(F.col("vec"), F.col("v1"))).alias("nearest")).select(F.lit(name).alias("method"), "nearest")
-        out = near if out is None else out.unionByName(near)
-    return out
+    emb = union([f.select(F.lit(k).alias("method"), "word", "vec") for k, f in frames.items()])
+    one = emb.where("word = 'w1'").select("method", F.col("vec").alias("v1"))
+    return emb.where("word <> 'w1'").join(F.broadcast(one), "method").groupBy("method").agg(F.max_by("word", cosine(F.col("vec"), F.col("v1"))).alias("nearest"))
 
 
 def convergence(spark: SparkSession, sf_dir: str, n: int = 10, iters: int = 10, removed: float = 0.0) -> DataFrame:
@@ -196,58 +287,70 @@ def convergence(spark: SparkSession, sf_dir: str, n: int = 10, iters: int = 10,
     return spark.createDataFrame([(i + 1, float(x)) for i, x in enumerate(got.displacements)], "round int, displacement double")
 
 
-def training_times(spark: SparkSession, sf_dir: str, rates: tuple[float, ...] = (1, 5, 6.67, 10, 20, 25, 33, 50), top: int = 2000, cfg: SkipGramConfig = SkipGramConfig(dim=16, window=5, epochs=1), baselines: bool = True) -> DataFrame:
-    """(method, models, train_s, pca_s, consensus_s): wall-clock by sampling rate, beside the baselines."""
-    sent = materialize(corpus(spark, sf_dir), "sentences")
-    words = materialize(vocab.global_vocab(sent, top), "vocab")
-    rows = []
+# --- time ------------------------------------------------------------------------------------------------------------
+
+
+def _noop(df: DataFrame) -> None:
+    df.write.format("noop").mode("overwrite").save()
+
+
+def training_times(spark: SparkSession, sf_dir: str, rates: Sequence[float] = RATES, cfg: SkipGramConfig = SkipGramConfig(dim=16, window=5, epochs=1), baselines: bool = True, top: int = vocab.TOP_WORDS) -> DataFrame:
+    """(method, models, train_s, pca_s, consensus_s, speed_up): wall-clock by sampling rate, beside the baselines; the speed-up is that of training over ``central``."""
+    sent = corpus(spark, sf_dir)
+    sent.count()  # the corpus is prepared before the clock runs
+    rows: list[tuple] = []
     for r in rates:
         t = time.time()
-        sub, n = trained(sent, "epoch_sample", r, words, cfg)
+        sub, n = trained(sent, "epoch_sample", r, cfg, top)
         t1 = time.time()
         try:
-            merge_pca(sub, n).count()
+            _noop(merge_pca(sub, n))
+            pca = time.time() - t1
         except ValueError:
-            pass
+            pca = None  # no common word
         t2 = time.time()
-        merge_consensus(sub, n, init="random", iters=3).merged.count()
-        rows.append((f"epoch_sample {r:g}%", n, t1 - t, t2 - t1, time.time() - t2))
+        _noop(merge_consensus(sub, n, init="random", iters=3).merged)
+        rows.append((f"epoch_sample {r:g}%", n, t1 - t, pca, time.time() - t2))
+        discard(sub)
     if baselines:
         t = time.time()
-        materialize(train_central(sent, words, cfg), "central")
+        materialize(train_central(sent, materialize(vocab.global_vocab(sent, top), "vocab"), cfg), "central")
         rows.append(("central", 1, time.time() - t, None, None))
         for k in (10, 100):
             t = time.time()
-            train_mllib(sent, k, 20, cfg.dim, cfg.window, 1).count()
+            _noop(train_mllib(sent, k, 100, cfg.dim, cfg.window, cfg.epochs))
             rows.append((f"mllib {k}", 1, time.time() - t, None, None))
-    return spark.createDataFrame(rows, "method string, models int, train_s double, pca_s double, consensus_s double")
+    from .phases import speed_up
 
+    times = spark.createDataFrame(rows, "method string, models int, train_s double, pca_s double, consensus_s double")
+    return times.join(speed_up(times).select("method", "speed_up"), "method", "left") if baselines else times
 
-def scaling(spark: SparkSession, sf_dir: str, shares: tuple[int, ...] = (25, 50, 75, 100), larger: bool = False, top: int = 2000, cfg: SkipGramConfig = SkipGramConfig(dim=16, window=5, epochs=1)) -> DataFrame:
-    """(share, sentences, seconds): training time at 10 % for growing parts of a corpus."""
+
+def scaling(spark: SparkSession, sf_dir: str, shares: Sequence[int] = (25, 50, 75, 100), rate: float = 10.0, cfg: SkipGramConfig = SkipGramConfig(dim=16, window=5, epochs=1), top: int = vocab.TOP_WORDS) -> DataFrame:
+    """(corpus, method, share, sentences, seconds): training time for growing parts of both corpora, and of the built-in trainer in 100 partitions on the smaller."""
     rows = []
-    sent = all_sentences(spark, sf_dir) if larger else document_sentences(spark, sf_dir).withColumn("src", F.lit("documents"))
-    sent = materialize(number_sentences(sent, ["src", "doc_id", "pos"]), "sentences")
-    total = sent.count()
-    words = materialize(vocab.global_vocab(sent, top), "vocab")
-    for s in shares:
-        part = sent.where(F.col("sent_id") < total * s // 100)
-        t = time.time()
-        trained(part, "epoch_sample", 10.0, words, cfg)
-        rows.append((s, total * s // 100, time.time() - t))
-    return spark.createDataFrame(rows, "share int, sentences long, seconds double")
+    for name, sent in (("smaller", corpus(spark, sf_dir)), ("larger", numbered_larger(spark, sf_dir))):
+        total = sent.count()
+        for s in shares:
+            part = sent.where(u60(7, "share", "sent_id", hash_fn="xxhash64") % 100 < s) if s < 100 else sent
+            t = time.time()
+            discard(trained(part, "epoch_sample", rate, cfg, top)[0])
+            rows.append((name, f"epoch_sample {rate:g}%", s, total * s // 100, time.time() - t))
+            if name == "smaller":
+                t = time.time()
+                _noop(train_mllib(part, 100, 100, cfg.dim, cfg.window, cfg.epochs))
+                rows.append((name, "mllib 100", s, total * s // 100, time.time() - t))
+    return spark.createDataFrame(rows, "corpus string, method string, share int, sentences long, seconds double")
 
 
-def sharded_baseline(spark: SparkSession, sf_dir: str, top: int = 500, shards: int = 4, block: int = 2000) -> DataFrame:
+def sharded_baseline(spark: SparkSession, sf_dir: str, top: int = vocab.TOP_WORDS, shards: int = 4, block: int = 2000) -> DataFrame:
     """(shards, pairs, round_trips, scalars_sent, seconds_per_1000_pairs) of the dimension-sharded trainer, on all sentences in order (it is measured, not used).
 
     ``block`` sentences are on the driver at once, beside one partition of the encoded table.
     """
-    import numpy as np
-
     sent = corpus(spark, sf_dir)
     words = materialize(vocab.global_vocab(sent, top), "vocab")
-    coded = materialize(encode(sent, words).select("sent_id", "ids"), "coded").orderBy("sent_id")
+    coded = materialize(encode(sent.select("sent_id", "tokens"), words), "coded").orderBy("sent_id")
 
     def blocks():
         rows = iter(coded.toLocalIterator())

@@ -10,15 +10,16 @@ from pyspark.sql import functions as F
 from .functions.draws import SPAN
 from .functions.vectors import cosine, dot
 from .operators import divide, gold, measures, vocab
-from .operators.corpus import bigrams, dedup_texts, number_sentences, strip_html, token_counts, window_pairs
+from .operators.corpus import bigrams, dedup_texts, strip_html, token_counts, window_pairs
 from .operators.evaluate import analogy_accuracy, clusters, neighbours
 from .operators.kernel import SkipGramConfig
 from .operators.merge.basic import column_means, components, merge_concat, merge_mean
-from .operators.merge.consensus import merge_consensus, reconstruct
+from .operators.merge.consensus import merge_consensus, merge_in_groups, reconstruct
+from .operators.merge.extra import merge_lle, merge_low_rank
 from .operators.baselines import ppmi_svd_embed, train_mllib
 from .operators.train import train_central, train_submodels
 from .plans import workloads as w
-from .session import materialize, table
+from .session import materialize, once, table
 from .sources import corpora
 from .streaming import events as ev
 
@@ -73,6 +74,12 @@ def _sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return w.corpus(spark, sf_dir)
 
 
+def _routes(sent: DataFrame, rate: float = 10.0) -> DataFrame:
+    """(division, epoch, model, sent_id, mult, tokens) of all three divisions."""
+    total = sent.count()
+    return w.union([w.division_of(sent, d, rate, n_sentences=total).route(sent, ("tokens",)).withColumn("division", F.lit(d)) for d in w.DIVISIONS])
+
+
 # --- corpus --------------------------------------------------------------------------------------------------------
 
 
@@ -149,26 +156,24 @@ _SUB = ", sub AS (SELECT division, model, word, CAST(sum(mult) AS BIGINT) AS cnt
 
 @query(WITH + "," + _routes_sql(10, 10) + _SUB + " SELECT division, model, count(*) AS n_words, CAST(sum(cnt) AS BIGINT) AS n_tokens FROM sub WHERE cnt > 1 GROUP BY division, model")
 def submodel_vocab(spark, sf_dir):
-    s, out = _sentences(spark, sf_dir), None
-    for d in w.DIVISIONS:
-        route, _ = w.route_for(s, d, 10.0, 1)
-        r = vocab.submodel_vocab(route, s, 1).groupBy("model").agg(F.count("*").alias("n_words"), F.sum("cnt").alias("n_tokens")).withColumn("division", F.lit(d))
-        out = r if out is None else out.unionByName(r)
-    return out
+    s = _sentences(spark, sf_dir)
+    counts = measures.counts_of(_routes(s), 1, "division", "model").where("cnt > 1")
+    return counts.groupBy("division", "model").agg(F.count("*").alias("n_words"), F.sum("cnt").alias("n_tokens"))
 
 
 @query(WITH + "," + _routes_sql(10, 10) + _SUB + " SELECT word FROM sub WHERE division = 'epoch_sample' GROUP BY word HAVING count(DISTINCT model) = 10")
 def vocab_intersection(spark, sf_dir):
     s = _sentences(spark, sf_dir)
-    route, n = w.route_for(s, "epoch_sample", 10.0, 1)
-    return vocab.vocab_overlap(vocab.submodel_vocab(route, s, 0), n).where("in_all").select("word")
+    d = w.division_of(s, "epoch_sample", 10.0)
+    return vocab.vocab_overlap(vocab.submodel_vocab(d.route(s, ("tokens",)), 0), d.n).where("in_all").select("word")
 
 
-@query(WITH + "," + _routes_sql(10, 10) + _SUB + " SELECT n_models, count(*) AS n_words FROM (SELECT word, count(DISTINCT model) AS n_models FROM sub WHERE division = 'epoch_sample' GROUP BY word) GROUP BY n_models")
+@query(WITH + "," + _routes_sql(10, 10) + _SUB + """
+    SELECT n_models, count(*) AS n_words FROM (SELECT word, count(DISTINCT model) AS n_models FROM sub WHERE division = 'epoch_sample' GROUP BY word) GROUP BY n_models""")
 def vocab_union(spark, sf_dir):
     s = _sentences(spark, sf_dir)
-    route, n = w.route_for(s, "epoch_sample", 10.0, 1)
-    return vocab.vocab_overlap(vocab.submodel_vocab(route, s, 0), n).groupBy("n_models").agg(F.count("*").alias("n_words"))
+    d = w.division_of(s, "epoch_sample", 10.0)
+    return vocab.vocab_overlap(vocab.submodel_vocab(d.route(s, ("tokens",)), 0), d.n).groupBy("n_models").agg(F.count("*").alias("n_words"))
 
 
 @query(WITH + "," + _routes_sql(10, 10) + _SUB + ", held AS (SELECT division, word, count(DISTINCT model) AS k FROM sub GROUP BY ALL) SELECT division, count(*) FILTER (k = 10) AS n_intersection, count(*) AS n_union, (SELECT count(*) FROM cnt) AS n_reference, round(count(*) FILTER (k = 10) / (SELECT count(*) FROM cnt), 6) AS coverage FROM held GROUP BY division")
@@ -187,7 +192,8 @@ def divide_sequential(spark, sf_dir):
 
 @query(WITH + " " + _fixed_sql(10, 10, 1))
 def divide_fixed_sample(spark, sf_dir):
-    return w.route_for(_sentences(spark, sf_dir), "fixed_sample", 10.0, 1)[0]
+    s = _sentences(spark, sf_dir)
+    return w.division_of(s, "fixed_sample", 10.0).route(s)
 
 
 @query(WITH + " " + _epoch_sql(10, 10, 2, 1))
@@ -200,26 +206,27 @@ def divide_fixed_bernoulli(spark, sf_dir):
     return divide.divide_fixed_bernoulli(_sentences(spark, sf_dir), 10, 10.0, 2, 1)
 
 
-def _binomial_cuts(n: int, p: float) -> list[int]:
-    import math
-
-    out, c = [], 0.0
-    for k in range(n):
-        c += math.comb(n, k) * p**k * (1 - p) ** (n - k)
-        out.append(int(min(c, 1.0) * SPAN))
-    return out
+def _reached(cuts: list[int]) -> str:
+    return " + ".join(f"CAST(u >= {c} AS INT)" for c in cuts)
 
 
-@query(WITH + f", many AS (SELECT sent_id, u, " + " + ".join(f"CAST(u >= {c} AS INT)" for c in _binomial_cuts(10, 0.1)) + f" AS many FROM (SELECT sent_id, {_u60(1, 'binomial', '0', 'sent_id')} AS u FROM num)), ranked AS (SELECT sent_id, many, k, row_number() OVER (PARTITION BY sent_id ORDER BY {_u60(1, 'subset', '0', 'k', 'sent_id')}, k) AS rn FROM (SELECT sent_id, many, unnest(range(10)) AS k FROM many WHERE many > 0)) SELECT 0 AS epoch, CAST(k AS INT) AS model, sent_id, CAST(1 AS BIGINT) AS mult FROM ranked WHERE rn <= many")
+@query(WITH + f""",
+many AS (SELECT sent_id, {_reached(divide.binomial_cuts(10, 0.1))} AS many FROM (SELECT sent_id, {_u60(1, 'binomial', '0', 'sent_id')} AS u FROM num)),
+draws AS (SELECT sent_id, list([10 - many + j, {_u60(1, 'subset', '0', 'j', 'sent_id')} % (10 - many + j + 1)]::BIGINT[] ORDER BY j) AS d
+  FROM (SELECT sent_id, many, unnest(range(many)) AS j FROM many WHERE many > 0) GROUP BY sent_id),
+hits AS (SELECT sent_id, unnest(list_reduce(list_prepend([]::BIGINT[], d), lambda taken, x: list_append(taken, CASE WHEN list_contains(taken, x[2]) THEN x[1] ELSE x[2] END))) AS model FROM draws)
+SELECT 0 AS epoch, CAST(model AS INT) AS model, sent_id, CAST(1 AS BIGINT) AS mult FROM hits""")
 def divide_binomial_subset(spark, sf_dir):
     return divide.divide_epoch_sample(_sentences(spark, sf_dir), 10, 10.0, 1, 1, draw="binomial_subset")
 
 
-@query()
+@query(WITH + f""",
+many AS (SELECT sent_id, {_reached(divide.poisson_cuts(1.0))} AS many FROM (SELECT sent_id, {_u60(1, 'poisson', 'sent_id')} AS u FROM num)),
+hits AS (SELECT sent_id, {_u60(1, 'poisson-model', 'j', 'sent_id')} % 10 AS model FROM (SELECT sent_id, unnest(range(1, many + 1)) AS j FROM many WHERE many > 0))
+SELECT 0 AS epoch, CAST(model AS INT) AS model, sent_id, count(*) AS mult FROM hits GROUP BY model, sent_id""")
 def divide_poisson(spark, sf_dir):
-    s = _sentences(spark, sf_dir)
-    n = s.count()
-    return divide.divide_fixed_sample(s, 10, n // 10, n, 1, mode="poisson")
+    """Ten samples of a tenth of the sentences on average."""
+    return divide.divide_fixed_sample(_sentences(spark, sf_dir), 10, 1, 10, 1, mode="poisson")
 
 
 @query(WITH + ", r AS (" + _epoch_sql(10, 10, 1, 1) + ") SELECT k, count(*) AS n_sentences FROM (SELECT num.sent_id, count(model) AS k FROM num LEFT JOIN r ON num.sent_id = r.sent_id GROUP BY num.sent_id) GROUP BY k")
@@ -232,11 +239,7 @@ def route_multiplicity(spark, sf_dir):
 
 @query(WITH + "," + _routes_sql(10, 10) + " SELECT division, model, CAST(sum(mult) AS BIGINT) AS n_sentences, count(*) AS n_distinct FROM route GROUP BY division, model")
 def sample_sizes(spark, sf_dir):
-    s, out = _sentences(spark, sf_dir), None
-    for d in w.DIVISIONS:
-        r = w.route_for(s, d, 10.0, 1)[0].groupBy("model").agg(F.sum("mult").alias("n_sentences"), F.count("*").alias("n_distinct")).withColumn("division", F.lit(d))
-        out = r if out is None else out.unionByName(r)
-    return out
+    return _routes(_sentences(spark, sf_dir)).groupBy("division", "model").agg(F.sum("mult").alias("n_sentences"), F.count("*").alias("n_distinct"))
 
 
 @query("SELECT u, ell, round(1 - pow(1 - u, (1 - u) / (ell * u)), 9) AS threshold FROM (VALUES (0.1::DOUBLE, 100::DOUBLE), (0.01, 100), (0.1, 10), (0.25, 20), (0.5, 50)) t(u, ell)")
@@ -248,23 +251,25 @@ def miss_threshold(spark, sf_dir):
 @query(WITH + ", r AS (" + _epoch_sql(10, 10, 1, 1) + "), ws AS (SELECT DISTINCT sent_id, word FROM tok), e AS (SELECT word, count(*) AS n_sent, 10 * pow(0.9::DOUBLE, count(*)) AS expected FROM ws GROUP BY word), o AS (SELECT word, 10 - count(DISTINCT model) AS observed FROM ws LEFT JOIN r USING (sent_id) GROUP BY word) SELECT least(n_sent, 64) AS n_sent, count(*) AS n_words, round(avg(expected), 6) AS expected, round(avg(observed), 6) AS observed FROM e JOIN o USING (word) GROUP BY ALL")
 def expected_vs_observed_missing(spark, sf_dir):
     s = _sentences(spark, sf_dir)
-    r = divide.divide_epoch_sample(s, 10, 10.0, 1, 1)
+    r = divide.divide_epoch_sample(s, 10, 10.0, 1, 1, keep=("tokens",))
     both = divide.expected_missing(s, 10, 0.1).join(divide.observed_missing(r, s, 10), "word")
     return both.groupBy(F.least("n_sent", F.lit(64)).alias("n_sent")).agg(F.count("*").alias("n_words"), F.round(F.avg("expected"), 6).alias("expected"), F.round(F.avg("observed"), 6).alias("observed"))
 
 
-@query(WITH + "," + _routes_sql(10, 10) + _SUB + ", size AS (SELECT model, sum(cnt) AS t FROM sub WHERE division = 'fixed_sample' GROUP BY model), m AS (SELECT word, sum(cnt / t) / 10 AS mean_p FROM sub JOIN size USING (model) WHERE division = 'fixed_sample' GROUP BY word), top AS (SELECT word, cnt FROM cnt ORDER BY cnt DESC, word LIMIT 1000) SELECT word, round(cnt / (SELECT sum(cnt) FROM cnt), 9) AS p, round(coalesce(mean_p, 0), 9) AS mean_p FROM top LEFT JOIN m USING (word)")
+@query(WITH + "," + _routes_sql(10, 10) + _SUB + """,
+size AS (SELECT model, sum(cnt) AS t FROM sub WHERE division = 'fixed_sample' GROUP BY model),
+m AS (SELECT word, sum(cnt / t) / 10 AS mean_p FROM sub JOIN size USING (model) WHERE division = 'fixed_sample' GROUP BY word)
+SELECT word, round(cnt / (SELECT sum(cnt) FROM cnt), 9) AS p, round(coalesce(mean_p, 0), 9) AS mean_p FROM cnt LEFT JOIN m USING (word)""")
 def theorem_unigram_mean(spark, sf_dir):
     s = _sentences(spark, sf_dir)
-    route, n = w.route_for(s, "fixed_sample", 10.0, 1)
-    top = vocab.global_vocab(s, 1000).select("word")
-    return divide.unigram_mean(route, s, n).join(top, "word").select("word", F.round("p", 9).alias("p"), F.round("mean_p", 9).alias("mean_p"))
+    d = w.division_of(s, "fixed_sample", 10.0)
+    return divide.unigram_mean(d.route(s, ("tokens",)), s, d.n).select("word", F.round("p", 9).alias("p"), F.round("mean_p", 9).alias("mean_p"))
 
 
 # --- divergence ----------------------------------------------------------------------------------------------------
 
 
-def _kl_sql(order_by: str, rates: tuple[tuple[int, float], ...], grams: tuple[int, ...], divisions: str = "") -> str:
+def _kl_sql(order_by: str, rates: tuple[tuple[int, float], ...], grams: tuple[int, ...]) -> str:
     sent = _SENT if order_by == "lang" else _SENT.replace("ORDER BY lang NULLS FIRST, doc_id, pos", "ORDER BY doc_id, pos")
     out = ["WITH " + sent + ", words_ AS (SELECT sent_id, unnest(tokens) AS k FROM num), big AS (SELECT sent_id, unnest(tokens[1:-2]) || ' ' || unnest(tokens[2:]) AS k FROM num WHERE len(tokens) > 1)"]
     parts = []
@@ -272,7 +277,7 @@ def _kl_sql(order_by: str, rates: tuple[tuple[int, float], ...], grams: tuple[in
         out.append(_routes_sql(n, r).replace("route AS", f"r{i} AS"))
         for g in grams:
             src = "words_" if g == 1 else "big"
-            out.append(f"q{i}{g} AS (SELECT k, count(*) / (SELECT count(*) FROM {src}) AS q FROM {src} GROUP BY k), s{i}{g} AS (SELECT division, model, k, sum(mult)::DOUBLE AS c FROM r{i} JOIN {src} USING (sent_id) WHERE model < 10 {divisions} GROUP BY ALL), p{i}{g} AS (SELECT division, model, k, c / sum(c) OVER (PARTITION BY division, model) AS p FROM s{i}{g}), d{i}{g} AS (SELECT division, model, sum(p * ln(p / q)) AS kl FROM p{i}{g} JOIN q{i}{g} USING (k) GROUP BY division, model)")
+            out.append(f"q{i}{g} AS (SELECT k, count(*) / (SELECT count(*) FROM {src}) AS q FROM {src} GROUP BY k), s{i}{g} AS (SELECT division, model, k, sum(mult)::DOUBLE AS c FROM r{i} JOIN {src} USING (sent_id) GROUP BY ALL), p{i}{g} AS (SELECT division, model, k, c / sum(c) OVER (PARTITION BY division, model) AS p FROM s{i}{g}), d{i}{g} AS (SELECT division, model, sum(p * ln(p / q)) AS kl FROM p{i}{g} JOIN q{i}{g} USING (k) GROUP BY division, model)")
             parts.append(f"SELECT '{order_by}' AS order_by, division, {float(r)}::DOUBLE AS rate, {g} AS gram, round(avg(kl), 6) AS kl FROM d{i}{g} GROUP BY division")
     return ", ".join(out) + " " + " UNION ALL ".join(parts)
 
@@ -287,15 +292,10 @@ def kl_bigram(spark, sf_dir):
     return w.kl_table(spark, sf_dir, (10.0,), (2,))
 
 
-@query(_kl_sql("lang", ((20, 5), (4, 25), (2, 50)), (1,)))
+@query(_kl_sql("lang", ((100, 1), (20, 5), (10, 10), (5, 20), (4, 25), (3, 33), (2, 50)), (1,)))
 def kl_by_rate(spark, sf_dir):
-    """The first ten sub-corpora, as the twin fixes them; ``kl_by_rate_all`` has the mean over all."""
-    return w.kl_table(spark, sf_dir, (5.0, 25.0, 50.0), (1,), picks=10)
-
-
-@query(_kl_sql("lang", ((20, 5), (4, 25), (2, 50)), (1,)).replace("WHERE model < 10 ", ""))
-def kl_by_rate_all(spark, sf_dir):
-    return w.kl_table(spark, sf_dir, (5.0, 25.0, 50.0), (1,))
+    """The mean over all sub-corpora, at every rate."""
+    return w.kl_table(spark, sf_dir, (1.0, 5.0, 10.0, 20.0, 25.0, 33.0, 50.0), (1,))
 
 
 @query(_kl_sql("doc", ((10, 10),), (1, 2)))
@@ -303,25 +303,34 @@ def kl_doc_order(spark, sf_dir):
     return w.kl_table(spark, sf_dir, (10.0,), (1, 2), "doc")
 
 
+def _pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pair counts at five positions, written once."""
+    return once(spark, f"{sf_dir}/documents.parquet", "pairs-5", lambda: window_pairs(_sentences(spark, sf_dir), 5))
+
+
 # --- PMI -----------------------------------------------------------------------------------------------------------
 
 _PAIRS = ", p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num), pc AS (SELECT a.word, b.word AS ctx, count(*) AS cnt FROM p a JOIN p b ON a.sent_id = b.sent_id AND a.at <> b.at AND abs(a.at - b.at) <= 5 GROUP BY ALL), pw AS (SELECT word, sum(cnt)::DOUBLE AS cw FROM pc GROUP BY word), pctx AS (SELECT ctx, sum(cnt)::DOUBLE AS cc FROM pc GROUP BY ctx), pmi AS (SELECT word, ctx, cnt, ln(cnt * (SELECT sum(cnt)::DOUBLE FROM pc) / (cw * cc)) AS v FROM pc JOIN pw USING (word) JOIN pctx USING (ctx))"
 
 
-@query(WITH + _PAIRS + ", top AS (SELECT word FROM cnt ORDER BY cnt DESC, word LIMIT 100) SELECT word, ctx, cnt, round(v - ln(5::DOUBLE), 6) AS pmi FROM pmi WHERE word IN (FROM top) AND ctx IN (FROM top)")
+@query(WITH + _PAIRS + """ SELECT word, count(*) AS n_contexts, CAST(sum(cnt) AS BIGINT) AS cnt, round(avg(v - ln(5::DOUBLE)), 6) AS mean_pmi, round(max(v - ln(5::DOUBLE)), 6) AS max_pmi
+    FROM pmi GROUP BY word""")
 def pmi_shifted(spark, sf_dir):
-    s = _sentences(spark, sf_dir)
-    top = vocab.global_vocab(s, 100).select("word")
-    m = measures.shifted_pmi(window_pairs(s, 5), 5)
-    return m.join(F.broadcast(top), "word", "left_semi").join(F.broadcast(top.select(F.col("word").alias("ctx"))), "ctx", "left_semi").select("word", "ctx", "cnt", F.round("pmi", 6).alias("pmi"))
+    """The shifted PMI of all pairs, summed up for each word."""
+    m = measures.shifted_pmi(_pairs(spark, sf_dir), 5)
+    return m.groupBy("word").agg(F.count("*").alias("n_contexts"), F.sum("cnt").alias("cnt"), F.round(F.avg("pmi"), 6).alias("mean_pmi"), F.round(F.max("pmi"), 6).alias("max_pmi"))
 
 
-@query(WITH + _PAIRS + ", top AS (SELECT word, row_number() OVER (ORDER BY cnt DESC, word) AS i FROM cnt QUALIFY i <= 60), pos AS (SELECT pmi.* FROM pmi JOIN top USING (word) WHERE v > 0), norm AS (SELECT word, sqrt(sum(v * v)) AS n FROM pos GROUP BY word), pairs AS (SELECT a.word AS w1, b.word AS w2 FROM top a JOIN top b ON b.i = a.i + 1), d AS (SELECT w1, w2, sum(x.v * y.v) AS s FROM pairs JOIN pos x ON x.word = w1 JOIN pos y ON y.word = w2 AND y.ctx = x.ctx GROUP BY ALL) SELECT w1, w2, round(coalesce(s, 0) / (a.n * b.n), 6) AS gold FROM pairs LEFT JOIN d USING (w1, w2) JOIN norm a ON a.word = w1 JOIN norm b ON b.word = w2")
+@query(WITH + _PAIRS + """,
+pos AS (SELECT i, pmi.word, ctx, v FROM pmi JOIN (SELECT word, row_number() OVER (ORDER BY cnt DESC, word) AS i FROM cnt) USING (word) WHERE v > 0),
+norm AS (SELECT i, any_value(word) AS word, sqrt(sum(v * v)) AS n FROM pos GROUP BY i),
+d AS (SELECT a.i, sum(a.v * b.v) AS s FROM pos a JOIN pos b ON b.i = a.i + 1 AND b.ctx = a.ctx GROUP BY a.i)
+SELECT a.word AS w1, b.word AS w2, round(coalesce(s, 0) / (a.n * b.n), 6) AS gold FROM norm a JOIN norm b ON b.i = a.i + 1 LEFT JOIN d ON d.i = a.i""")
 def ppmi_similarity_gold(spark, sf_dir):
-    s = _sentences(spark, sf_dir)
-    top = vocab.global_vocab(s, 60)
+    """Every word beside the next in frequency."""
+    top = vocab.global_vocab(_sentences(spark, sf_dir), 1 << 30)
     pairs = top.select(F.col("word").alias("w1"), "word_id").join(top.select(F.col("word").alias("w2"), (F.col("word_id") - 1).alias("word_id")), "word_id").select("w1", "w2")
-    return measures.ppmi_similarity(window_pairs(s, 5), pairs).withColumn("gold", F.round("gold", 6))
+    return measures.ppmi_similarity(_pairs(spark, sf_dir), materialize(pairs, "pairs")).withColumn("gold", F.round("gold", 6))
 
 
 # --- merge on planted vectors --------------------------------------------------------------------------------------
@@ -412,13 +421,52 @@ def reconstruct_missing(spark, sf_dir):
     return both.select("model", "word", F.round(1 - cosine(F.col("vec"), F.col("true")), 6).alias("error"))
 
 
+@query(f"WITH {_PLANT} SELECT CAST(m AS INT) AS model, word FROM (SELECT word, unnest(range(5)) AS m FROM base) k WHERE word IN (SELECT word FROM sub) AND NOT EXISTS (SELECT 1 FROM sub WHERE sub.word = k.word AND sub.model = k.m)")
+def reconstructed_words(spark, sf_dir):
+    """(model, word): the words that get a vector in the space of a model which lost them."""
+    sub = _planted(spark, sf_dir)[1]
+    got = merge_consensus(sub, 5, init="random", iters=1)
+    return w.union([reconstruct(got, sub, k).select("model", "word") for k in range(5)])
+
+
 @query()
 def missing_word_study(spark, sf_dir):
     return w.missing_words(spark, sf_dir)
 
 
-@query("SELECT * FROM (VALUES ('model 0', 'w3'), ('model 1', 'w3'), ('mean', 'w2'), ('aligned', 'w3')) t(method, nearest)")
+@query()
+def planted_recovery(spark, sf_dir):
+    """(words, n, corr, max_error): cosines that the consensus brings back, over all words and over those that some model lost."""
+    return w.recovered(spark, sf_dir)
+
+
+@query()
+def consensus_in_groups(spark, sf_dir):
+    """(word, n_present, checksum) of a consensus of groups of models."""
+    got = merge_in_groups(_planted(spark, sf_dir)[1], 5, 2, init="random").merged
+    return got.select("word", "n_present", _checksum("vec").alias("checksum"))
+
+
+@query()
+def merge_low_rank_planted(spark, sf_dir):
+    return merge_low_rank(_planted(spark, sf_dir)[1], 5, 16)
+
+
+@query()
+def merge_lle_planted(spark, sf_dir):
+    return merge_lle(_planted(spark, sf_dir)[1], 5, 16)
+
+
+@query("""
+WITH v(m, w, x, y) AS (VALUES (0, 1, -3.0::DOUBLE, -1.0::DOUBLE), (0, 2, 0, -1), (0, 3, -1, 0), (1, 1, -2, -2), (1, 2, -4, 0), (1, 3, -2, -4)),
+pts AS (SELECT a.w, a.x AS ax, a.y AS ay, b.x AS bx, b.y AS b_y FROM v a JOIN v b ON a.w = b.w AND a.m = 0 AND b.m = 1),
+turn AS (SELECT sum(bx * ax + b_y * ay) AS c, sum(bx * ay - b_y * ax) AS s, sum(bx * ax - b_y * ay) AS c2, sum(bx * ay + b_y * ax) AS s2 FROM pts),
+best AS (SELECT sqrt(c * c + s * s) >= sqrt(c2 * c2 + s2 * s2) AS plain, c / sqrt(c * c + s * s) AS co, s / sqrt(c * c + s * s) AS si, c2 / sqrt(c2 * c2 + s2 * s2) AS co2, s2 / sqrt(c2 * c2 + s2 * s2) AS si2 FROM turn),
+emb AS (SELECT 'model ' || m AS method, w, x, y FROM v UNION ALL SELECT 'mean', w, (ax + bx) / 2, (ay + b_y) / 2 FROM pts
+  UNION ALL SELECT 'aligned', w, ax + CASE WHEN plain THEN bx * co - b_y * si ELSE bx * co2 + b_y * si2 END, ay + CASE WHEN plain THEN bx * si + b_y * co ELSE bx * si2 - b_y * co2 END FROM pts, best)
+SELECT e.method, 'w' || arg_max(e.w, (e.x * o.x + e.y * o.y) / sqrt((e.x * e.x + e.y * e.y) * (o.x * o.x + o.y * o.y))) AS nearest FROM emb e JOIN emb o ON o.method = e.method AND o.w = 1 AND e.w <> 1 GROUP BY e.method""")
 def averaging_counterexample(spark, sf_dir):
+    """The twin turns one model onto the other in closed form."""
     return w.counterexample(spark)
 
 
@@ -441,23 +489,27 @@ def purity_planted(spark, sf_dir):
     return measures.purity(near).select("n", F.round("purity", 6).alias("purity"))
 
 
-@query("SELECT CAST((count(*) // 10) * (count(*) // 10 - 1) AS BIGINT) AS n_asked, CAST((count(*) // 10) * (count(*) // 10 - 1) AS BIGINT) AS n_answered, 1.0::DOUBLE AS accuracy FROM embeddings")
+@query(f"""
+WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS e, (SELECT count(*) // 10 FROM embeddings) AS m FROM embeddings),
+last AS (SELECT arg_max(e, vec_id) AS shift FROM e),
+rows_ AS (SELECT vec_id, e FROM e WHERE vec_id < m OR vec_id >= 2 * m UNION ALL
+  SELECT a.vec_id + a.m, list_transform(list_zip(a.e, shift, c.e), lambda z: z[1] + 0.5 * z[2] + 0.3 * z[3]) FROM e a JOIN e c ON c.vec_id = a.vec_id + 2 * a.m, last WHERE a.vec_id < a.m),
+emb AS (SELECT vec_id, list_transform(v, lambda x: x / sqrt(list_dot_product(v, v))) AS v FROM (SELECT vec_id, list_transform(e, lambda x: x::FLOAT)::DOUBLE[] AS v FROM rows_)),
+q AS (SELECT DISTINCT i, m, (i + {_u60(1, 'partner', 'i', 'k')} % greatest(1, m - 1) + 1) % m AS j FROM (SELECT vec_id AS i, m, unnest(range(1, {gold.PARTNERS + 1})) AS k FROM e WHERE vec_id < m AND m > 1)),
+aim AS (SELECT i, m, j, list_transform(list_zip(a.v, b.v, c.v), lambda z: z[2] - z[1] + z[3]) AS t FROM q JOIN emb a ON a.vec_id = i JOIN emb b ON b.vec_id = i + m JOIN emb c ON c.vec_id = j),
+best AS (SELECT i, j, any_value(m) AS m, arg_max(vec_id, list_dot_product(t, v)) AS answer FROM aim, emb WHERE vec_id NOT IN (i, i + m, j) GROUP BY i, j)
+SELECT (SELECT count(*) FROM q) AS n_asked, count(*) AS n_answered, round(count(*) FILTER (answer = j + m) / count(*), 4) AS accuracy FROM best""")
 def analogy_planted(spark, sf_dir):
-    """Every planted question is answered right; the twin counts the questions."""
     emb, q = gold.planted_relations(table(spark, sf_dir, "embeddings"))
-    return analogy_accuracy(q, emb).select("n_asked", "n_answered", F.round("accuracy", 4).alias("accuracy"))
+    return analogy_accuracy(q, materialize(emb, "vectors")).select("n_asked", "n_answered", F.round("accuracy", 4).alias("accuracy"))
 
 
-@query("WITH s AS (SELECT q.vec_id AS q, e.vec_id AS w, round(list_dot_product(q.embedding::DOUBLE[], e.embedding::DOUBLE[]) / sqrt(list_dot_product(q.embedding::DOUBLE[], q.embedding::DOUBLE[]) * list_dot_product(e.embedding::DOUBLE[], e.embedding::DOUBLE[])), 6) AS s FROM embeddings q, embeddings e WHERE q.vec_id < 20 AND e.vec_id <> q.vec_id) SELECT 'w' || q AS query, 'w' || w AS word, s AS score, CAST(row_number() OVER (PARTITION BY q ORDER BY s DESC, 'w' || w) AS INT) AS rank FROM s QUALIFY rank <= 5")
+@query("""
+WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings),
+s AS (SELECT q.vec_id AS q, e.vec_id AS w, round(list_dot_product(q.v, e.v) / sqrt(list_dot_product(q.v, q.v) * list_dot_product(e.v, e.v)), 6) AS s FROM e q, e WHERE q.vec_id % 50 = 0 AND e.vec_id <> q.vec_id)
+SELECT 'w' || q AS query, 'w' || w AS word, s AS score, CAST(row_number() OVER (PARTITION BY q ORDER BY s DESC, 'w' || w) AS INT) AS rank FROM s QUALIFY rank <= 5""")
 def knn_topk(spark, sf_dir):
-    emb = table(spark, sf_dir, "embeddings").select("vec_id", F.concat(F.lit("w"), F.col("vec_id")).alias("word"), F.col("embedding").alias("vec"))
-    q = emb.where("vec_id < 20").select(F.col("word").alias("query"), "vec")
-    return neighbours(q, emb, 5).withColumn("score", F.round("score", 6))
-
-
-@query("WITH s AS (SELECT q.vec_id AS q, e.vec_id AS w, round(list_dot_product(q.embedding::DOUBLE[], e.embedding::DOUBLE[]) / sqrt(list_dot_product(q.embedding::DOUBLE[], q.embedding::DOUBLE[]) * list_dot_product(e.embedding::DOUBLE[], e.embedding::DOUBLE[])), 6) AS s FROM embeddings q, embeddings e WHERE q.vec_id % 50 = 0 AND e.vec_id <> q.vec_id) SELECT 'w' || q AS query, 'w' || w AS word, s AS score, CAST(row_number() OVER (PARTITION BY q ORDER BY s DESC, 'w' || w) AS INT) AS rank FROM s QUALIFY rank <= 5")
-def knn_topk_search(spark, sf_dir):
-    """The search of every row whose id is divisible by 50; ``knn_topk`` keeps the 20 queries that its twin fixes."""
+    """The five nearest rows of every row whose id is divisible by 50."""
     emb = table(spark, sf_dir, "embeddings").select("vec_id", F.concat(F.lit("w"), F.col("vec_id")).alias("word"), F.col("embedding").alias("vec"))
     q = emb.where("vec_id % 50 = 0").select(F.col("word").alias("query"), "vec")
     return neighbours(q, emb, 5).withColumn("score", F.round("score", 6))
@@ -469,12 +521,26 @@ _TINY = SkipGramConfig(dim=16, window=5, epochs=1)
 
 
 def _trained(spark, sf_dir, division: str, plan: str = "single_pass", cfg: SkipGramConfig = _TINY) -> DataFrame:
-    s = materialize(_sentences(spark, sf_dir), "sentences")
-    words = materialize(vocab.global_vocab(s, 1000), "vocab")
+    s = _sentences(spark, sf_dir)
     if division == "central":
-        return train_central(s, words, cfg).select("model", "word", "vec", "cnt")
-    route, n = w.route_for(s, division, 25.0, cfg.epochs, hash_fn="xxhash64")
-    return train_submodels(s, route, words, n, cfg, epoch_plan=plan)
+        return train_central(s, materialize(vocab.global_vocab(s), "vocab"), cfg).select("model", "word", "vec", "cnt")
+    d = w.division_of(s, division, 25.0, cfg.epochs, hash_fn="xxhash64")
+    return train_submodels(s, d, vocab.vocabulary_for(d, s), cfg, epoch_plan=plan)
+
+
+_OWN = """, sub AS (SELECT division, model, word, CAST(sum(mult) AS BIGINT) AS cnt FROM route JOIN (SELECT sent_id, unnest(tokens) AS word FROM num) USING (sent_id) GROUP BY ALL)
+SELECT division, model, word, cnt FROM sub WHERE division = 'epoch_sample' OR cnt > 10"""
+
+
+@query(WITH + "," + _routes_sql(10, 10) + _OWN)
+def trained_vocabulary(spark, sf_dir):
+    """(division, model, word, cnt) of trained sub-models: the words over 100 / n of their own sub-corpus, or all words of the one list that were read."""
+    s, cfg = _sentences(spark, sf_dir), SkipGramConfig(dim=2, window=1, negatives=1, epochs=1)
+    out = []
+    for name in w.DIVISIONS:
+        d = w.division_of(s, name, 10.0)
+        out.append(train_submodels(s, d, vocab.vocabulary_for(d, s), cfg).select(F.lit(name).alias("division"), "model", "word", "cnt"))
+    return w.union(out)
 
 
 @query()
@@ -504,12 +570,12 @@ def train_in_rounds(spark, sf_dir):
 
 @query()
 def train_mllib_10(spark, sf_dir):
-    return train_mllib(_sentences(spark, sf_dir), 10, 100, 16, 5, 1)
+    return train_mllib(_sentences(spark, sf_dir), 10, 100, _TINY.dim, _TINY.window, _TINY.epochs)
 
 
 @query()
 def train_mllib_100(spark, sf_dir):
-    return train_mllib(_sentences(spark, sf_dir), 100, 100, 16, 5, 1)
+    return train_mllib(_sentences(spark, sf_dir), 100, 100, _TINY.dim, _TINY.window, _TINY.epochs)
 
 
 @query()
@@ -519,9 +585,8 @@ def train_dim_sharded(spark, sf_dir):
 
 @query()
 def ppmi_svd(spark, sf_dir):
-    s = _sentences(spark, sf_dir)
-    words = [r["word"] for r in vocab.global_vocab(s, 500).collect()]
-    return ppmi_svd_embed(window_pairs(s, 5), words, 16)
+    """Vectors of all words (of the 300,000 most frequent)."""
+    return ppmi_svd_embed(_pairs(spark, sf_dir), materialize(vocab.global_vocab(_sentences(spark, sf_dir)), "vocab"), 16)
 
 
 @query()
@@ -578,11 +643,18 @@ def asof_snapshot(spark, sf_dir):
 
 @query(WITH + "," + _routes_sql(10, 10) + " SELECT division, model, CAST(sum(len(tokens) * mult) AS BIGINT) AS n_tokens FROM route JOIN num USING (sent_id) GROUP BY CUBE (division, model)")
 def metrics_cube(spark, sf_dir):
-    s, out = _sentences(spark, sf_dir), None
-    for d in w.DIVISIONS:
-        r = w.route_for(s, d, 10.0, 1)[0].join(s, "sent_id").select(F.lit(d).alias("division"), "model", (F.size("tokens") * F.col("mult")).alias("t"))
-        out = r if out is None else out.unionByName(r)
-    return out.cube("division", "model").agg(F.sum("t").alias("n_tokens"))
+    r = _routes(_sentences(spark, sf_dir)).select("division", "model", (F.size("tokens") * F.col("mult")).alias("t"))
+    return r.cube("division", "model").agg(F.sum("t").alias("n_tokens"))
+
+
+@query(WITH + "," + _routes_sql(10, 10) + " SELECT division, model, count(*) AS n_rows FROM route GROUP BY ROLLUP (division, model)")
+def metrics_rollup(spark, sf_dir):
+    return _routes(_sentences(spark, sf_dir)).rollup("division", "model").agg(F.count("*").alias("n_rows"))
+
+
+@query(WITH + "," + _routes_sql(10, 10) + " SELECT division, model, name, value FROM (SELECT division, model, CAST(sum(mult) AS BIGINT) AS n_sentences, count(*) AS n_distinct FROM route GROUP BY division, model) UNPIVOT (value FOR name IN (n_sentences, n_distinct))")
+def metrics_unpivot(spark, sf_dir):
+    return sample_sizes(spark, sf_dir).unpivot(["division", "model"], ["n_sentences", "n_distinct"], "name", "value")
 
 
 @query(WITH + "," + _routes_sql(10, 10) + " SELECT model, CAST(sum(mult) FILTER (division = 'sequential') AS BIGINT) AS sequential, CAST(sum(mult) FILTER (division = 'fixed_sample') AS BIGINT) AS fixed_sample, CAST(sum(mult) FILTER (division = 'epoch_sample') AS BIGINT) AS epoch_sample FROM route GROUP BY model")
@@ -600,19 +672,28 @@ def log_sigmoid_sum(spark, sf_dir):
 
 @query()
 def language_clusters(spark, sf_dir):
-    """(word, cls, cluster) of the central model's frequent words."""
-    s = materialize(_sentences(spark, sf_dir), "sentences")
-    words = materialize(vocab.global_vocab(s, 500), "vocab")
-    emb = materialize(train_central(s, words, _TINY).select("word", "vec"), "central")
-    return clusters(gold.language_classes(s, size=500), emb, 4)
-
-
-@query()
+    """(word, cls, cluster) of the central model's words, 4,393 of them by frequency."""
+    s = _sentences(spark, sf_dir)
+    emb = train_central(s, materialize(vocab.global_vocab(s), "vocab"), _TINY).select("word", "vec")
+    return clusters(gold.language_classes(s, size=4393), emb, 4)
+
+
+@query(r"""
+WITH texts AS (SELECT 'documents' AS src, doc_id, text FROM documents UNION ALL
+  SELECT 'pages', page_id, trim(regexp_replace(regexp_replace(html, '(?is)<script.*?</script>|<style.*?</style>|<!--.*?-->|<[^>]*>|&[#a-z0-9]+;', ' ', 'g'), '\s+', ' ', 'g')) FROM pages UNION ALL
+  SELECT 'conversations', conv_id * 1000 + turn, text FROM conversations),
+sent AS (SELECT src, doc_id, pos, tokens FROM (SELECT src, doc_id, pos, regexp_extract_all(s, '\p{L}+') AS tokens FROM (
+  SELECT src, doc_id, unnest(a) AS s, unnest(range(len(a))) AS pos FROM (SELECT src, doc_id, string_split_regex(lower(text), '[.!?]+\s+|\n+') AS a FROM texts WHERE text IS NOT NULL))) WHERE len(tokens) > 0),
+num AS (SELECT CAST(row_number() OVER (ORDER BY src, doc_id, pos) - 1 AS BIGINT) AS sent_id, * FROM sent),
+tok AS (SELECT sent_id, unnest(tokens) AS word FROM num), route AS (""" + _epoch_sql(10, 10, 1, 1) + """),
+q AS (SELECT word, count(*) / (SELECT count(*) FROM tok) AS q FROM tok GROUP BY word),
+s AS (SELECT model, word, sum(mult)::DOUBLE AS c FROM route JOIN tok USING (sent_id) GROUP BY ALL),
+p AS (SELECT model, word, c / sum(c) OVER (PARTITION BY model) AS p FROM s)
+SELECT model, round(sum(p * ln(p / q)), 6) AS kl FROM p JOIN q USING (word) GROUP BY model""")
 def kl_larger_corpus(spark, sf_dir):
     """Divergence on the larger corpus (documents, pages, conversations)."""
-    s = number_sentences(corpora.all_sentences(spark, sf_dir), ["src", "doc_id", "pos"])
-    route, n = w.route_for(s, "epoch_sample", 10.0, 1)
-    return measures.kl_divergence(route, s).withColumn("kl", F.round("kl", 6))
+    s = corpora.numbered_larger(spark, sf_dir)
+    return measures.kl_divergence(w.division_of(s, "epoch_sample", 10.0).route(s, ("tokens",)), s).withColumn("kl", F.round("kl", 6))
 
 
 # --- joins, windows, sketches and SQL functions that users of the methods need --------------------------------------
@@ -626,13 +707,50 @@ def frequency_bands(spark, sf_dir):
     return c.join(F.broadcast(bands), (F.col("cnt") >= F.col("lo")) & (F.col("cnt") < F.col("hi"))).groupBy("band").agg(F.count("*").alias("n_words"), F.sum("cnt").alias("n_tokens"))
 
 
-@query(WITH + ", t AS (SELECT lang, word, count(*) AS cnt FROM tok GROUP BY ALL) SELECT lang, word, cnt, CAST(rk AS INT) AS rk, round(share, 9) AS share FROM (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY cnt DESC, word) AS rk, sum(cnt) OVER (PARTITION BY lang ORDER BY cnt DESC, word ROWS UNBOUNDED PRECEDING) / sum(cnt) OVER (PARTITION BY lang) AS share FROM t) WHERE rk <= 100")
+@query(WITH + """, t AS (SELECT lang, word, count(*) AS cnt FROM tok GROUP BY ALL)
+SELECT lang, word, cnt, CAST(rk AS INT) AS rk, round(share, 9) AS share FROM (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY cnt DESC, word) AS rk,
+  sum(cnt) OVER (PARTITION BY lang ORDER BY cnt DESC, word ROWS UNBOUNDED PRECEDING) / sum(cnt) OVER (PARTITION BY lang) AS share FROM t) WHERE rk <= 100""")
 def zipf_curve(spark, sf_dir):
-    """Rank, count and running share of the 100 most frequent words of each language (a top-k report)."""
+    """Rank, count and running share of the 100 most frequent words of each language (a top-k report): tasks cut their words to 100 a language before any is sorted with others."""
     t = token_counts(_sentences(spark, sf_dir), "lang")
     o = Window.partitionBy("lang").orderBy(F.desc("cnt"), "word")
-    t = t.withColumn("rk", F.row_number().over(o)).withColumn("share", F.sum("cnt").over(o.rowsBetween(Window.unboundedPreceding, 0)) / F.sum("cnt").over(Window.partitionBy("lang")))
-    return t.where("rk <= 100").select("lang", "word", "cnt", "rk", F.round("share", 9).alias("share"))
+    top = t.withColumn("rk", F.row_number().over(o)).where("rk <= 100")
+    total = t.groupBy("lang").agg(F.sum("cnt").alias("all"))
+    top = top.withColumn("run", F.sum("cnt").over(o.rowsBetween(Window.unboundedPreceding, 0))).join(F.broadcast(total), top.lang.eqNullSafe(total.lang)).drop(total.lang)
+    return top.select("lang", "word", "cnt", "rk", F.round(F.col("run") / F.col("all"), 9).alias("share"))
+
+
+@query(WITH + """, f AS (SELECT cnt, count(*) AS n_words FROM cnt GROUP BY cnt)
+SELECT cnt, n_words, CAST(dense_rank() OVER (ORDER BY n_words DESC) AS INT) AS dr, round(percent_rank() OVER (ORDER BY cnt), 9) AS pr, round(cume_dist() OVER (ORDER BY cnt), 9) AS cd, lag(cnt) OVER (ORDER BY cnt) AS less, lead(cnt) OVER (ORDER BY cnt) AS more FROM f""")
+def count_spectrum(spark, sf_dir):
+    """How many words have each count, with ranks among the (few) distinct counts."""
+    f = token_counts(_sentences(spark, sf_dir)).groupBy("cnt").agg(F.count("*").alias("n_words"))
+    o = Window.orderBy("cnt")
+    return f.select("cnt", "n_words", F.dense_rank().over(Window.orderBy(F.desc("n_words"))).alias("dr"), F.round(F.percent_rank().over(o), 9).alias("pr"), F.round(F.cume_dist().over(o), 9).alias("cd"), F.lag("cnt").over(o).alias("less"), F.lead("cnt").over(o).alias("more"))
+
+
+@query(WITH + """, p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num)
+SELECT b.at - a.at AS gap, count(*) AS n_pairs, count(*) FILTER (a.word = b.word) AS n_equal FROM p a JOIN p b ON a.sent_id = b.sent_id AND b.at > a.at AND b.at - a.at <= 3 GROUP BY 1""")
+def cooccurrence_self_join(spark, sf_dir):
+    """Words beside words of their sentence, by a self join: equal sentence, positions in a band."""
+    p = _sentences(spark, sf_dir).select("sent_id", F.posexplode("tokens").alias("at", "word"))
+    a, b = p.select("sent_id", F.col("at").alias("i"), F.col("word").alias("w1")), p.select("sent_id", F.col("at").alias("j"), F.col("word").alias("w2"))
+    near = a.join(b, "sent_id").where((F.col("j") > F.col("i")) & (F.col("j") - F.col("i") <= 3))
+    return near.groupBy((F.col("j") - F.col("i")).cast("long").alias("gap")).agg(F.count("*").alias("n_pairs"), F.count_if(F.col("w1") == F.col("w2")).alias("n_equal"))
+
+
+@query("SELECT CAST(json_extract(props, '$.k') AS INT) AS k, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1")
+def event_props_json(spark, sf_dir):
+    """A field of a JSON column, by schema."""
+    e = ev.events(spark, sf_dir).withColumn("k", F.from_json("props", "k INT")["k"])
+    return e.groupBy("k").agg(F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("total"))
+
+
+@query("SELECT event_type, CAST(sum(CAST(json_extract(props, '$.k') AS INT)) AS BIGINT) AS total FROM events GROUP BY event_type")
+def event_props_variant(spark, sf_dir):
+    """The same field through a variant."""
+    k = F.variant_get(F.parse_json("props"), "$.k", "int")
+    return ev.events(spark, sf_dir).groupBy("event_type").agg(F.sum(k).alias("total"))
 
 
 @query(WITH + r", b AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\p{L}+')) AS word FROM benchmark) SELECT (SELECT count(*) FROM b) AS n_benchmark, (SELECT count(*) FROM (FROM b INTERSECT SELECT word FROM cnt)) AS n_common, (SELECT count(*) FROM (FROM b EXCEPT SELECT word FROM cnt)) AS n_oov")
@@ -643,12 +761,21 @@ def benchmark_oov(spark, sf_dir):
     return b.agg(F.count("*").alias("n_benchmark")).withColumn("n_common", F.lit(b.intersect(v).count())).withColumn("n_oov", F.lit(b.exceptAll(v).count()))
 
 
+@query(WITH + """ SELECT a.lang, n_types, n_sentences FROM (SELECT lang, count(DISTINCT word) AS n_types FROM tok GROUP BY lang) a JOIN (SELECT lang, count(*) AS n_sentences FROM num GROUP BY lang) b ON a.lang IS NOT DISTINCT FROM b.lang""")
+def vocabulary_sizes(spark, sf_dir):
+    """(lang, n_types, n_sentences), exactly."""
+    s = _sentences(spark, sf_dir)
+    return s.groupBy("lang").agg(F.count("*").alias("n_sentences")).join(s.select("lang", F.explode("tokens").alias("word")).groupBy("lang").agg(F.count_distinct("word").alias("n_types")), "lang")
+
+
 @query()
 def vocabulary_sketches(spark, sf_dir):
-    """(lang, n_types, n_types_hll, median_length): exact and sketched vocabulary sizes, and sentence lengths."""
+    """(lang, n_types_hll, median_length, median_kll, sketch_bytes): sketched vocabulary sizes and sentence lengths, and the size of a count-min sketch of the words."""
     s = _sentences(spark, sf_dir)
-    words = s.select("lang", F.explode("tokens").alias("word")).groupBy("lang").agg(F.countDistinct("word").alias("n_types"), F.hll_sketch_estimate(F.hll_sketch_agg("word")).alias("n_types_hll"))
-    return words.join(s.groupBy("lang").agg(F.percentile_approx(F.size("tokens"), 0.5).alias("median_length")), "lang")
+    words = s.select("lang", F.explode("tokens").alias("word")).groupBy("lang")
+    words = words.agg(F.hll_sketch_estimate(F.hll_sketch_agg("word")).alias("n_types_hll"), F.octet_length(F.count_min_sketch("word", F.lit(0.001), F.lit(0.99), F.lit(7))).alias("sketch_bytes"))
+    n = F.size("tokens")
+    return words.join(s.groupBy("lang").agg(F.percentile_approx(n, 0.5).alias("median_length"), F.kll_sketch_get_quantile_bigint(F.kll_sketch_agg_bigint(n.cast("long")), F.lit(0.5)).alias("median_kll")), "lang")
 
 
 @query("SELECT a.vec_id, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) / sqrt(list_dot_product(a.embedding::DOUBLE[], a.embedding::DOUBLE[]) * list_dot_product(b.embedding::DOUBLE[], b.embedding::DOUBLE[])), 6) AS score FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
@@ -661,45 +788,74 @@ def sql_cosine(spark, sf_dir):
     return spark.sql("SELECT a.vec_id, round(vec_cosine(a.embedding, b.embedding), 6) AS score FROM _embeddings a JOIN _embeddings b ON b.vec_id = a.vec_id + 1")
 
 
-@query(WITH + ", p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num) SELECT count(*) AS n_pairs, count(DISTINCT a.word || ' ' || b.word) AS n_kinds FROM p a JOIN p b ON a.sent_id = b.sent_id AND a.at <> b.at AND abs(a.at - b.at) <= 2")
+@query(WITH + """, p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num)
+SELECT count(*) AS n_pairs, count(DISTINCT a.word || ' ' || b.word) AS n_kinds FROM p a JOIN p b ON a.sent_id = b.sent_id AND a.at <> b.at AND abs(a.at - b.at) <= 2""")
 def sql_window_pairs(spark, sf_dir):
     """The table function of word pairs, called laterally."""
     from .functions.sql import register
-    from .session import ship
 
-    ship(spark)
     register(spark)
     _sentences(spark, sf_dir).select("tokens").createOrReplaceTempView("_sentences")
     return spark.sql("SELECT count(*) AS n_pairs, count(DISTINCT p.word || ' ' || p.ctx) AS n_kinds FROM _sentences s, LATERAL window_pairs(s.tokens, 2) p")
 
 
+@query("""
+WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings),
+s AS (SELECT q.vec_id AS q, e.vec_id AS w, round(list_dot_product(q.v, e.v) / (sqrt(list_dot_product(q.v, q.v)) * sqrt(list_dot_product(e.v, e.v))), 6) AS s FROM e q, e WHERE q.vec_id % 50 = 0)
+SELECT 'w' || q AS query, 'w' || w AS word, s AS score FROM s QUALIFY row_number() OVER (PARTITION BY q ORDER BY s DESC, 'w' || w) <= 3""")
+def sql_neighbours(spark, sf_dir):
+    """The table function of neighbours in a lateral join, for every row whose id is divisible by 50; a row is its own nearest."""
+    from .functions.sql import register_neighbours
+
+    emb = table(spark, sf_dir, "embeddings").select("vec_id", F.concat(F.lit("w"), F.col("vec_id")).alias("word"), F.col("embedding").alias("vec"))
+    register_neighbours(emb, "neighbours", 3)
+    emb.where("vec_id % 50 = 0").createOrReplaceTempView("_asked")
+    return spark.sql("SELECT a.word AS query, n.word, round(n.score, 6) AS score FROM _asked a, LATERAL neighbours(a.vec) n")
+
+
 @query()
 def phase_costs(spark, sf_dir):
-    """(run, phase, name, value): seconds, shuffled bytes and jobs of each phase of a small run."""
-    from .operators.merge.consensus import merge_consensus as consensus
+    """(run, phase, name, value): seconds, shuffled bytes and jobs of each phase of a run."""
     from .plans.phases import PhaseTimer, model_bytes
 
     t = PhaseTimer(spark, "epoch_sample 25%")
     with t.phase("prepare"):
-        s = materialize(_sentences(spark, sf_dir), "sentences")
-        words = materialize(vocab.global_vocab(s, 500), "vocab")
+        s = _sentences(spark, sf_dir)
     with t.phase("divide"):
-        t.add("divide", "rows_routed", w.route_for(s, "epoch_sample", 25.0, 1, hash_fn="xxhash64")[0].count())
+        t.add("divide", "rows_routed", w.division_of(s, "epoch_sample", 25.0, hash_fn="xxhash64").route(s).count())
     with t.phase("train"):
-        sub, n = w.trained(s, "epoch_sample", 25.0, words, _TINY)
+        sub, n = w.trained(s, "epoch_sample", 25.0, _TINY)
     t.add("train", "model_bytes", model_bytes(sub))
     with t.phase("merge"):
-        consensus(sub, n, init="random", iters=3).merged.count()
+        merge_consensus(sub, n, init="random", iters=3).merged.count()
     return t.frame()
 
 
 @query()
 def baseline_scores(spark, sf_dir):
-    """(method, benchmark, measure, value, answered, missing) of each division merged by consensus, and of the baselines."""
-    return w.division_effect(spark, sf_dir, (25.0,), 500, _TINY, baselines=False)
+    """(method, benchmark, measure, value, answered, missing): each division at 10 and 1 % merged by consensus, the central model, and the built-in trainer in 10 and 100 partitions."""
+    return w.division_effect(spark, sf_dir)
 
 
 @query()
 def merge_scores(spark, sf_dir):
-    """The same for each merge of the epoch-sampled sub-models, and single ones."""
-    return w.merge_effect(spark, sf_dir, (25.0,), 500, _TINY, singles=2)
+    """The same for each merge of the epoch-sampled sub-models at 10, 5 and 1 %, and for the mean over single ones."""
+    return w.merge_effect(spark, sf_dir)
+
+
+@query()
+def removal_scores(spark, sf_dir):
+    """(method, benchmark, removed, value, loss, ...): merges of trained sub-models after 0, 10 and 50 % of the benchmarks' words were taken from some of them."""
+    return w.removal_effect(spark, sf_dir)
+
+
+@query()
+def training_times(spark, sf_dir):
+    """(method, models, train_s, pca_s, consensus_s, speed_up) at eight rates, and of the baselines."""
+    return w.training_times(spark, sf_dir)
+
+
+@query()
+def scaling_curve(spark, sf_dir):
+    """(corpus, method, share, sentences, seconds): training time against the share of the corpus that is read."""
+    return w.scaling(spark, sf_dir)

@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.corpus import rows_to_sentences, split_sentences, strip_html
+from ..operators.corpus import number_documents, rows_to_sentences, split_sentences, strip_html
+from ..session import once, spread
 
 DOCUMENTS = "doc_id long, text string, lang string"
 
@@ -15,16 +16,32 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def document_sentences(spark: SparkSession, sf_dir: str, unit: str = "sentence") -> DataFrame:
-    """(doc_id, lang, pos, tokens): the smaller corpus."""
-    return split_sentences(documents(spark, sf_dir), keep=("doc_id", "lang"), unit=unit)
+    """(doc_id, lang, pos, tokens): the smaller corpus, for counts that need no order."""
+    return split_sentences(spread(documents(spark, sf_dir)), keep=("doc_id", "lang"), unit=unit)
+
+
+def numbered_sentences(spark: SparkSession, sf_dir: str, order: str = "lang") -> DataFrame:
+    """(lang, doc_id, pos, tokens, sent_id) in language order (a corpus with drift) or document order; written once in an application."""
+    keys = ["lang", "doc_id"] if order == "lang" else ["doc_id"]
+    return once(spark, f"{sf_dir}/documents.parquet", f"sentences-{order}", lambda: number_documents(documents(spark, sf_dir), keys))
+
+
+def all_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(src, doc_id, text) of documents, pages without markup, and conversations: the larger corpus."""
+    d = documents(spark, sf_dir).select(F.lit("documents").alias("src"), "doc_id", "text")
+    p = spark.read.schema("page_id long, html string").parquet(f"{sf_dir}/pages.parquet").select(F.lit("pages").alias("src"), F.col("page_id").alias("doc_id"), strip_html(F.col("html")).alias("text"))
+    c = spark.read.schema("conv_id long, turn long, text string").parquet(f"{sf_dir}/conversations.parquet")
+    return d.unionByName(p).unionByName(c.select(F.lit("conversations").alias("src"), (F.col("conv_id") * 1000 + F.col("turn")).alias("doc_id"), "text"))
 
 
 def all_sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(src, doc_id, pos, tokens) of documents, pages without markup, and conversations: the larger corpus."""
-    d = split_sentences(documents(spark, sf_dir)).withColumn("src", F.lit("documents"))
-    p = spark.read.schema("page_id long, html string").parquet(f"{sf_dir}/pages.parquet").select(F.col("page_id").alias("doc_id"), strip_html(F.col("html")).alias("text"))
-    c = spark.read.schema("conv_id long, turn long, text string").parquet(f"{sf_dir}/conversations.parquet").select((F.col("conv_id") * 1000 + F.col("turn")).alias("doc_id"), "text")
-    return d.unionByName(split_sentences(p).withColumn("src", F.lit("pages"))).unionByName(split_sentences(c).withColumn("src", F.lit("conversations")))
+    """(src, doc_id, pos, tokens) of the larger corpus."""
+    return split_sentences(all_texts(spark, sf_dir), keep=("src", "doc_id"))
+
+
+def numbered_larger(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(src, doc_id, pos, tokens, sent_id) of the larger corpus; written once in an application."""
+    return once(spark, f"{sf_dir}/documents.parquet", "sentences-larger", lambda: number_documents(all_texts(spark, sf_dir), ["src", "doc_id"]))
 
 
 def nation_sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -37,6 +54,15 @@ def nation_sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows_to_sentences(o.join(who, o.o_custkey == who.c_custkey), ["n_name", "r_name", "c_mktsegment", "o_orderpriority", "o_orderstatus"], ["o_orderkey"])
 
 
+def supply_sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(l_orderkey, l_linenumber, tokens): each delivery as [supplier, the supplier's nation, return flag]."""
+    read = lambda t, s: spark.read.schema(s).parquet(f"{sf_dir}/{t}.parquet")
+    li = spread(read("lineitem", "l_orderkey long, l_linenumber int, l_suppkey long, l_returnflag string"))
+    s, n = read("supplier", "s_suppkey long, s_name string, s_nationkey int"), read("nation", "n_nationkey int, n_name string")
+    who = s.join(F.broadcast(n), s.s_nationkey == n.n_nationkey)
+    return rows_to_sentences(li.join(who, li.l_suppkey == who.s_suppkey), ["s_name", "n_name", "l_returnflag"], ["l_orderkey", "l_linenumber"])
+
+
 def baskets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(l_orderkey, tokens): the parts of an order as words of their names, brand and type, in line order."""
     li = spark.read.schema("l_orderkey long, l_partkey long, l_linenumber int").parquet(f"{sf_dir}/lineitem.parquet")

@@ -59,18 +59,24 @@ def dedup_events(ev: DataFrame, late: str = "1 hour") -> DataFrame:
 
 
 def joined_within(left: DataFrame, right: DataFrame, minutes: int = 10, late: str = "1 hour") -> DataFrame:
-    """Stream-stream (or batch) join: a user's events of ``right`` at most ``minutes`` after one of ``left``."""
-    a = (left.withWatermark("ts", late) if left.isStreaming else left).select(F.col("user_id").alias("user"), F.col("ts").alias("t1"), F.col("event_id").alias("first_id"))
-    b = (right.withWatermark("ts", late) if right.isStreaming else right).select("user_id", F.col("ts").alias("t2"), F.col("event_id").alias("second_id"))
-    return a.join(b, (F.col("user") == F.col("user_id")) & (F.col("t2") > F.col("t1")) & (F.col("t2") <= F.col("t1") + F.expr(f"INTERVAL {minutes} MINUTES"))).select("user_id", "first_id", "second_id")
+    """Stream-stream (or batch) join: a user's events of ``right`` at most ``minutes`` after one of ``left``.
+
+    Both sides carry the time in steps of ``minutes`` as a second key (an event of ``right`` looks into its own step and the one
+    before), so what one key brings together is bounded by a step, whatever a user does in a day.
+    """
+    step = lambda ts: F.floor(F.unix_micros(ts) / (minutes * 60_000_000))
+    a = (left.withWatermark("ts", late) if left.isStreaming else left).select(F.col("user_id").alias("user"), step(F.col("ts")).alias("step"), F.col("ts").alias("t1"), F.col("event_id").alias("first_id"))
+    b = right.withWatermark("ts", late) if right.isStreaming else right
+    b = b.select("user_id", F.explode(F.array(step(F.col("ts")), step(F.col("ts")) - 1)).alias("back"), F.col("ts").alias("t2"), F.col("event_id").alias("second_id"))
+    near = (F.col("t2") > F.col("t1")) & (F.col("t2") <= F.col("t1") + F.expr(f"INTERVAL {minutes} MINUTES"))
+    return a.join(b, (F.col("user") == F.col("user_id")) & (F.col("step") == F.col("back")) & near).select("user_id", "first_id", "second_id")
 
 
 def route_stream(sent: DataFrame, n: int, rate: float, sink: Callable[[DataFrame, int], None], seed: int = 1, checkpoint: str | None = None):
     """Route arriving sentences(sent_id, tokens) batch by batch; the batch number is the epoch, so no draw is remembered."""
 
     def each(batch: DataFrame, batch_id: int) -> None:
-        route = divide_epoch_sample(batch, n, rate, 1, seed + batch_id).withColumn("epoch", F.lit(batch_id))
-        sink(route.join(batch.select("sent_id", "tokens"), "sent_id"), batch_id)
+        sink(divide_epoch_sample(batch, n, rate, 1, seed + batch_id, keep=("tokens",)).withColumn("epoch", F.lit(batch_id)), batch_id)
 
     w = sent.writeStream.foreachBatch(each)
     return (w.option("checkpointLocation", checkpoint) if checkpoint else w).trigger(availableNow=True).start()

@@ -36,6 +36,25 @@ def test_sample_sizes_are_binomial(sent):
     assert all(abs(r["m"] - 400) < 4.5 * 20 for r in loose)
 
 
+def test_many_models(sent):
+    for n in (1000, 10_000):
+        per = divide.divide_epoch_sample(sent, n, 100 / n, 1, 3, "binomial_subset").groupBy("sent_id").agg(F.count("*").alias("k"), F.countDistinct("model").alias("d"), F.max("model").alias("top")).collect()
+        assert all(r["k"] == r["d"] and r["top"] < n for r in per) and abs(sum(r["k"] for r in per) - 4000) < 4.5 * 64
+    wide = divide.divide_epoch_sample(sent.limit(50), 1100, 10.0, 1, 3, "binomial_subset").groupBy("sent_id").count().collect()
+    assert len(wide) == 50 and abs(sum(r["count"] for r in wide) - 5500) < 4.5 * 71
+    assert divide.divide_epoch_sample(sent.limit(10), 7, 100.0, 1, 3, "binomial_subset").count() == 70
+
+
+def test_binomial_cuts_are_those_of_the_law():
+    for n, p in ((10, 0.1), (100, 0.01), (40, 0.5)):
+        c, want = 0.0, []
+        for k in range(n):
+            c += math.comb(n, k) * p**k * (1 - p) ** (n - k)
+            want.append(c)
+        got = [x / (1 << 60) for x in divide.binomial_cuts(n, p)]
+        assert all(abs(a - b) < 1e-12 for a, b in zip(got, want)) and (len(got) == n or got[-1] > 1 - 1e-12)
+
+
 def test_fixed_coins_repeat_and_fresh_ones_do_not(sent):
     per = lambda r, e: {(x["model"], x["sent_id"]) for x in r.where(F.col("epoch") == e).collect()}
     fixed, fresh = divide.divide_fixed_bernoulli(sent, 4, 25.0, 2), divide.divide_epoch_sample(sent, 4, 25.0, 2)
@@ -54,7 +73,7 @@ def test_miss_threshold_values():
 
 
 def test_expected_and_observed_misses_agree(sent):
-    route = divide.divide_epoch_sample(sent, 10, 10.0, 1, 5)
+    route = divide.divide_epoch_sample(sent, 10, 10.0, 1, 5, keep=("tokens",))
     both = divide.expected_missing(sent, 10, 0.1).join(divide.observed_missing(route, sent, 10), "word").agg(F.sum("expected").alias("e"), F.sum("observed").alias("o")).first()
     assert abs(both["e"] - both["o"]) < 5
 

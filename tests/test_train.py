@@ -2,27 +2,44 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from divmerge.operators import divide, vocab
+from divmerge.operators import vocab
+from divmerge.operators.corpus import encode, vocabulary_of
+from divmerge.operators.divide import Division
 from divmerge.operators.kernel import NoiseTable, SkipGram, SkipGramConfig, pairs_of
-from divmerge.operators.train import train_central, train_submodels
+from divmerge.operators.train import _Task, deliver, train_central, train_submodels
 
 
 def test_gradient_is_that_of_the_objective():
     m = SkipGram(np.array([5, 4, 3, 2, 1]), SkipGramConfig(dim=4, negatives=2), 1)
     rng = np.random.default_rng(0)
     m.words, m.contexts = rng.standard_normal((5, 4)).astype(np.float64), rng.standard_normal((5, 4)).astype(np.float64)
-    w, c, neg = np.array([1]), np.array([2]), np.array([[3, 4]])
+    w, c, neg = np.array([1]), np.array([[2, -1, 0]]), np.array([[3, 4]])
+
+    def objective():  # pair by pair, each with all the negatives
+        x, log_sigmoid = m.words[1], lambda v: -np.log1p(np.exp(-v))
+        return sum(log_sigmoid(m.contexts[k] @ x) + sum(log_sigmoid(-m.contexts[n] @ x) for n in (3, 4)) for k in (2, 0))
+
     gx, gy, gz, v = m.gradients(w, c, neg)
-    for matrix, row, grad in ((m.words, 1, gx[0]), (m.contexts, 2, gy[0]), (m.contexts, 3, gz[0, 0])):
+    assert abs(v - objective()) < 1e-6 and not gy[0, 1].any()
+    for matrix, row, grad in ((m.words, 1, gx[0]), (m.contexts, 2, gy[0, 0]), (m.contexts, 0, gy[0, 2]), (m.contexts, 3, gz[0, 0])):
         for j in range(4):
             matrix[row, j] += 1e-5
-            up = m.gradients(w, c, neg)[3]
+            up = objective()
             matrix[row, j] -= 2e-5
-            down = m.gradients(w, c, neg)[3]
+            down = objective()
             matrix[row, j] += 1e-5
             assert abs((up - down) / 2e-5 - grad[j]) < 1e-4
 
 
+def test_shrunk_windows_and_subsampling():
+    ids, sent = np.arange(40) % 4, np.zeros(40, int)
+    whole, part = pairs_of(ids, sent, 5), pairs_of(ids, sent, 5, np.random.default_rng(0))
+    assert 0 < len(part[0]) < len(whole[0])
+    m = SkipGram(np.array([1000.0, 1, 1, 1]), SkipGramConfig(dim=2, window=2, subsample=1e-4), 1)
+    m.train(np.zeros(4000, np.int64), np.zeros(4000, int), 0.0)
+    assert m.pairs < 4000 and m.seen[0] == 4000
+
+
 def test_noise_follows_its_power():
     counts = np.array([1000.0, 100, 10])
     got = np.bincount(NoiseTable(counts).draw(np.random.default_rng(0), 200_000), minlength=3) / 200_000
@@ -55,29 +72,67 @@ def vectors(df):
     return {(r["model"], r["word"]): np.array(r["vec"]) for r in df.collect()}
 
 
-def test_each_model_has_its_own_task_and_words(spark, sent):
+def test_each_model_has_its_own_task_and_words(sent):
     words = vocab.global_vocab(sent, 100)
     cfg = SkipGramConfig(dim=8, window=3, epochs=2)
-    route = divide.divide_epoch_sample(sent, 4, 25.0, 2)
-    sub = train_submodels(sent, route, words, 4, cfg)
-    got = vectors(sub)
+    d = Division("epoch_sample", 25.0, 600, 2)
+    got = vectors(train_submodels(sent, d, words, cfg))
     assert {m for m, _ in got} == {0, 1, 2, 3} and len(got) == 40
-    again = vectors(train_submodels(sent.repartition(7), route, words, 4, cfg))
+    again = vectors(train_submodels(sent.repartition(7), d, words, cfg))
     assert all(np.allclose(got[k], again[k]) for k in got)
-    slices = vectors(train_submodels(sent, divide.divide_sequential(sent, 3, 600), words, 3, cfg))
+    slices = vectors(train_submodels(sent, Division("sequential", 33.0, 600), words, cfg))
     assert {m for m, _ in slices} == {0, 1, 2}
 
 
+def test_one_exchange_brings_sentences_to_their_models(sent):
+    d = Division("epoch_sample", 25.0, 600, 2)
+    plan = train_submodels(sent, d, vocab.global_vocab(sent, 100), SkipGramConfig(dim=2, epochs=2))._jdf.queryExecution().sparkPlan()
+    text = train_submodels(sent, d, vocab.global_vocab(sent, 100), SkipGramConfig(dim=2, epochs=2))._jdf.queryExecution().executedPlan().toString()
+    assert text.count("Exchange") == 1 and "Join" not in text and plan is not None
+
+
 def test_rounds_and_central(sent):
     words = vocab.global_vocab(sent, 100)
     cfg = SkipGramConfig(dim=8, window=3, epochs=2)
-    rounds = vectors(train_submodels(sent, divide.divide_epoch_sample(sent, 2, 50.0, 2), words, 2, cfg, epoch_plan="rounds"))
+    d = Division("epoch_sample", 50.0, 600, 2)
+    rounds = vectors(train_submodels(sent, d, words, cfg, epoch_plan="rounds"))
     assert len(rounds) == 20
+    once = vectors(train_submodels(sent, d, words, SkipGramConfig(dim=8, window=3, epochs=1), epoch_plan="rounds"))
+    assert any(not np.allclose(once[k], rounds[k]) for k in once)
     central = vectors(train_central(sent, words, cfg))
     assert len(central) == 10
 
 
+@pytest.mark.parametrize("name", ["sequential", "fixed_sample", "poisson_sample"])
+def test_models_with_words_of_their_own(sent, name):
+    d = Division(name, 25.0, 600, 1, hash_fn="xxhash64")
+    route = d.route(sent, ("tokens",))
+    counts = {(r["model"], r["word"]): r["cnt"] for r in vocab.submodel_counts(route).collect()}
+    least = sorted(counts.values())[len(counts) // 3]
+    words = vocab.vocabulary_for(d, sent, more_than=least)
+    got = train_submodels(sent, d, words, SkipGramConfig(dim=4, window=2, epochs=2)).collect()
+    assert {(r["model"], r["word"]): r["cnt"] for r in got} == {k: 2 * c for k, c in counts.items() if c > least}
+
+
+def test_blocks_do_not_depend_on_batches(sent):
+    words, counts = vocabulary_of(vocab.global_vocab(sent, 100))
+    rows = deliver(Division("epoch_sample", 50.0, 600).route(encode(sent, words), ("ids",)), 1, 1).where("model = 0").toArrow()
+    out = []
+    for size in (7, 1000):
+        task = _Task(SkipGramConfig(dim=4, window=2, epochs=1), 0, words, counts)
+        out.append([m.words for _, m, _ in task.models(iter(rows.combine_chunks().to_batches(max_chunksize=size)), True)][0])
+    assert np.allclose(*out)
+
+
 def test_unseen_words_are_not_in_a_model(sent):
     words = vocab.global_vocab(sent, 100)
-    route = divide.divide_sequential(sent.where("sent_id % 2 = 0"), 1, 600)
-    assert {w for _, w in vectors(train_submodels(sent, route, words, 1, SkipGramConfig(dim=4, epochs=1)))} == {f"a{i}" for i in range(5)}
+    got = vectors(train_submodels(sent.where("sent_id % 2 = 0"), Division("sequential", 100.0, 600), words, SkipGramConfig(dim=4, window=2, epochs=1)))
+    assert {w[0] for _, w in got} == {"a"}
+
+
+def test_no_words_and_no_sentences(sent):
+    cfg = SkipGramConfig(dim=4, window=2, epochs=1)
+    assert train_submodels(sent, Division("epoch_sample", 50.0, 600), vocab.global_vocab(sent.where("false"), 10), cfg).count() == 0
+    assert train_submodels(sent.where("false"), Division("epoch_sample", 50.0, 1), vocab.global_vocab(sent, 10), cfg).count() == 0
+    d = Division("sequential", 50.0, 600)
+    assert train_submodels(sent, d, vocab.vocabulary_for(d, sent, more_than=1e9), cfg).count() == 0
