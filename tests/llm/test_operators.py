@@ -62,6 +62,18 @@ def test_substrings(spark, window):
     assert got == brute_substrings(rows, window)
 
 
+def test_substrings_of_rows_that_share_an_id(spark):
+    """Rows with one id, or none, are ordered by a hash of their text; the ids of all rows together do not matter to what is cut."""
+    a, b = passage(11, 30), passage(12, 30)
+    rows = [(None, a), (None, f"{a} x"), (None, a), (7, b), (7, f"y {b}"), (7, b), (9, f"{a} {b}")]
+    df = spark.createDataFrame([(i, t, 1, "z") for i, t in rows], "doc_id long, text string, __part int, hashes string").repartition(3)
+    got = [(r["doc_id"], r["n_words"], r["n_removed"]) for r in substring.remove_repeats(df, 20, unit_bytes=100).collect()]
+    assert len(got) == 7 and all(n == 60 for i, _, n in got if i == 9)
+    for key, size in ((None, 91), (7, 91)):
+        assert sum(w for i, w, _ in got if i == key) == size and sum(n for i, _, n in got if i == key) == 60
+    assert substring.remove_repeats(df.where("false"), 20).count() == 0
+
+
 def test_cover_finds_every_shift():
     for period, cover in substring.COVERS.items():
         assert {(a - b) % period for a in cover for b in cover} == set(range(period))
@@ -111,6 +123,59 @@ def test_near_duplicates(spark):
     assert {r["doc_id"]: r["class_id"] for r in minhash.near_duplicates(df, block=3).collect()} == want
 
 
+def test_near_duplicates_of_odd_rows(spark, odd, none):
+    base = passage(21, 100)
+    rows = [(1, base), (1, passage(22, 50)), (2, passage(22, 50)), (3, near_copy(base, 2, 1)), (None, base), (None, None), (5, ""), (3, near_copy(base, 2, 1))]
+    df = spark.createDataFrame([(i, t, "a", 1) for i, t in rows], "doc_id long, text string, bands string, rep_id int")
+    got = sorted((r["doc_id"] or 0, r["class_id"] or 0) for r in minhash.near_duplicates(df).collect())
+    assert got == [(0, 0), (0, 1), (1, 1), (1, 1), (2, 1), (3, 1), (3, 1), (5, 5)]  # each text of id 1 leads its own class
+    kept = minhash.one_of_each(df)
+    assert kept.columns == df.columns
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in kept.collect()) == sorted([(1, base), (1, passage(22, 50)), (0, ""), (5, "")])
+    assert minhash.near_duplicates(none).count() == minhash.one_of_each(none).count() == 0
+    assert minhash.near_duplicates(odd).count() == odd.count()
+
+
+def test_one_of_equal_rows_stays(spark):
+    text = passage(23, 40)
+    df = spark.createDataFrame([(4, text)] * 5 + [(6, text), (None, text)] + [(None, passage(24, 30))] * 3, "doc_id long, text string")
+    assert sorted((r["doc_id"] or 0) for r in minhash.one_of_each(df).collect()) == [0, 4]
+
+
+def test_near_duplicates_lose_no_link_on_the_table(spark):
+    """Every pair of the table at 0.8 or more is in one class, and every class hangs together by such pairs."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    cls = {r["doc_id"]: r["class_id"] for r in minhash.near_duplicates(docs).collect()}
+    rows = [(r["doc_id"], r["text"]) for r in docs.orderBy("doc_id").collect() if WORD.search(r["text"] or "")]
+    doc, h, x = minhash._sets(pa.chunked_array([pa.array([t for _, t in rows])]), 5)
+    at = np.searchsorted(doc, np.arange(len(rows) + 1))
+    holders = {}
+    for d, k in zip(doc.tolist(), h.tolist()):
+        holders.setdefault(k, []).append(d)
+    shared = Counter()
+    for own in holders.values():
+        shared.update((a, b) for i, a in enumerate(own) for b in own[i + 1 :])
+    linked, parent = 0, list(range(len(rows)))
+
+    def find(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for (a, b), n in shared.items():
+        if n >= 0.5 * min(at[a + 1] - at[a], at[b + 1] - at[b]):
+            sim = minhash.probability_jaccard(h[at[a] : at[a + 1]], x[at[a] : at[a + 1]], h[at[b] : at[b + 1]], x[at[b] : at[b + 1]])
+            if sim >= 0.8:
+                linked += 1
+                assert cls[rows[a][0]] == cls[rows[b][0]]
+                parent[find(a)] = find(b)
+    assert linked > 50
+    groups = {}
+    for i, (k, _) in enumerate(rows):
+        groups.setdefault(cls[k], set()).add(find(i))
+    assert all(len(g) == 1 for g in groups.values())
+
+
 def test_signature_agreement_is_probability_jaccard():
     rng = np.random.default_rng(0)
     h = rng.integers(0, 2**63, 60).astype(np.uint64)
@@ -238,6 +303,35 @@ def test_trees_are_monotonic_and_learn():
     assert (quality.fit_trees(x, np.ones(1500), np.zeros(3)).score(x) > 0.99).all()
 
 
+def test_scores_are_those_of_a_walk_down_each_tree():
+    rng = np.random.default_rng(1)
+    x = rng.random((400, 4))
+    y = ((x[:, 0] + x[:, 1] * x[:, 2] + 0.2 * rng.random(400)) > 0.8).astype(float)
+    m = quality.fit_trees(x, y, np.zeros(4), n_trees=12, depth=3)
+    for row, score in zip(x[:80], m.score(x)[:80]):
+        total = m.base
+        for at in m.roots:
+            while m.left[at] != at:
+                at = m.left[at] if row[m.feature[at]] <= m.threshold[at] else m.right[at]
+            total += m.value[at]
+        assert abs(1 / (1 + np.exp(-total)) - score) < 1e-12
+
+
+def test_the_first_split_is_the_best_of_all():
+    rng = np.random.default_rng(2)
+    x = np.round(rng.random((60, 3)), 1)
+    y = (x[:, 1] > 0.45).astype(float)
+    y[:6] = 1 - y[:6]
+    m = quality.fit_trees(x, y, np.zeros(3), n_trees=1, depth=1, least_rows=1)
+    p = y.mean()
+    g, h = p - y, p * (1 - p)
+    best = max((sum(g[s].sum() ** 2 / (h * s.sum() + 1) for s in (x[:, j] <= t, x[:, j] > t)), -j, t) for j in range(3) for t in np.unique(x[:, j])[:-1])
+    root = m.roots[0]
+    assert (m.feature[root], m.threshold[root]) == (-best[1], best[2])
+    left = x[:, m.feature[root]] <= m.threshold[root]
+    assert abs(m.value[m.left[root]] - 0.15 * -g[left].sum() / (h * left.sum() + 1)) < 1e-12
+
+
 def test_judge_odd_texts(spark, odd, none, sf):
     labels = spark.createDataFrame([(1, None), (None, 1)], "doc_id long, quality int")
     m = quality.train(odd, labels)
@@ -256,6 +350,46 @@ def test_languages_held_out(spark):
     assert np.mean([r["lang"] == r["lang_pred"] for r in got]) > 0.98 and all(0 <= r["score"] <= 1 for r in got)
 
 
+def brute_kneser_ney(words, order, discount):
+    """Interpolated Kneser-Ney by its definition, on raw counts: a function (history, letter) -> probability."""
+    counts = [Counter() for _ in range(order + 1)]
+    for word in words:
+        t = f" {word} "
+        for i in range(1, len(t)):
+            for n in range(1, min(order, i + 1) + 1):
+                counts[n][t[i - n + 1 : i + 1]] += 1
+    alphabet = len(counts[1])
+
+    def use(gram):
+        n = len(gram)
+        if n == order or n > 1 and gram[0] == " ":  # nothing can stand before a word's start
+            return counts[n][gram]
+        return sum(1 for g in counts[n + 1] if g[1:] == gram)
+
+    def prob(history, letter):
+        n = len(history) + 1
+        below = prob(history[1:], letter) if n > 1 else 1 / alphabet
+        grams = [g for g in counts[n] if g[:-1] == history]
+        total = sum(map(use, grams))
+        if not total:
+            return below
+        kinds = sum(1 for g in grams if use(g) > 0)
+        return max(use(history + letter) - discount, 0) / total + discount * kinds / total * below
+
+    return prob
+
+
+def test_kneser_ney_by_definition(spark):
+    texts = ["the cat sat on the mat", "a cat and the hat that sat", "then the cat ate"]
+    m = langid.train(spark.createDataFrame([(i, t, "en") for i, t in enumerate(texts)], "doc_id long, text string, lang string"), order=3, calibration_rows=0)
+    prob = brute_kneser_ney([w for t in texts for w in t.split()], 3, langid.DISCOUNT)
+    for word in ("the", "cat", "mate", "zat", "ttt", "a"):
+        total, _, _ = m.position_scores([word])
+        t = f" {word} "
+        want = [prob(t[max(0, i - 2) : i], t[i]) for i in range(1, len(t))]
+        assert np.allclose(np.exp(total[:, 0]), want, rtol=1e-4), word
+
+
 def test_kneser_ney_sums_to_one():
     order = 3
     words = ["ab", "aab", "b", "abab", "ba", "aaa"]
@@ -321,6 +455,30 @@ def test_pairs_that_weights_cannot_learn():
     assert abs(fm.raw(np.zeros(2, int), np.array([0, 1]), 1)[0] - (bias + w[0] + w[1] + v[0] @ v[1])) < 1e-9
 
 
+def brute_machine(m, text):
+    """The score pair by pair, from terms found by a regular expression."""
+    low = "".join(c.lower() if c.isascii() or "\u00c0" <= c <= "\u00de" else c for c in text).encode()
+    found = set()
+    for word in re.findall(rb"[0-9a-z\x80-\xff]+", low):
+        for part, factor in [(word, 1)] + [(word[:n], 2 * n + 1) for n in toxicity.STEMS if len(word) > n]:
+            prefix = textnum.prefix_hash(np.frombuffer(part, np.uint8))
+            h = int(textnum.span_hash(prefix, np.array([0]), np.array([len(part)]))[0]) * factor % (1 << 64)
+            found.add(int(m.row[h >> 44]))
+    on = sorted(found - {-1})
+    raw = m.bias + sum(m.w[i] for i in on) + sum(float(m.v[i] @ m.v[j]) for a, i in enumerate(on) for j in on[a + 1 :])
+    return 1 / (1 + np.exp(-(m.scale * raw + m.shift)))
+
+
+def test_scores_of_whole_texts_pair_by_pair(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    m = toxicity.train(docs, spark.read.parquet("/root/testdata/sf0.01/labels.parquet"))
+    rows = docs.where("doc_id % 7 = 0").collect()
+    got = {r["doc_id"]: r["score"] for r in toxicity.score(docs, m).collect()}
+    assert len(m.w) > 5
+    for r in rows:
+        assert abs(got[r["doc_id"]] - brute_machine(m, r["text"] or "")) < 1e-9
+
+
 def test_toxic_terms_are_found(spark, odd, none):
     rng = np.random.default_rng(0)
     rows = [(i, passage(i, 40) + (" vileword" if i % 5 == 0 else "")) for i in range(400)]
@@ -352,6 +510,24 @@ def test_urls_against_brute_force(spark):
     assert urls.filter_urls(spark.createDataFrame([(1, "http://a")], "page_id long, url string"), spark.createDataFrame([], "host string, path string, action string")).first()["verdict"] == "allow"
 
 
+def test_urls_of_no_pages_and_of_other_columns(spark):
+    rules = spark.createDataFrame([("net", "/", "block")], "host string, path string, action string")
+    pages = spark.createDataFrame([(1, "http://a.net/x", "h", "r", 5), (1, "http://a.net/x", "h", "r", 5), (None, "http://b.org", "h", "r", 5), (2, None, "h", "r", 5)], "page_id long, url string, host string, rule string, n int")
+    got = sorted(((r["page_id"] or 0), r["host"], r["rule"], r["verdict"]) for r in urls.filter_urls(pages, rules).collect())
+    assert got == [(0, "b.org", None, "allow"), (1, "a.net", "net/", "block"), (1, "a.net", "net/", "block"), (2, "", None, "allow")]
+    assert urls.filter_urls(pages.where("false"), rules).count() == 0
+
+
+def test_pages_of_a_popular_url(spark, monkeypatch):
+    from divmerge.llm import joins
+
+    monkeypatch.setattr(joins, "HEAVY_ROWS", 10)
+    rules = spark.createDataFrame([("net", "/", "block")], "host string, path string, action string")
+    pages = spark.range(200).selectExpr("id as page_id", "case when id < 150 then 'http://hot.net/' else concat('http://', id % 20, '.net/') end as url")
+    got = urls.filter_urls(pages, rules).collect()
+    assert len(got) == 200 and {r["verdict"] for r in got} == {"block"}
+
+
 # --- 6 mixing
 
 
@@ -402,6 +578,22 @@ def test_token_files(spark, odd, none):
     assert tokenids.token_files(none, path).count() == 0
 
 
+def test_a_tokenizer_that_joins_words(spark, odd):
+    """Byte-level pieces hold the space before a word, so whole texts are encoded."""
+    from tokenizers import Tokenizer
+
+    path = tokenizer_file("byte_bpe_50k.json")
+    tok = Tokenizer.from_file(path)
+    assert not tokenids.WordIds(path).by_words and tokenids.WordIds(tokenizer_file("word_bpe_49k.json")).by_words
+    rows = odd.where("doc_id is not null").select("doc_id", "text").collect()
+    got = Counter((r["doc_id"], r["n_tokens"], r["ids_crc32"]) for r in tokenids.token_files(odd.where("doc_id is not null"), path).collect())
+    want = Counter()
+    for r in rows:
+        ids = tok.encode(r["text"] or "", add_special_tokens=False).ids + [2]
+        want[r["doc_id"], len(ids), zlib.crc32(np.array(ids, "<u4").tobytes())] += 1
+    assert got == want
+
+
 # --- 1 segmentation
 
 
@@ -436,6 +628,44 @@ def test_sampling_is_without_replacement_and_unbiased(sampler):
         assert p < 0.01 or abs(weight[k] - p) < 0.03
 
 
+def spelt(text, pieces):
+    """All segmentations of a text, with the sum of their pieces' scores."""
+    import sentencepiece
+
+    sp = sentencepiece.SentencePieceProcessor(model_file=tokenizer_file("piece_bpe_32k.model"))
+    known = {sp.id_to_piece(i): i for i in range(sp.get_piece_size()) if not (sp.is_byte(i) or sp.is_control(i) or sp.is_unknown(i))}
+    rest = "\u2581" + text.replace(" ", "\u2581")
+
+    def go(at):
+        if at == len(rest):
+            yield (), 0.0
+        for end in range(at + 1, len(rest) + 1):
+            if (i := known.get(rest[at:end])) is not None:
+                for ids, score in go(end):
+                    yield (i, *ids), score + pieces.score[i]
+
+    return dict(go(0))
+
+
+def test_log_probabilities_are_those_of_all_segmentations(sampler):
+    every = spelt("the cat", sampler.pieces)
+    norm = np.logaddexp.reduce(list(every.values()))
+    for rows in sampler.batch(["the cat"] * 40, list(range(40))):
+        for lp, _, _, ids in rows:
+            assert abs(every[tuple(ids.tolist())] - norm - lp) < 1e-9
+
+
+def test_a_small_store_of_lattices_gives_the_same(monkeypatch):
+    texts = [passage(i, 40) for i in range(12)] + ["the cat " * 30]
+    out = []
+    for most, run in ((10**9, 1 << 17), (200, 64)):
+        monkeypatch.setattr(segment, "MAX_ENTRIES", most)
+        monkeypatch.setattr(segment, "RUN_CHARS", run)
+        s = segment.Sampler(tokenizer_file("piece_bpe_32k.model"), k=3)
+        out.append([[(round(r[0], 6), r[3].tolist()) for r in next(s.batch([t], [i]))] for i, t in enumerate(texts * 2)])
+    assert out[0] == out[1]
+
+
 def test_batches_do_not_matter(sampler):
     texts = [passage(i, 30) for i in range(5)]
     alone = [[(r[0], r[1], r[3].tolist()) for r in next(sampler.batch([t], [i]))] for i, t in enumerate(texts)]

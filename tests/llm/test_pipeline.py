@@ -1,5 +1,7 @@
 """The pipeline, stage by stage, against what its operators say."""
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline as p
 from divmerge.llm import quality
 from divmerge.llm.minhash import near_duplicates
@@ -32,3 +34,23 @@ def test_empty_tables(spark, sf):
 
 def test_names():
     assert [n for n, _ in p.STAGES] == ["quality rules", "near dedup", "substring dedup", "mix sources", "encode pieces"]
+
+
+def test_odd_rows_go_through(spark, sf):
+    """Null ids, rows that share an id, equal rows, null and empty texts, and a further column."""
+    docs = table(spark, sf, "documents").where("doc_id < 60").withColumn("key", F.lit("x"))
+    text = docs.where("n_chars > 400").first()["text"]
+    row = lambda i, t: (i, t, "en", "src0", len(t or ""), "x")
+    more = spark.createDataFrame([row(None, text + " extra"), row(7, text), row(7, text), row(8, None), row(9, ""), row(None, None)], docs.schema)
+    rows = docs.unionByName(more)
+    once = p.near_dedup(spark, rows, sf)
+    assert once.columns == docs.columns
+    kept = [r["text"] for r in once.collect()]
+    assert sum(t == text for t in kept) + sum(t == text + " extra" for t in kept) == 1 and sum(not t for t in kept) >= 3
+    cut = p.substring_dedup(spark, rows, sf)
+    assert cut.columns == docs.columns and cut.count() == rows.count()
+    mixed = p.mix_sources(spark, rows, sf)
+    assert mixed.columns == docs.columns and 0 < mixed.count() <= rows.count()
+    assert p.quality_rules(spark, rows, sf).columns == docs.columns
+    coded = p.encode_pieces(spark, rows, sf)
+    assert coded.where("not round_trip").count() == 0 and coded.where("rank = 1").count() == rows.count()
