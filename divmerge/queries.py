@@ -55,11 +55,15 @@ def _u60(seed: int, tag: str, *keys: str) -> str:
 
 def _epoch_sql(n: int, rate: float, epochs: int, seed: int, resample: bool = True) -> str:
     e = "epoch" if resample else "0"
-    return f"SELECT CAST(epoch AS INT) AS epoch, CAST(model AS INT) AS model, sent_id, CAST(1 AS BIGINT) AS mult FROM (SELECT sent_id, epoch, unnest(range({n})) AS model FROM (SELECT sent_id, unnest(range({epochs})) AS epoch FROM num)) WHERE {_u60(seed, 'epoch', e, 'model', 'sent_id')} < {int(rate / 100 * SPAN)}"
+    return f"""SELECT CAST(epoch AS INT) AS epoch, CAST(model AS INT) AS model, sent_id, CAST(1 AS BIGINT) AS mult
+FROM (SELECT sent_id, epoch, unnest(range({n})) AS model FROM (SELECT sent_id, unnest(range({epochs})) AS epoch FROM num))
+WHERE {_u60(seed, 'epoch', e, 'model', 'sent_id')} < {int(rate / 100 * SPAN)}"""
 
 
 def _fixed_sql(n: int, rate: float, seed: int) -> str:
-    return f"SELECT 0 AS epoch, CAST(model AS INT) AS model, sent_id, count(*) AS mult FROM (SELECT model, {_u60(seed, 'fixed', 'model', 'k')} % (SELECT count(*) FROM num) AS sent_id FROM (SELECT model, unnest(range((SELECT CAST(floor({float(rate)}::DOUBLE * count(*) / 100) AS BIGINT) FROM num))) AS k FROM (SELECT unnest(range({n})) AS model))) GROUP BY model, sent_id"
+    return f"""SELECT 0 AS epoch, CAST(model AS INT) AS model, sent_id, count(*) AS mult FROM (SELECT model, {_u60(seed, 'fixed', 'model', 'k')} % (SELECT count(*)
+FROM num) AS sent_id FROM (SELECT model, unnest(range((SELECT CAST(floor({float(rate)}::DOUBLE * count(*) / 100) AS BIGINT) FROM num))) AS k
+FROM (SELECT unnest(range({n})) AS model))) GROUP BY model, sent_id"""
 
 
 def _sequential_sql(n: int) -> str:
@@ -67,7 +71,8 @@ def _sequential_sql(n: int) -> str:
 
 
 def _routes_sql(n: int, rate: float, seed: int = 1) -> str:
-    return f"route AS (SELECT 'sequential' AS division, * FROM ({_sequential_sql(n)}) UNION ALL SELECT 'fixed_sample', * FROM ({_fixed_sql(n, rate, seed)}) UNION ALL SELECT 'epoch_sample', * FROM ({_epoch_sql(n, rate, 1, seed)}))"
+    return f"""route AS (SELECT 'sequential' AS division, * FROM ({_sequential_sql(n)}) UNION ALL SELECT 'fixed_sample', * FROM ({_fixed_sql(n, rate, seed)})
+UNION ALL SELECT 'epoch_sample', * FROM ({_epoch_sql(n, rate, 1, seed)}))"""
 
 
 def _sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -93,14 +98,17 @@ def tokens_per_lang(spark, sf_dir):
     return corpora.document_sentences(spark, sf_dir).groupBy("lang").agg(F.count("*").alias("n_sentences"), F.sum(F.size("tokens")).alias("n_tokens"))
 
 
-@query(WITH + " SELECT (SELECT count(*) FROM sent) AS n_sentences, CAST(sum(cnt) AS BIGINT) AS n_tokens, count(*) AS n_types, count(*) FILTER (cnt >= 5) AS n_types_5, count(*) FILTER (cnt >= 100) AS n_types_100 FROM cnt")
+@query(WITH + """ SELECT (SELECT count(*)
+FROM sent) AS n_sentences, CAST(sum(cnt) AS BIGINT) AS n_tokens, count(*) AS n_types, count(*) FILTER (cnt >= 5) AS n_types_5, count(*) FILTER (cnt >= 100) AS n_types_100
+FROM cnt""")
 def corpus_stats(spark, sf_dir):
     s = corpora.document_sentences(spark, sf_dir)
     c = token_counts(s).agg(F.sum("cnt").alias("n_tokens"), F.count("*").alias("n_types"), F.count_if(F.col("cnt") >= 5).alias("n_types_5"), F.count_if(F.col("cnt") >= 100).alias("n_types_100"))
     return c.withColumn("n_sentences", F.lit(s.count()))
 
 
-@query(r"SELECT page_id, CAST(length(trim(regexp_replace(regexp_replace(html, '(?is)<script.*?</script>|<style.*?</style>|<!--.*?-->|<[^>]*>|&[#a-z0-9]+;', ' ', 'g'), '\s+', ' ', 'g'))) AS INT) AS n_chars FROM pages")
+@query(r"""SELECT page_id, CAST(length(trim(regexp_replace(regexp_replace(html, '(?is)<script.*?</script>|<style.*?</style>|<!--.*?-->|<[^>]*>|&[#a-z0-9]+;', ' ', 'g'), '\s+', ' ', 'g'))) AS INT) AS n_chars
+FROM pages""")
 def strip_html_stats(spark, sf_dir):
     return table(spark, sf_dir, "pages").select("page_id", F.length(strip_html(F.col("html"))).alias("n_chars"))
 
@@ -110,13 +118,16 @@ def dense_sentence_ids(spark, sf_dir):
     return _sentences(spark, sf_dir).select("sent_id", "doc_id", "pos")
 
 
-@query(WITH + ", big AS (SELECT unnest(tokens[1:-2]) AS w1, unnest(tokens[2:]) AS w2 FROM sent WHERE len(tokens) > 1), c AS (SELECT w1, w2, count(*) AS cnt FROM big GROUP BY ALL) SELECT cnt, count(*) AS n_bigrams, min(w1 || ' ' || w2) AS first FROM c GROUP BY cnt")
+@query(WITH + """, big AS (SELECT unnest(tokens[1:-2]) AS w1, unnest(tokens[2:]) AS w2 FROM sent WHERE len(tokens) > 1), c AS (SELECT w1, w2, count(*) AS cnt FROM big
+GROUP BY ALL) SELECT cnt, count(*) AS n_bigrams, min(w1 || ' ' || w2) AS first FROM c GROUP BY cnt""")
 def bigram_counts(spark, sf_dir):
     b = bigrams(corpora.document_sentences(spark, sf_dir))
     return b.groupBy("cnt").agg(F.count("*").alias("n_bigrams"), F.min(F.concat_ws(" ", "w1", "w2")).alias("first"))
 
 
-@query(WITH + ", p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num), c AS (SELECT a.word, b.word AS ctx, count(*) AS cnt FROM p a JOIN p b ON a.sent_id = b.sent_id AND a.at <> b.at AND abs(a.at - b.at) <= 5 GROUP BY ALL) SELECT cnt, count(*) AS n_pairs, min(word || ' ' || ctx) AS first FROM c GROUP BY cnt")
+@query(WITH + """, p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num), c AS (SELECT a.word, b.word AS ctx, count(*) AS cnt
+FROM p a JOIN p b ON a.sent_id = b.sent_id AND a.at <> b.at AND abs(a.at - b.at) <= 5 GROUP BY ALL)
+SELECT cnt, count(*) AS n_pairs, min(word || ' ' || ctx) AS first FROM c GROUP BY cnt""")
 def pair_counts_win(spark, sf_dir):
     p = window_pairs(corpora.document_sentences(spark, sf_dir), 5)
     return p.groupBy("cnt").agg(F.count("*").alias("n_pairs"), F.min(F.concat_ws(" ", "word", "ctx")).alias("first"))
@@ -140,13 +151,15 @@ def vocab_min_count(spark, sf_dir):
     return vocab.min_count_vocab(_sentences(spark, sf_dir), 100)
 
 
-@query(WITH + ", each AS (SELECT word, lang, count(*) AS k FROM tok WHERE lang IS NOT NULL GROUP BY ALL) SELECT word, CAST(sum(k) AS BIGINT) AS cnt, arg_min(lang, (-k, lang)) AS cls FROM each GROUP BY word ORDER BY cnt DESC, word LIMIT 1000")
+@query(WITH + """, each AS (SELECT word, lang, count(*) AS k FROM tok WHERE lang IS NOT NULL GROUP BY ALL)
+SELECT word, CAST(sum(k) AS BIGINT) AS cnt, arg_min(lang, (-k, lang)) AS cls FROM each GROUP BY word ORDER BY cnt DESC, word LIMIT 1000""")
 def vocab_by_language(spark, sf_dir):
     s = _sentences(spark, sf_dir)
     return gold.language_classes(s, size=1000).join(token_counts(s.where("lang is not null")), "word").select("word", "cnt", "cls")
 
 
-@query(WITH + ", t AS (SELECT word, cnt FROM cnt ORDER BY cnt DESC, word LIMIT 1000) SELECT word, cnt, round(pow(cnt::DOUBLE, 0.75) / (SELECT sum(pow(cnt::DOUBLE, 0.75)) FROM t), 9) AS p FROM t")
+@query(WITH + """, t AS (SELECT word, cnt FROM cnt ORDER BY cnt DESC, word LIMIT 1000)
+SELECT word, cnt, round(pow(cnt::DOUBLE, 0.75) / (SELECT sum(pow(cnt::DOUBLE, 0.75)) FROM t), 9) AS p FROM t""")
 def noise_distribution(spark, sf_dir):
     return vocab.noise_distribution(vocab.global_vocab(_sentences(spark, sf_dir), 1000)).withColumn("p", F.round("p", 9))
 
@@ -176,7 +189,9 @@ def vocab_union(spark, sf_dir):
     return vocab.vocab_overlap(vocab.submodel_vocab(d.route(s, ("tokens",)), 0), d.n).groupBy("n_models").agg(F.count("*").alias("n_words"))
 
 
-@query(WITH + "," + _routes_sql(10, 10) + _SUB + ", held AS (SELECT division, word, count(DISTINCT model) AS k FROM sub GROUP BY ALL) SELECT division, count(*) FILTER (k = 10) AS n_intersection, count(*) AS n_union, (SELECT count(*) FROM cnt) AS n_reference, round(count(*) FILTER (k = 10) / (SELECT count(*) FROM cnt), 6) AS coverage FROM held GROUP BY division")
+@query(WITH + "," + _routes_sql(10, 10) + _SUB + """, held AS (SELECT division, word, count(DISTINCT model) AS k FROM sub GROUP BY ALL)
+SELECT division, count(*) FILTER (k = 10) AS n_intersection, count(*) AS n_union, (SELECT count(*)
+FROM cnt) AS n_reference, round(count(*) FILTER (k = 10) / (SELECT count(*) FROM cnt), 6) AS coverage FROM held GROUP BY division""")
 def coverage_ratio(spark, sf_dir):
     return w.coverage_table(spark, sf_dir)
 
@@ -214,7 +229,8 @@ def _reached(cuts: list[int]) -> str:
 many AS (SELECT sent_id, {_reached(divide.binomial_cuts(10, 0.1))} AS many FROM (SELECT sent_id, {_u60(1, 'binomial', '0', 'sent_id')} AS u FROM num)),
 draws AS (SELECT sent_id, list([10 - many + j, {_u60(1, 'subset', '0', 'j', 'sent_id')} % (10 - many + j + 1)]::BIGINT[] ORDER BY j) AS d
   FROM (SELECT sent_id, many, unnest(range(many)) AS j FROM many WHERE many > 0) GROUP BY sent_id),
-hits AS (SELECT sent_id, unnest(list_reduce(list_prepend([]::BIGINT[], d), lambda taken, x: list_append(taken, CASE WHEN list_contains(taken, x[2]) THEN x[1] ELSE x[2] END))) AS model FROM draws)
+hits AS (SELECT sent_id, unnest(list_reduce(list_prepend([]::BIGINT[], d), lambda taken, x: list_append(taken, CASE WHEN list_contains(taken, x[2]) THEN x[1] ELSE x[2] END))) AS model
+FROM draws)
 SELECT 0 AS epoch, CAST(model AS INT) AS model, sent_id, CAST(1 AS BIGINT) AS mult FROM hits""")
 def divide_binomial_subset(spark, sf_dir):
     return divide.divide_epoch_sample(_sentences(spark, sf_dir), 10, 10.0, 1, 1, draw="binomial_subset")
@@ -229,7 +245,8 @@ def divide_poisson(spark, sf_dir):
     return divide.divide_fixed_sample(_sentences(spark, sf_dir), 10, 1, 10, 1, mode="poisson")
 
 
-@query(WITH + ", r AS (" + _epoch_sql(10, 10, 1, 1) + ") SELECT k, count(*) AS n_sentences FROM (SELECT num.sent_id, count(model) AS k FROM num LEFT JOIN r ON num.sent_id = r.sent_id GROUP BY num.sent_id) GROUP BY k")
+@query(WITH + ", r AS (" + _epoch_sql(10, 10, 1, 1) + """) SELECT k, count(*) AS n_sentences FROM (SELECT num.sent_id, count(model) AS k FROM num LEFT JOIN r ON num.sent_id = r.sent_id GROUP BY num.sent_id)
+GROUP BY k""")
 def route_multiplicity(spark, sf_dir):
     s = _sentences(spark, sf_dir)
     r = divide.divide_epoch_sample(s, 10, 10.0, 1, 1)
@@ -242,13 +259,17 @@ def sample_sizes(spark, sf_dir):
     return _routes(_sentences(spark, sf_dir)).groupBy("division", "model").agg(F.sum("mult").alias("n_sentences"), F.count("*").alias("n_distinct"))
 
 
-@query("SELECT u, ell, round(1 - pow(1 - u, (1 - u) / (ell * u)), 9) AS threshold FROM (VALUES (0.1::DOUBLE, 100::DOUBLE), (0.01, 100), (0.1, 10), (0.25, 20), (0.5, 50)) t(u, ell)")
+@query("""SELECT u, ell, round(1 - pow(1 - u, (1 - u) / (ell * u)), 9) AS threshold
+FROM (VALUES (0.1::DOUBLE, 100::DOUBLE), (0.01, 100), (0.1, 10), (0.25, 20), (0.5, 50)) t(u, ell)""")
 def miss_threshold(spark, sf_dir):
     rows = spark.createDataFrame([(0.1, 100.0), (0.01, 100.0), (0.1, 10.0), (0.25, 20.0), (0.5, 50.0)], "u double, ell double")
     return rows.withColumn("threshold", F.round(divide.miss_threshold_col(F.col("u"), F.col("ell")), 9))
 
 
-@query(WITH + ", r AS (" + _epoch_sql(10, 10, 1, 1) + "), ws AS (SELECT DISTINCT sent_id, word FROM tok), e AS (SELECT word, count(*) AS n_sent, 10 * pow(0.9::DOUBLE, count(*)) AS expected FROM ws GROUP BY word), o AS (SELECT word, 10 - count(DISTINCT model) AS observed FROM ws LEFT JOIN r USING (sent_id) GROUP BY word) SELECT least(n_sent, 64) AS n_sent, count(*) AS n_words, round(avg(expected), 6) AS expected, round(avg(observed), 6) AS observed FROM e JOIN o USING (word) GROUP BY ALL")
+@query(WITH + ", r AS (" + _epoch_sql(10, 10, 1, 1) + """), ws AS (SELECT DISTINCT sent_id, word FROM tok), e AS (SELECT word, count(*) AS n_sent, 10 * pow(0.9::DOUBLE, count(*)) AS expected FROM ws
+GROUP BY word), o AS (SELECT word, 10 - count(DISTINCT model) AS observed FROM ws LEFT JOIN r USING (sent_id) GROUP BY word)
+SELECT least(n_sent, 64) AS n_sent, count(*) AS n_words, round(avg(expected), 6) AS expected, round(avg(observed), 6) AS observed FROM e
+JOIN o USING (word) GROUP BY ALL""")
 def expected_vs_observed_missing(spark, sf_dir):
     s = _sentences(spark, sf_dir)
     r = divide.divide_epoch_sample(s, 10, 10.0, 1, 1, keep=("tokens",))
@@ -271,13 +292,17 @@ def theorem_unigram_mean(spark, sf_dir):
 
 def _kl_sql(order_by: str, rates: tuple[tuple[int, float], ...], grams: tuple[int, ...]) -> str:
     sent = _SENT if order_by == "lang" else _SENT.replace("ORDER BY lang NULLS FIRST, doc_id, pos", "ORDER BY doc_id, pos")
-    out = ["WITH " + sent + ", words_ AS (SELECT sent_id, unnest(tokens) AS k FROM num), big AS (SELECT sent_id, unnest(tokens[1:-2]) || ' ' || unnest(tokens[2:]) AS k FROM num WHERE len(tokens) > 1)"]
+    out = ["WITH " + sent + """, words_ AS (SELECT sent_id, unnest(tokens) AS k FROM num), big AS (SELECT sent_id, unnest(tokens[1:-2]) || ' ' || unnest(tokens[2:]) AS k FROM num
+WHERE len(tokens) > 1)"""]
     parts = []
     for i, (n, r) in enumerate(rates):
         out.append(_routes_sql(n, r).replace("route AS", f"r{i} AS"))
         for g in grams:
             src = "words_" if g == 1 else "big"
-            out.append(f"q{i}{g} AS (SELECT k, count(*) / (SELECT count(*) FROM {src}) AS q FROM {src} GROUP BY k), s{i}{g} AS (SELECT division, model, k, sum(mult)::DOUBLE AS c FROM r{i} JOIN {src} USING (sent_id) GROUP BY ALL), p{i}{g} AS (SELECT division, model, k, c / sum(c) OVER (PARTITION BY division, model) AS p FROM s{i}{g}), d{i}{g} AS (SELECT division, model, sum(p * ln(p / q)) AS kl FROM p{i}{g} JOIN q{i}{g} USING (k) GROUP BY division, model)")
+            out.append(f"""q{i}{g} AS (SELECT k, count(*) / (SELECT count(*) FROM {src}) AS q FROM {src}
+GROUP BY k), s{i}{g} AS (SELECT division, model, k, sum(mult)::DOUBLE AS c FROM r{i} JOIN {src} USING (sent_id)
+GROUP BY ALL), p{i}{g} AS (SELECT division, model, k, c / sum(c) OVER (PARTITION BY division, model) AS p
+FROM s{i}{g}), d{i}{g} AS (SELECT division, model, sum(p * ln(p / q)) AS kl FROM p{i}{g} JOIN q{i}{g} USING (k) GROUP BY division, model)""")
             parts.append(f"SELECT '{order_by}' AS order_by, division, {float(r)}::DOUBLE AS rate, {g} AS gram, round(avg(kl), 6) AS kl FROM d{i}{g} GROUP BY division")
     return ", ".join(out) + " " + " UNION ALL ".join(parts)
 
@@ -310,7 +335,10 @@ def _pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # --- PMI -----------------------------------------------------------------------------------------------------------
 
-_PAIRS = ", p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num), pc AS (SELECT a.word, b.word AS ctx, count(*) AS cnt FROM p a JOIN p b ON a.sent_id = b.sent_id AND a.at <> b.at AND abs(a.at - b.at) <= 5 GROUP BY ALL), pw AS (SELECT word, sum(cnt)::DOUBLE AS cw FROM pc GROUP BY word), pctx AS (SELECT ctx, sum(cnt)::DOUBLE AS cc FROM pc GROUP BY ctx), pmi AS (SELECT word, ctx, cnt, ln(cnt * (SELECT sum(cnt)::DOUBLE FROM pc) / (cw * cc)) AS v FROM pc JOIN pw USING (word) JOIN pctx USING (ctx))"
+_PAIRS = """, p AS (SELECT sent_id, unnest(tokens) AS word, unnest(range(len(tokens))) AS at FROM num), pc AS (SELECT a.word, b.word AS ctx, count(*) AS cnt
+FROM p a JOIN p b ON a.sent_id = b.sent_id AND a.at <> b.at AND abs(a.at - b.at) <= 5 GROUP BY ALL), pw AS (SELECT word, sum(cnt)::DOUBLE AS cw
+FROM pc GROUP BY word), pctx AS (SELECT ctx, sum(cnt)::DOUBLE AS cc FROM pc GROUP BY ctx),
+pmi AS (SELECT word, ctx, cnt, ln(cnt * (SELECT sum(cnt)::DOUBLE FROM pc) / (cw * cc)) AS v FROM pc JOIN pw USING (word) JOIN pctx USING (ctx))"""
 
 
 @query(WITH + _PAIRS + """ SELECT word, count(*) AS n_contexts, CAST(sum(cnt) AS BIGINT) AS cnt, round(avg(v - ln(5::DOUBLE)), 6) AS mean_pmi, round(max(v - ln(5::DOUBLE)), 6) AS max_pmi
@@ -336,7 +364,8 @@ def ppmi_similarity_gold(spark, sf_dir):
 # --- merge on planted vectors --------------------------------------------------------------------------------------
 
 _PLANT = """base AS (SELECT 'w' || e.vec_id AS word, label AS cls, list_transform(list_zip(e.embedding, c.embedding), lambda z: (z[1] + z[2] * CAST(1.5 AS FLOAT))::FLOAT) AS vec FROM embeddings e JOIN (SELECT vec_id, embedding FROM embeddings WHERE vec_id < 10) c ON c.vec_id = e.label),
-sub0 AS (SELECT CAST(model AS INT) AS model, word, list_transform(range(64), lambda k: vec[CAST((k + model * 7) % 64 AS INT) + 1] * (CASE WHEN k % (model + 2) = 0 THEN -1.0 ELSE 1.0 END)::FLOAT) AS vec FROM (SELECT word, vec, unnest(range(5)) AS model FROM base)),
+sub0 AS (SELECT CAST(model AS INT) AS model, word, list_transform(range(64), lambda k: vec[CAST((k + model * 7) % 64 AS INT) + 1] * (CASE WHEN k % (model + 2) = 0 THEN -1.0 ELSE 1.0 END)::FLOAT) AS vec
+FROM (SELECT word, vec, unnest(range(5)) AS model FROM base)),
 chosen AS (SELECT word, CAST(""" + _u60(1, "many", "word") + " % 4 + 1 AS INT) AS many FROM base WHERE " + _u60(1, "drop", "word") + f" < {int(0.1 * SPAN)}), " + """
 ranks AS (SELECT word, many, k, row_number() OVER (PARTITION BY word ORDER BY """ + _u60(1, "which", "word", "k") + """, k) AS rn FROM (SELECT word, many, unnest(range(5)) AS k FROM chosen)),
 sub AS (SELECT * FROM sub0 ANTI JOIN (SELECT word, k AS model FROM ranks WHERE rn <= many) g USING (word, model))"""
@@ -353,12 +382,14 @@ def _checksum(v: str):
     return F.round(F.aggregate(F.transform(v, lambda x, i: x.cast("double") * (i % 7 + 1)), F.lit(0.0), lambda s, x: s + x), 4)
 
 
-@query(f"WITH {_PLANT}, c AS (SELECT word, flatten(list(vec ORDER BY model)) AS v, count(*) AS n FROM sub GROUP BY word HAVING count(*) = 5) SELECT word, CAST(len(v) AS INT) AS dim, {_CHECK.format(v='v')} AS checksum FROM c")
+@query(f"""WITH {_PLANT}, c AS (SELECT word, flatten(list(vec ORDER BY model)) AS v, count(*) AS n FROM sub GROUP BY word HAVING count(*) = 5)
+SELECT word, CAST(len(v) AS INT) AS dim, {_CHECK.format(v='v')} AS checksum FROM c""")
 def merge_concat_planted(spark, sf_dir):
     return merge_concat(_planted(spark, sf_dir)[1], 5).select("word", F.size("vec").alias("dim"), _checksum("vec").alias("checksum"))
 
 
-@query(f"WITH {_PLANT}, x AS (SELECT word, j, avg(v::DOUBLE)::FLOAT AS v, count(*) AS k FROM (SELECT word, unnest(vec) AS v, unnest(range(64)) AS j FROM sub) GROUP BY word, j) SELECT word, CAST(max(k) AS INT) AS n_present, round(sum(v::DOUBLE * (j % 7 + 1)), 4) AS checksum FROM x GROUP BY word")
+@query(f"""WITH {_PLANT}, x AS (SELECT word, j, avg(v::DOUBLE)::FLOAT AS v, count(*) AS k FROM (SELECT word, unnest(vec) AS v, unnest(range(64)) AS j FROM sub)
+GROUP BY word, j) SELECT word, CAST(max(k) AS INT) AS n_present, round(sum(v::DOUBLE * (j % 7 + 1)), 4) AS checksum FROM x GROUP BY word""")
 def merge_mean_planted(spark, sf_dir):
     return merge_mean(_planted(spark, sf_dir)[1]).select("word", "n_present", _checksum("vec").alias("checksum"))
 
@@ -368,7 +399,9 @@ def removal_counts(spark, sf_dir):
     return _planted(spark, sf_dir)[1].groupBy("model").agg(F.count("*").alias("n_words"))
 
 
-@query(f"WITH {_PLANT}, held AS (SELECT word, count(*) AS k FROM sub GROUP BY word) SELECT 'concat' AS method, count(*) AS n_words, CAST(count(*) - count(*) FILTER (k = 5) AS BIGINT) AS n_oov FROM held UNION ALL SELECT 'consensus', count(*), 0 FROM held UNION ALL SELECT 'single', count(*), count(*) - (SELECT count(*) FROM sub WHERE model = 0) FROM held")
+@query(f"""WITH {_PLANT}, held AS (SELECT word, count(*) AS k FROM sub GROUP BY word)
+SELECT 'concat' AS method, count(*) AS n_words, CAST(count(*) - count(*) FILTER (k = 5) AS BIGINT) AS n_oov FROM held UNION ALL
+SELECT 'consensus', count(*), 0 FROM held UNION ALL SELECT 'single', count(*), count(*) - (SELECT count(*) FROM sub WHERE model = 0) FROM held""")
 def oov_counts(spark, sf_dir):
     base, sub = _planted(spark, sf_dir)
     out = None
@@ -386,7 +419,8 @@ def merge_pca_variance(spark, sf_dir):
     return spark.createDataFrame([(i, float(round(v, 6))) for i, v in enumerate(var)], "component int, variance double")
 
 
-@query(f"WITH {_PLANT}, c AS (SELECT word, flatten(list(vec ORDER BY model)) AS v FROM sub GROUP BY word HAVING count(*) = 5), x AS (SELECT j, v FROM (SELECT unnest(v) AS v, unnest(range(320)) AS j FROM c)) SELECT CAST(j AS INT) AS j, round(avg(v::DOUBLE), 6) AS mean FROM x GROUP BY j")
+@query(f"""WITH {_PLANT}, c AS (SELECT word, flatten(list(vec ORDER BY model)) AS v FROM sub GROUP BY word HAVING count(*) = 5), x AS (SELECT j, v
+FROM (SELECT unnest(v) AS v, unnest(range(320)) AS j FROM c)) SELECT CAST(j AS INT) AS j, round(avg(v::DOUBLE), 6) AS mean FROM x GROUP BY j""")
 def merge_pca_means(spark, sf_dir):
     rows = materialize(merge_concat(_planted(spark, sf_dir)[1], 5), "concat")
     mean, _ = column_means(rows, 320)
@@ -398,7 +432,9 @@ def consensus_displacement(spark, sf_dir):
     return w.convergence(spark, sf_dir, 10, 5)
 
 
-@query(f"WITH {_PLANT}, p AS (SELECT a.vec AS u, b.vec AS v FROM base a JOIN base b ON CAST(substr(b.word, 2) AS INT) = CAST(substr(a.word, 2) AS INT) + 1) SELECT count(*) AS n, round(sum(list_dot_product(u::DOUBLE[], v::DOUBLE[]) / sqrt(list_dot_product(u::DOUBLE[], u::DOUBLE[]) * list_dot_product(v::DOUBLE[], v::DOUBLE[]))), 2) AS total_cosine FROM p")
+@query(f"""WITH {_PLANT}, p AS (SELECT a.vec AS u, b.vec AS v FROM base a JOIN base b ON CAST(substr(b.word, 2) AS INT) = CAST(substr(a.word, 2) AS INT) + 1)
+SELECT count(*) AS n, round(sum(list_dot_product(u::DOUBLE[], v::DOUBLE[]) / sqrt(list_dot_product(u::DOUBLE[], u::DOUBLE[]) * list_dot_product(v::DOUBLE[], v::DOUBLE[]))), 2) AS total_cosine
+FROM p""")
 def consensus_recovers_cosines(spark, sf_dir):
     """Without missing words the consensus has the cosines of the true vectors, so their sum over neighbouring ids is that of the table."""
     _, sub = _planted(spark, sf_dir, percent=0.0)
@@ -421,7 +457,8 @@ def reconstruct_missing(spark, sf_dir):
     return both.select("model", "word", F.round(1 - cosine(F.col("vec"), F.col("true")), 6).alias("error"))
 
 
-@query(f"WITH {_PLANT} SELECT CAST(m AS INT) AS model, word FROM (SELECT word, unnest(range(5)) AS m FROM base) k WHERE word IN (SELECT word FROM sub) AND NOT EXISTS (SELECT 1 FROM sub WHERE sub.word = k.word AND sub.model = k.m)")
+@query(f"""WITH {_PLANT} SELECT CAST(m AS INT) AS model, word FROM (SELECT word, unnest(range(5)) AS m FROM base) k WHERE word IN (SELECT word
+FROM sub) AND NOT EXISTS (SELECT 1 FROM sub WHERE sub.word = k.word AND sub.model = k.m)""")
 def reconstructed_words(spark, sf_dir):
     """(model, word): the words that get a vector in the space of a model which lost them."""
     sub = _planted(spark, sf_dir)[1]
@@ -461,9 +498,12 @@ def merge_lle_planted(spark, sf_dir):
 WITH v(m, w, x, y) AS (VALUES (0, 1, -3.0::DOUBLE, -1.0::DOUBLE), (0, 2, 0, -1), (0, 3, -1, 0), (1, 1, -2, -2), (1, 2, -4, 0), (1, 3, -2, -4)),
 pts AS (SELECT a.w, a.x AS ax, a.y AS ay, b.x AS bx, b.y AS b_y FROM v a JOIN v b ON a.w = b.w AND a.m = 0 AND b.m = 1),
 turn AS (SELECT sum(bx * ax + b_y * ay) AS c, sum(bx * ay - b_y * ax) AS s, sum(bx * ax - b_y * ay) AS c2, sum(bx * ay + b_y * ax) AS s2 FROM pts),
-best AS (SELECT sqrt(c * c + s * s) >= sqrt(c2 * c2 + s2 * s2) AS plain, c / sqrt(c * c + s * s) AS co, s / sqrt(c * c + s * s) AS si, c2 / sqrt(c2 * c2 + s2 * s2) AS co2, s2 / sqrt(c2 * c2 + s2 * s2) AS si2 FROM turn),
+best AS (SELECT sqrt(c * c + s * s) >= sqrt(c2 * c2 + s2 * s2) AS plain, c / sqrt(c * c + s * s) AS co, s / sqrt(c * c + s * s) AS si, c2 / sqrt(c2 * c2 + s2 * s2) AS co2, s2 / sqrt(c2 * c2 + s2 * s2) AS si2
+FROM turn),
 emb AS (SELECT 'model ' || m AS method, w, x, y FROM v UNION ALL SELECT 'mean', w, (ax + bx) / 2, (ay + b_y) / 2 FROM pts
-  UNION ALL SELECT 'aligned', w, ax + CASE WHEN plain THEN bx * co - b_y * si ELSE bx * co2 + b_y * si2 END, ay + CASE WHEN plain THEN bx * si + b_y * co ELSE bx * si2 - b_y * co2 END FROM pts, best)
+  UNION ALL
+SELECT 'aligned', w, ax + CASE WHEN plain THEN bx * co - b_y * si ELSE bx * co2 + b_y * si2 END, ay + CASE WHEN plain THEN bx * si + b_y * co ELSE bx * si2 - b_y * co2 END
+FROM pts, best)
 SELECT e.method, 'w' || arg_max(e.w, (e.x * o.x + e.y * o.y) / sqrt((e.x * e.x + e.y * e.y) * (o.x * o.x + o.y * o.y))) AS nearest FROM emb e JOIN emb o ON o.method = e.method AND o.w = 1 AND e.w <> 1 GROUP BY e.method""")
 def averaging_counterexample(spark, sf_dir):
     """The twin turns one model onto the other in closed form."""
@@ -473,7 +513,10 @@ def averaging_counterexample(spark, sf_dir):
 # --- evaluation on given vectors -----------------------------------------------------------------------------------
 
 
-@query("WITH s AS (SELECT a.vec_id AS i, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS x, round(list_dot_product(a.embedding[1:32]::DOUBLE[], b.embedding[1:32]::DOUBLE[]), 9) AS y FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1), r AS (SELECT rank() OVER (ORDER BY x) + (count(*) OVER (PARTITION BY x) - 1) / 2.0 AS rx, rank() OVER (ORDER BY y) + (count(*) OVER (PARTITION BY y) - 1) / 2.0 AS ry FROM s) SELECT count(*) AS n, round(corr(rx::DOUBLE, ry::DOUBLE), 6) AS rho FROM r")
+@query("""WITH s AS (SELECT a.vec_id AS i, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS x, round(list_dot_product(a.embedding[1:32]::DOUBLE[], b.embedding[1:32]::DOUBLE[]), 9) AS y
+FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1),
+r AS (SELECT rank() OVER (ORDER BY x) + (count(*) OVER (PARTITION BY x) - 1) / 2.0 AS rx, rank() OVER (ORDER BY y) + (count(*) OVER (PARTITION BY y) - 1) / 2.0 AS ry
+FROM s) SELECT count(*) AS n, round(corr(rx::DOUBLE, ry::DOUBLE), 6) AS rho FROM r""")
 def spearman_vectors(spark, sf_dir):
     e = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     both = e.join(e.select((F.col("vec_id") - 1).alias("vec_id"), F.col("embedding").alias("b")), "vec_id")
@@ -481,7 +524,10 @@ def spearman_vectors(spark, sf_dir):
     return measures.spearman(s).select("n", F.round("rho", 6).alias("rho"))
 
 
-@query("WITH c AS (SELECT vec_id AS k, embedding AS c FROM embeddings WHERE vec_id < 10), s AS (SELECT e.vec_id, e.label AS cls, arg_max(c.k, (round(list_dot_product(list_transform(list_zip(e.embedding, l.c), lambda z: (z[1] + z[2] * CAST(1.5 AS FLOAT))::FLOAT)::DOUBLE[], c.c::DOUBLE[]), 6), -c.k)) AS cluster FROM embeddings e JOIN c l ON l.k = e.label, c GROUP BY ALL), k AS (SELECT cluster, cls, count(*) AS k FROM s GROUP BY ALL) SELECT CAST(sum(n) AS BIGINT) AS n, round(sum(top) / sum(n), 6) AS purity FROM (SELECT cluster, max(k) AS top, sum(k) AS n FROM k GROUP BY cluster)")
+@query("""WITH c AS (SELECT vec_id AS k, embedding AS c FROM embeddings WHERE vec_id < 10),
+s AS (SELECT e.vec_id, e.label AS cls, arg_max(c.k, (round(list_dot_product(list_transform(list_zip(e.embedding, l.c), lambda z: (z[1] + z[2] * CAST(1.5 AS FLOAT))::FLOAT)::DOUBLE[], c.c::DOUBLE[]), 6), -c.k)) AS cluster
+FROM embeddings e JOIN c l ON l.k = e.label, c GROUP BY ALL), k AS (SELECT cluster, cls, count(*) AS k FROM s GROUP BY ALL)
+SELECT CAST(sum(n) AS BIGINT) AS n, round(sum(top) / sum(n), 6) AS purity FROM (SELECT cluster, max(k) AS top, sum(k) AS n FROM k GROUP BY cluster)""")
 def purity_planted(spark, sf_dir):
     base = gold.planted_base(table(spark, sf_dir, "embeddings"))
     c = table(spark, sf_dir, "embeddings").where("vec_id < 10").select("vec_id", "embedding")
@@ -493,10 +539,13 @@ def purity_planted(spark, sf_dir):
 WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS e, (SELECT count(*) // 10 FROM embeddings) AS m FROM embeddings),
 last AS (SELECT arg_max(e, vec_id) AS shift FROM e),
 rows_ AS (SELECT vec_id, e FROM e WHERE vec_id < m OR vec_id >= 2 * m UNION ALL
-  SELECT a.vec_id + a.m, list_transform(list_zip(a.e, shift, c.e), lambda z: z[1] + 0.5 * z[2] + 0.3 * z[3]) FROM e a JOIN e c ON c.vec_id = a.vec_id + 2 * a.m, last WHERE a.vec_id < a.m),
+  SELECT a.vec_id + a.m, list_transform(list_zip(a.e, shift, c.e), lambda z: z[1] + 0.5 * z[2] + 0.3 * z[3]) FROM e a
+JOIN e c ON c.vec_id = a.vec_id + 2 * a.m, last WHERE a.vec_id < a.m),
 emb AS (SELECT vec_id, list_transform(v, lambda x: x / sqrt(list_dot_product(v, v))) AS v FROM (SELECT vec_id, list_transform(e, lambda x: x::FLOAT)::DOUBLE[] AS v FROM rows_)),
-q AS (SELECT DISTINCT i, m, (i + {_u60(1, 'partner', 'i', 'k')} % greatest(1, m - 1) + 1) % m AS j FROM (SELECT vec_id AS i, m, unnest(range(1, {gold.PARTNERS + 1})) AS k FROM e WHERE vec_id < m AND m > 1)),
-aim AS (SELECT i, m, j, list_transform(list_zip(a.v, b.v, c.v), lambda z: z[2] - z[1] + z[3]) AS t FROM q JOIN emb a ON a.vec_id = i JOIN emb b ON b.vec_id = i + m JOIN emb c ON c.vec_id = j),
+q AS (SELECT DISTINCT i, m, (i + {_u60(1, 'partner', 'i', 'k')} % greatest(1, m - 1) + 1) % m AS j
+FROM (SELECT vec_id AS i, m, unnest(range(1, {gold.PARTNERS + 1})) AS k FROM e WHERE vec_id < m AND m > 1)),
+aim AS (SELECT i, m, j, list_transform(list_zip(a.v, b.v, c.v), lambda z: z[2] - z[1] + z[3]) AS t FROM q JOIN emb a ON a.vec_id = i
+JOIN emb b ON b.vec_id = i + m JOIN emb c ON c.vec_id = j),
 best AS (SELECT i, j, any_value(m) AS m, arg_max(vec_id, list_dot_product(t, v)) AS answer FROM aim, emb WHERE vec_id NOT IN (i, i + m, j) GROUP BY i, j)
 SELECT (SELECT count(*) FROM q) AS n_asked, count(*) AS n_answered, round(count(*) FILTER (answer = j + m) / count(*), 4) AS accuracy FROM best""")
 def analogy_planted(spark, sf_dir):
@@ -506,7 +555,8 @@ def analogy_planted(spark, sf_dir):
 
 @query("""
 WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings),
-s AS (SELECT q.vec_id AS q, e.vec_id AS w, round(list_dot_product(q.v, e.v) / sqrt(list_dot_product(q.v, q.v) * list_dot_product(e.v, e.v)), 6) AS s FROM e q, e WHERE q.vec_id % 50 = 0 AND e.vec_id <> q.vec_id)
+s AS (SELECT q.vec_id AS q, e.vec_id AS w, round(list_dot_product(q.v, e.v) / sqrt(list_dot_product(q.v, q.v) * list_dot_product(e.v, e.v)), 6) AS s
+FROM e q, e WHERE q.vec_id % 50 = 0 AND e.vec_id <> q.vec_id)
 SELECT 'w' || q AS query, 'w' || w AS word, s AS score, CAST(row_number() OVER (PARTITION BY q ORDER BY s DESC, 'w' || w) AS INT) AS rank FROM s QUALIFY rank <= 5""")
 def knn_topk(spark, sf_dir):
     """The five nearest rows of every row whose id is divisible by 50."""
@@ -597,13 +647,16 @@ def pipeline_flagship(spark, sf_dir):
 # --- relational and event corpora ----------------------------------------------------------------------------------
 
 
-@query("SELECT n_name AS nation, r_name AS region, o_orderstatus AS status, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ALL")
+@query("""SELECT n_name AS nation, r_name AS region, o_orderstatus AS status, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey
+JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ALL""")
 def relational_sentences(spark, sf_dir):
     s = corpora.nation_sentences(spark, sf_dir)
     return s.groupBy(F.get("tokens", F.lit(0)).alias("nation"), F.get("tokens", F.lit(1)).alias("region"), F.get("tokens", F.lit(4)).alias("status")).agg(F.count("*").alias("n"))
 
 
-@query("WITH b AS (SELECT l_orderkey, l_linenumber, string_split(p_name, ' ') || [p_brand, p_type] AS t FROM lineitem JOIN part ON l_partkey = p_partkey), o AS (SELECT l_orderkey, flatten(list(t ORDER BY l_linenumber, t)) AS tokens FROM b GROUP BY l_orderkey) SELECT CAST(len(tokens) AS INT) AS n_tokens, count(*) AS n_orders, min(array_to_string(tokens, ' ')) AS first FROM o GROUP BY 1")
+@query("""WITH b AS (SELECT l_orderkey, l_linenumber, string_split(p_name, ' ') || [p_brand, p_type] AS t FROM lineitem JOIN part ON l_partkey = p_partkey),
+o AS (SELECT l_orderkey, flatten(list(t ORDER BY l_linenumber, t)) AS tokens FROM b GROUP BY l_orderkey)
+SELECT CAST(len(tokens) AS INT) AS n_tokens, count(*) AS n_orders, min(array_to_string(tokens, ' ')) AS first FROM o GROUP BY 1""")
 def basket_sentences(spark, sf_dir):
     b = corpora.baskets(spark, sf_dir)
     return b.groupBy(F.size("tokens").alias("n_tokens")).agg(F.count("*").alias("n_orders"), F.min(F.array_join("tokens", " ")).alias("first"))
@@ -614,23 +667,29 @@ def events_tumbling(spark, sf_dir):
     return ev.windowed_counts(ev.events(spark, sf_dir)).withColumn("start", F.col("start").cast("timestamp_ntz")).withColumn("total", F.round("total", 4))
 
 
-@query("SELECT start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM (SELECT event_type, value, unnest([time_bucket(INTERVAL 6 HOURS, ts) - i * INTERVAL 6 HOURS FOR i IN range(4)]) AS start FROM events) GROUP BY ALL")
+@query("""SELECT start, event_type, count(*) AS n, round(sum(value), 4) AS total
+FROM (SELECT event_type, value, unnest([time_bucket(INTERVAL 6 HOURS, ts) - i * INTERVAL 6 HOURS FOR i IN range(4)]) AS start FROM events)
+GROUP BY ALL""")
 def events_sliding(spark, sf_dir):
     return ev.windowed_counts(ev.events(spark, sf_dir), "1 day", "6 hours").withColumn("start", F.col("start").cast("timestamp_ntz")).withColumn("total", F.round("total", 4))
 
 
-@query("WITH g AS (SELECT *, sum(CASE WHEN ts >= prev + INTERVAL 30 MINUTES OR prev IS NULL THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS prev FROM events)) SELECT user_id, min(ts) AS start, count(*) AS n_events, string_agg(event_type, ' ' ORDER BY ts, event_id) AS sentence FROM g GROUP BY user_id, s")
+@query("""WITH g AS (SELECT *, sum(CASE WHEN ts >= prev + INTERVAL 30 MINUTES OR prev IS NULL THEN 1 ELSE 0 END) OVER (PARTITION BY user_id
+ORDER BY ts, event_id) AS s FROM (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS prev FROM events))
+SELECT user_id, min(ts) AS start, count(*) AS n_events, string_agg(event_type, ' ' ORDER BY ts, event_id) AS sentence FROM g GROUP BY user_id, s""")
 def events_sessions(spark, sf_dir):
     s = ev.session_sentences(ev.events(spark, sf_dir))
     return s.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), F.size("tokens").cast("long").alias("n_events"), F.array_join("tokens", " ").alias("sentence"))
 
 
-@query("SELECT event_type, count(*) AS n_kept FROM (SELECT *, max(ts) OVER (ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS high FROM events) WHERE high IS NULL OR ts >= high - INTERVAL 1 HOUR GROUP BY event_type")
+@query("""SELECT event_type, count(*) AS n_kept FROM (SELECT *, max(ts) OVER (ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS high
+FROM events) WHERE high IS NULL OR ts >= high - INTERVAL 1 HOUR GROUP BY event_type""")
 def late_data_drop(spark, sf_dir):
     return ev.drop_late(ev.events(spark, sf_dir), "event_id", 3600).groupBy("event_type").agg(F.count("*").alias("n_kept"))
 
 
-@query("SELECT e.event_id, s.event_id AS snapshot_id FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = (SELECT min(event_type) FROM events) GROUP BY ALL) s ON e.user_id = s.user_id AND e.ts >= s.ts")
+@query("""SELECT e.event_id, s.event_id AS snapshot_id FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events
+WHERE event_type = (SELECT min(event_type) FROM events) GROUP BY ALL) s ON e.user_id = s.user_id AND e.ts >= s.ts""")
 def asof_snapshot(spark, sf_dir):
     """For each event the user's latest snapshot at or before it: one union and a running last value, no range join."""
     e = ev.events(spark, sf_dir)
@@ -652,12 +711,15 @@ def metrics_rollup(spark, sf_dir):
     return _routes(_sentences(spark, sf_dir)).rollup("division", "model").agg(F.count("*").alias("n_rows"))
 
 
-@query(WITH + "," + _routes_sql(10, 10) + " SELECT division, model, name, value FROM (SELECT division, model, CAST(sum(mult) AS BIGINT) AS n_sentences, count(*) AS n_distinct FROM route GROUP BY division, model) UNPIVOT (value FOR name IN (n_sentences, n_distinct))")
+@query(WITH + "," + _routes_sql(10, 10) + """ SELECT division, model, name, value FROM (SELECT division, model, CAST(sum(mult) AS BIGINT) AS n_sentences, count(*) AS n_distinct FROM route
+GROUP BY division, model) UNPIVOT (value FOR name IN (n_sentences, n_distinct))""")
 def metrics_unpivot(spark, sf_dir):
     return sample_sizes(spark, sf_dir).unpivot(["division", "model"], ["n_sentences", "n_distinct"], "name", "value")
 
 
-@query(WITH + "," + _routes_sql(10, 10) + " SELECT model, CAST(sum(mult) FILTER (division = 'sequential') AS BIGINT) AS sequential, CAST(sum(mult) FILTER (division = 'fixed_sample') AS BIGINT) AS fixed_sample, CAST(sum(mult) FILTER (division = 'epoch_sample') AS BIGINT) AS epoch_sample FROM route GROUP BY model")
+@query(WITH + "," + _routes_sql(10, 10) + """
+SELECT model, CAST(sum(mult) FILTER (division = 'sequential') AS BIGINT) AS sequential, CAST(sum(mult) FILTER (division = 'fixed_sample') AS BIGINT) AS fixed_sample, CAST(sum(mult) FILTER (division = 'epoch_sample') AS BIGINT) AS epoch_sample
+FROM route GROUP BY model""")
 def metrics_pivot(spark, sf_dir):
     return sample_sizes(spark, sf_dir).groupBy("model").pivot("division", list(w.DIVISIONS)).agg(F.first("n_sentences"))
 
@@ -680,10 +742,13 @@ def language_clusters(spark, sf_dir):
 
 @query(r"""
 WITH texts AS (SELECT 'documents' AS src, doc_id, text FROM documents UNION ALL
-  SELECT 'pages', page_id, trim(regexp_replace(regexp_replace(html, '(?is)<script.*?</script>|<style.*?</style>|<!--.*?-->|<[^>]*>|&[#a-z0-9]+;', ' ', 'g'), '\s+', ' ', 'g')) FROM pages UNION ALL
+ 
+SELECT 'pages', page_id, trim(regexp_replace(regexp_replace(html, '(?is)<script.*?</script>|<style.*?</style>|<!--.*?-->|<[^>]*>|&[#a-z0-9]+;', ' ', 'g'), '\s+', ' ', 'g'))
+FROM pages UNION ALL
   SELECT 'conversations', conv_id * 1000 + turn, text FROM conversations),
 sent AS (SELECT src, doc_id, pos, tokens FROM (SELECT src, doc_id, pos, regexp_extract_all(s, '\p{L}+') AS tokens FROM (
-  SELECT src, doc_id, unnest(a) AS s, unnest(range(len(a))) AS pos FROM (SELECT src, doc_id, string_split_regex(lower(text), '[.!?]+\s+|\n+') AS a FROM texts WHERE text IS NOT NULL))) WHERE len(tokens) > 0),
+  SELECT src, doc_id, unnest(a) AS s, unnest(range(len(a))) AS pos FROM (SELECT src, doc_id, string_split_regex(lower(text), '[.!?]+\s+|\n+') AS a
+FROM texts WHERE text IS NOT NULL))) WHERE len(tokens) > 0),
 num AS (SELECT CAST(row_number() OVER (ORDER BY src, doc_id, pos) - 1 AS BIGINT) AS sent_id, * FROM sent),
 tok AS (SELECT sent_id, unnest(tokens) AS word FROM num), route AS (""" + _epoch_sql(10, 10, 1, 1) + """),
 q AS (SELECT word, count(*) / (SELECT count(*) FROM tok) AS q FROM tok GROUP BY word),
@@ -699,7 +764,8 @@ def kl_larger_corpus(spark, sf_dir):
 # --- joins, windows, sketches and SQL functions that users of the methods need --------------------------------------
 
 
-@query(WITH + ", bands(band, lo, hi) AS (VALUES ('rare', 1, 5), ('low', 5, 20), ('middle', 20, 100), ('frequent', 100, 1000000000)) SELECT band, count(*) AS n_words, CAST(sum(cnt) AS BIGINT) AS n_tokens FROM cnt JOIN bands ON cnt >= lo AND cnt < hi GROUP BY band")
+@query(WITH + """, bands(band, lo, hi) AS (VALUES ('rare', 1, 5), ('low', 5, 20), ('middle', 20, 100), ('frequent', 100, 1000000000))
+SELECT band, count(*) AS n_words, CAST(sum(cnt) AS BIGINT) AS n_tokens FROM cnt JOIN bands ON cnt >= lo AND cnt < hi GROUP BY band""")
 def frequency_bands(spark, sf_dir):
     """A range join with a few bands, broadcast."""
     bands = spark.createDataFrame([("rare", 1, 5), ("low", 5, 20), ("middle", 20, 100), ("frequent", 100, 10**9)], "band string, lo long, hi long")
@@ -753,7 +819,9 @@ def event_props_variant(spark, sf_dir):
     return ev.events(spark, sf_dir).groupBy("event_type").agg(F.sum(k).alias("total"))
 
 
-@query(WITH + r", b AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\p{L}+')) AS word FROM benchmark) SELECT (SELECT count(*) FROM b) AS n_benchmark, (SELECT count(*) FROM (FROM b INTERSECT SELECT word FROM cnt)) AS n_common, (SELECT count(*) FROM (FROM b EXCEPT SELECT word FROM cnt)) AS n_oov")
+@query(WITH + r""", b AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\p{L}+')) AS word FROM benchmark) SELECT (SELECT count(*)
+FROM b) AS n_benchmark, (SELECT count(*) FROM (FROM b INTERSECT SELECT word FROM cnt)) AS n_common, (SELECT count(*) FROM (FROM b EXCEPT SELECT word
+FROM cnt)) AS n_oov""")
 def benchmark_oov(spark, sf_dir):
     """Words of the benchmark passages that the corpus lacks, by set operations."""
     b = table(spark, sf_dir, "benchmark").select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"\p{L}+"), 0)).alias("word")).distinct()
@@ -778,7 +846,8 @@ def vocabulary_sketches(spark, sf_dir):
     return words.join(s.groupBy("lang").agg(F.percentile_approx(n, 0.5).alias("median_length"), F.kll_sketch_get_quantile_bigint(F.kll_sketch_agg_bigint(n.cast("long")), F.lit(0.5)).alias("median_kll")), "lang")
 
 
-@query("SELECT a.vec_id, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) / sqrt(list_dot_product(a.embedding::DOUBLE[], a.embedding::DOUBLE[]) * list_dot_product(b.embedding::DOUBLE[], b.embedding::DOUBLE[])), 6) AS score FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
+@query("""SELECT a.vec_id, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) / sqrt(list_dot_product(a.embedding::DOUBLE[], a.embedding::DOUBLE[]) * list_dot_product(b.embedding::DOUBLE[], b.embedding::DOUBLE[])), 6) AS score
+FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1""")
 def sql_cosine(spark, sf_dir):
     """The registered SQL functions in a query of SQL."""
     from .functions.sql import register
@@ -801,7 +870,8 @@ def sql_window_pairs(spark, sf_dir):
 
 @query("""
 WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings),
-s AS (SELECT q.vec_id AS q, e.vec_id AS w, round(list_dot_product(q.v, e.v) / (sqrt(list_dot_product(q.v, q.v)) * sqrt(list_dot_product(e.v, e.v))), 6) AS s FROM e q, e WHERE q.vec_id % 50 = 0)
+s AS (SELECT q.vec_id AS q, e.vec_id AS w, round(list_dot_product(q.v, e.v) / (sqrt(list_dot_product(q.v, q.v)) * sqrt(list_dot_product(e.v, e.v))), 6) AS s
+FROM e q, e WHERE q.vec_id % 50 = 0)
 SELECT 'w' || q AS query, 'w' || w AS word, s AS score FROM s QUALIFY row_number() OVER (PARTITION BY q ORDER BY s DESC, 'w' || w) <= 3""")
 def sql_neighbours(spark, sf_dir):
     """The table function of neighbours in a lateral join, for every row whose id is divisible by 50; a row is its own nearest."""
