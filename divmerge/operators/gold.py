@@ -106,11 +106,12 @@ def planted_rotated(base: DataFrame, n: int, sigma: float = 0.5, seed: int = 0)
 
 
 def drop_words(sub: DataFrame, words: DataFrame, percent: float, n: int, seed: int = 1) -> DataFrame:
-    """Remove ``percent`` of the benchmark words from 1..n-1 hash-chosen sub-models each; never from all."""
+    """Remove ``percent`` of the benchmark words from some of the sub-models that hold them, hash-chosen; never from all, so a word of one model stays."""
     w = words.select("word").distinct().where(u60(seed, "drop", "word") < int(percent / 100 * SPAN))
-    w = w.withColumn("many", (u60(seed, "many", "word") % (n - 1) + 1).cast("int"))
-    rank = F.array_sort(F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda k: F.struct(u60(seed, "which", F.col("word"), k).alias("u"), k.alias("k"))))
-    gone = w.select("word", F.explode(F.transform(F.slice(rank, F.lit(1), F.col("many")), lambda s: s["k"])).alias("model"))
+    held = sub.select("word", "model").join(w, "word", "left_semi").groupBy("word").agg(F.collect_set("model").alias("held")).where(F.size("held") > 1)
+    held = held.withColumn("many", (u60(seed, "many", "word") % (F.size("held") - 1) + 1).cast("int"))
+    rank = F.array_sort(F.transform("held", lambda k: F.struct(u60(seed, "which", F.col("word"), k).alias("u"), k.alias("k"))))
+    gone = held.select("word", F.explode(F.transform(F.slice(rank, F.lit(1), F.col("many")), lambda s: s["k"])).alias("model"))
     return sub.join(gone, ["word", "model"], "left_anti").select("model", "word", "vec", "cnt")
 
 
