@@ -18,7 +18,9 @@ SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 
 _BASE = 0x9E3779B97F4A7C15
 _WORD_BASE = 0xD1B54A32D192ED03
-CHUNK_BYTES = 2 << 20
+CHUNK_BYTES = 1 << 19
+#: Where each distinct word of a chunk is worked on once.
+WORD_CHUNK_BYTES = 2 << 20
 
 
 def mix64(x: np.ndarray) -> np.ndarray:

@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import scratch, ship
-from .textnum import Chunk, Words, chunks, prefix_hash, span_hash, words
+from .textnum import WORD_CHUNK_BYTES, Chunk, Words, chunks, prefix_hash, span_hash, words
 
 MAGIC, BLOCK = b"PFR1", 256
 PERCENTILE = 0.97
@@ -276,7 +276,7 @@ def _write(path: str, end_id: int, most: int, percentile: float):
 
         for b in batches:
             key = b.column("doc_id").fill_null(NULL_ID).to_numpy(zero_copy_only=False)
-            for c in chunks(b.column("text")):
+            for c in chunks(b.column("text"), WORD_CHUNK_BYTES):
                 flat, size = encode.texts(c)
                 full = np.insert(flat, np.cumsum(size), np.uint32(end_id))  # the end id after each document
                 docs.append(key[c.lo : c.hi]), sizes.append(size + 1), ids.append(full)
