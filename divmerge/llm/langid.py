@@ -12,7 +12,7 @@ of about ``MAX_NGRAMS`` n-grams: one group's table is on the driver and in a wor
 the texts with a running winner. No n-gram and no language is left out; a language larger than that is a group of its own.
 
 The language with the lowest cross-entropy for each letter wins. The score is its share under a softmax of the negative cross-entropies,
-with a temperature fitted on a bounded sample of training texts so that scores are calibrated; texts under ``reject``
+with a temperature fitted on all training texts so that scores are calibrated; texts under ``reject``
 are flagged in ``rejected`` (the label stays, for users who want it).
 
 Defined results: null texts and texts without a letter are ``und`` with score 0; rows without a label train nothing; with no labels at all every
@@ -30,14 +30,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import discard, materialize, ship
-from .quality import bounded_sample
 from .textnum import WORD_CHUNK_BYTES, chunks, mix64, words
 
 ORDER = 4
 DISCOUNT = 0.75
 MAX_NGRAMS = 3_000_000
 MAX_CELLS = 4 * MAX_NGRAMS  # n-grams times languages of a group; the tables are dense
-CALIBRATION_ROWS = 1000
+TEMPERATURES = np.geomspace(0.02, 2.0, 40)
 EDGE = 0x20  # boundary mark, never a letter
 _G = np.uint64(0x9E3779B97F4A7C15)
 
@@ -318,8 +317,8 @@ def _groups(sizes: dict[str, int], max_ngrams: int) -> list[list[str]]:
     return out
 
 
-def train(docs: DataFrame, order: int = ORDER, discount: float = DISCOUNT, max_ngrams: int = MAX_NGRAMS, calibration_rows: int = CALIBRATION_ROWS) -> LanguageModels | LanguageGroups:
-    """Models from all of ``docs(doc_id, text, lang)``; rows without text or language are left out. ``max_ngrams`` bounds what is held at once, not what is counted."""
+def train(docs: DataFrame, order: int = ORDER, discount: float = DISCOUNT, max_ngrams: int = MAX_NGRAMS, calibration_rows: int | None = None) -> LanguageModels | LanguageGroups:
+    """Models from all of ``docs(doc_id, text, lang)``; rows without text or language are left out. ``max_ngrams`` bounds what is held at once, not what is counted. Scores are calibrated on all rows, or not at all with ``calibration_rows=0``."""
     ship(docs.sparkSession)
     rows = docs.where("text is not null and lang is not null").select(F.col("lang").cast("string").alias("lang"), "text")
     counted = rows.mapInArrow(_count(order), "lang string, n int, gram string, k long").groupBy("lang", "n", "gram").agg(F.sum("k").alias("k"))
@@ -331,9 +330,10 @@ def train(docs: DataFrame, order: int = ORDER, discount: float = DISCOUNT, max_n
     alphabet = counted.where("n = 1").agg(F.countDistinct("gram")).first()[0]
     many = LanguageGroups(counted, groups, order, discount, alphabet)
     one = next(many.parts()) if len(groups) == 1 else None
-    sample = bounded_sample(rows, "text", calibration_rows).toPandas() if calibration_rows else None
-    if sample is not None and len(sample):
-        _calibrate(one or many, sample["lang"].tolist(), sample["text"].tolist())
+    if calibration_rows is None:
+        _calibrate(one or many, rows)
+    elif calibration_rows:
+        raise ValueError("calibration takes all rows or none")
     if one is not None:
         discard(counted)
     return one or many
@@ -344,28 +344,71 @@ def _share(mean: np.ndarray, letters: np.ndarray, temperature: float) -> tuple[n
     return np.where(letters > 0, mean.argmax(1), -1), np.where(letters > 0, z.max(1) / z.sum(1), 0.0)
 
 
-def _calibrate(model: LanguageModels | LanguageGroups, langs: list[str], texts: list[str]) -> None:
-    """Temperature of least log loss; rejection at the score that all but one in a thousand right answers reach."""
-    columns = []
-    for part in model.parts() if isinstance(model, LanguageGroups) else [model]:
-        rows = [part.text_scores(c) for c in chunks(pa.array(texts))]
-        columns.append(np.concatenate([a for a, _ in rows]))
-    mean, letters = np.concatenate(columns, 1), np.concatenate([b for _, b in rows])
-    names = {x: i for i, x in enumerate(model.languages)}
-    truth = np.array([names.get(x, -2) for x in langs])  # a language without a letter has no model
-    on = (letters > 0) & (truth >= 0)
-    if not on.any():
-        return
-    best = (np.inf, 1.0)
-    for t in np.geomspace(0.02, 2.0, 40):
-        z = mean[on] / t
-        z = z - z.max(1, keepdims=True)
-        lp = z - np.log(np.exp(z).sum(1, keepdims=True))
-        best = min(best, (float(-lp[np.arange(on.sum()), truth[on]].mean()), float(t)))
-    model.temperature = best[1]
-    win, score = _share(mean, letters, model.temperature)
-    right = score[(win == truth) & on]
-    model.reject = float(min(0.5, np.quantile(right, 0.001))) if len(right) else 0.5
+def _means(part: LanguageModels, last: bool):
+    """Appends a group's mean log probabilities to those of each row; the last group's pass leaves out the text."""
+    names = ["lang", "mean", "letters"] if last else ["lang", "text", "mean", "letters"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for c in chunks(b.column("text"), WORD_CHUNK_BYTES):
+                mean, letters = part.text_scores(c)
+                old = b.column("mean").slice(c.lo, c.n)
+                mean = np.concatenate([old.flatten().to_numpy().reshape(c.n, -1) if len(old.flatten()) else np.zeros((c.n, 0)), mean], 1)
+                lists = pa.ListArray.from_arrays(pa.array((np.arange(c.n + 1) * mean.shape[1]).astype(np.int32)), pa.array(mean.reshape(-1)))
+                text = [] if last else [b.column("text").slice(c.lo, c.n)]
+                yield pa.RecordBatch.from_arrays([b.column("lang").slice(c.lo, c.n), *text, lists, pa.array(letters.astype(np.float64))], names=names)
+
+    return run
+
+
+def _calibrate(model: LanguageModels | LanguageGroups, rows: DataFrame) -> None:
+    """Temperature of least log loss over all ``rows(lang, text)``; rejection at the score that all but one in a thousand right answers reach.
+
+    Texts are scored once, into a table of their mean log probabilities; sums by temperature and the lowest thousandth come back.
+    """
+    now = rows.select("lang", "text", F.array().cast("array<double>").alias("mean"), F.lit(0.0).alias("letters"))
+    parts = len(model.groups) if isinstance(model, LanguageGroups) else 1
+    for i, part in enumerate(model.parts() if isinstance(model, LanguageGroups) else [model]):
+        last = i == parts - 1
+        then = materialize(now.mapInArrow(_means(part, last), "lang string, mean array<double>, letters double" if last else "lang string, text string, mean array<double>, letters double"), "calibration")
+        discard(now)
+        now = then
+    names, many = {x: i for i, x in enumerate(model.languages)}, len(model.languages)
+
+    def known(b: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        truth = np.array([names.get(x, -2) for x in b.column("lang").to_pylist()], np.int64)  # a language without a letter has no model
+        mean, letters = b.column("mean").flatten().to_numpy().reshape(b.num_rows, many), b.column("letters").to_numpy()
+        on = (letters > 0) & (truth >= 0)
+        return mean[on], letters[on], truth[on]
+
+    def losses(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total, n = np.zeros(len(TEMPERATURES)), 0
+        for b in batches:
+            mean, _, truth = known(b)
+            for i, t in enumerate(TEMPERATURES):
+                z = (mean - mean.max(1, keepdims=True)) / t
+                total[i] += (np.log(np.exp(z).sum(1)) - z[np.arange(len(z)), truth]).sum()
+            n += len(mean)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total))), pa.array(total), pa.array(np.full(len(total), n))], names=["i", "loss", "n"])
+
+    got = now.mapInArrow(losses, "i long, loss double, n long").groupBy("i").agg(F.sum("loss").alias("loss"), F.sum("n").alias("n")).collect()
+    if got and got[0]["n"]:
+        model.temperature = temperature = float(TEMPERATURES[min((r["loss"], r["i"]) for r in got)[1]])
+
+        def rights(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                mean, letters, truth = known(b)
+                if len(mean):
+                    win, score = _share(mean, letters, temperature)
+                    yield pa.RecordBatch.from_arrays([pa.array(score[win == truth])], names=["score"])
+
+        right = now.mapInArrow(rights, "score double")
+        n = right.count()
+        at = 0.001 * max(0, n - 1)
+        low = [r["score"] for r in right.orderBy("score").limit(int(at) + 2).collect()]
+        if n:
+            model.reject = float(min(0.5, np.interp(at, np.arange(len(low)), low)))
+    discard(now)
 
 
 def _predict(model: LanguageModels):
