@@ -26,7 +26,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import discard, materialize, ship
@@ -331,7 +331,9 @@ def train(docs: DataFrame, order: int = ORDER, discount: float = DISCOUNT, max_n
     many = LanguageGroups(counted, groups, order, discount, alphabet)
     one = next(many.parts()) if len(groups) == 1 else None
     if calibration_rows is None:
-        _calibrate(one or many, rows)
+        scored = _scored(one or many, rows)
+        _calibrate(one or many, scored)
+        discard(scored)
     elif calibration_rows:
         raise ValueError("calibration takes all rows or none")
     if one is not None:
@@ -344,9 +346,9 @@ def _share(mean: np.ndarray, letters: np.ndarray, temperature: float) -> tuple[n
     return np.where(letters > 0, mean.argmax(1), -1), np.where(letters > 0, z.max(1) / z.sum(1), 0.0)
 
 
-def _means(part: LanguageModels, last: bool):
+def _means(part: LanguageModels, kept: list[str], last: bool):
     """Appends a group's mean log probabilities to those of each row; the last group's pass leaves out the text."""
-    names = ["lang", "mean", "letters"] if last else ["lang", "text", "mean", "letters"]
+    names = [*kept, "mean", "letters"] if last else [*kept, "text", "mean", "letters"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -356,24 +358,32 @@ def _means(part: LanguageModels, last: bool):
                 mean = np.concatenate([old.flatten().to_numpy().reshape(c.n, -1) if len(old.flatten()) else np.zeros((c.n, 0)), mean], 1)
                 lists = pa.ListArray.from_arrays(pa.array((np.arange(c.n + 1) * mean.shape[1]).astype(np.int32)), pa.array(mean.reshape(-1)))
                 text = [] if last else [b.column("text").slice(c.lo, c.n)]
-                yield pa.RecordBatch.from_arrays([b.column("lang").slice(c.lo, c.n), *text, lists, pa.array(letters.astype(np.float64))], names=names)
+                yield pa.RecordBatch.from_arrays([*(b.column(x).slice(c.lo, c.n) for x in kept), *text, lists, pa.array(letters.astype(np.float64))], names=names)
 
     return run
 
 
-def _calibrate(model: LanguageModels | LanguageGroups, rows: DataFrame) -> None:
-    """Temperature of least log loss over all ``rows(lang, text)``; rejection at the score that all but one in a thousand right answers reach.
-
-    Texts are scored once, into a table of their mean log probabilities; sums by temperature and the lowest thousandth come back.
-    """
-    now = rows.select("lang", "text", F.array().cast("array<double>").alias("mean"), F.lit(0.0).alias("letters"))
+def _scored(model: LanguageModels | LanguageGroups, rows: DataFrame) -> DataFrame:
+    """``rows(text, ...)`` without the text, with the mean log probabilities by language and the number of letters: each text scored once, into a written table."""
+    kept = [c for c in rows.columns if c != "text"]
+    now = rows.select(*kept, "text", F.array().cast("array<double>").alias("mean"), F.lit(0.0).alias("letters"))
     parts = len(model.groups) if isinstance(model, LanguageGroups) else 1
     for i, part in enumerate(model.parts() if isinstance(model, LanguageGroups) else [model]):
         last = i == parts - 1
-        then = materialize(now.mapInArrow(_means(part, last), "lang string, mean array<double>, letters double" if last else "lang string, text string, mean array<double>, letters double"), "calibration")
+        schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in now.schema if not (last and f.name == "text"))
+        then = materialize(now.mapInArrow(_means(part, kept, last), schema), "scores")
         discard(now)
         now = then
+    return now
+
+
+def _calibrate(model: LanguageModels | LanguageGroups, scored: DataFrame) -> None:
+    """Temperature of least log loss over all ``scored(lang, mean, letters)``; rejection at the score that all but one in a thousand right answers reach.
+
+    Sums by temperature and the lowest thousandth come back.
+    """
     names, many = {x: i for i, x in enumerate(model.languages)}, len(model.languages)
+    now = scored.select("lang", "mean", "letters")
 
     def known(b: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         truth = np.array([names.get(x, -2) for x in b.column("lang").to_pylist()], np.int64)  # a language without a letter has no model
@@ -408,7 +418,6 @@ def _calibrate(model: LanguageModels | LanguageGroups, rows: DataFrame) -> None:
         low = [r["score"] for r in right.orderBy("score").limit(int(at) + 2).collect()]
         if n:
             model.reject = float(min(0.5, np.interp(at, np.arange(len(low)), low)))
-    discard(now)
 
 
 def _predict(model: LanguageModels):
@@ -469,3 +478,31 @@ def predict(docs: DataFrame, model: LanguageModels | LanguageGroups) -> DataFram
     if isinstance(model, LanguageGroups):
         return _predict_groups(docs, model)
     return docs.mapInArrow(_predict(model), "doc_id long, lang_pred string, score double, cross_entropy double, rejected boolean")
+
+
+def _decided(languages: list[str], temperature: float, reject: float):
+    """Winners of scored rows."""
+    schema = pa.schema([("doc_id", pa.int64()), ("lang_pred", pa.string()), ("score", pa.float64()), ("cross_entropy", pa.float64()), ("rejected", pa.bool_())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = np.array([*languages, "und"], object)
+        for b in batches:
+            if not b.num_rows:
+                continue
+            mean = b.column("mean").flatten().to_numpy().reshape(b.num_rows, len(languages))
+            win, score = _share(mean, b.column("letters").to_numpy(), temperature)
+            ce = pa.array(-mean.max(1) / np.log(2), mask=win < 0)
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(names[win], pa.string()), pa.array(score), ce, pa.array((win < 0) | (score < reject))], schema=schema)
+
+    return run
+
+
+def train_and_predict(docs: DataFrame, training: Column, order: int = ORDER, discount: float = DISCOUNT, max_ngrams: int = MAX_NGRAMS) -> DataFrame:
+    """``predict(docs, train(docs.where(training)))``, with each text scored once: the training rows' scores calibrate, and all rows are decided from the same table."""
+    model = train(docs.where(training), order, discount, max_ngrams, calibration_rows=0)
+    if not model.languages:
+        return predict(docs, model)
+    usable = training & F.col("text").isNotNull() & F.col("lang").isNotNull()
+    scored = _scored(model, docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.when(usable, F.col("lang").cast("string")).alias("lang"), "text"))
+    _calibrate(model, scored.where("lang is not null"))
+    return scored.select("doc_id", "mean", "letters").mapInArrow(_decided(model.languages, model.temperature, model.reject), "doc_id long, lang_pred string, score double, cross_entropy double, rejected boolean")
